@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from evigraph.llm import op1_transport, op2_language, op7_simple8b
+from evigraph.llm import op1_transport, op2_language, op3_byte_bpe, op7_simple8b
 
-MODULES = [op1_transport, op2_language, op7_simple8b]
+MODULES = [op1_transport, op2_language, op3_byte_bpe, op7_simple8b]
 
 
 def queries() -> dict:
