@@ -16,6 +16,7 @@ from __future__ import annotations
 import functools
 import os
 import zlib
+from array import array
 from collections.abc import Iterator
 
 import numpy as np
@@ -116,7 +117,7 @@ def unpack(words: np.ndarray) -> np.ndarray:
     return out
 
 
-class WordCache(dict):
+class WordCache:
     """Ids of a pre-token as little-endian uint32 bytes, encoded by the tokenizers library when first met.
 
     Byte-level BPE treats each match of the pre-tokeniser's pattern alone, so a text's ids are those of its
@@ -132,17 +133,17 @@ class WordCache(dict):
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
         self.split = regex.compile(public_tokenizers.PATTERN).findall
+        self.known: dict[str, bytes] = {}  # an exact dict: set.difference() walks any other mapping whole
 
     def encode(self, text: str) -> bytes:
         words = self.split(text)
-        new = list(set(words).difference(self))
+        new = list(set(words).difference(self.known))
         if new:
-            coded = {w: np.array(e.ids, "<u4").tobytes() for w, e in zip(new, self.tokenizer.encode_batch(new, add_special_tokens=False), strict=True)}
-            if len(self) + len(coded) > CACHE:
-                both = dict.__getitem__
-                return b"".join([coded[w] if w in coded else both(self, w) for w in words])
-            self.update(coded)
-        return b"".join(map(self.__getitem__, words))
+            coded = {w: array("I", e.ids).tobytes() for w, e in zip(new, self.tokenizer.encode_batch_fast(new, add_special_tokens=False), strict=True)}
+            if len(self.known) + len(coded) > CACHE:
+                return b"".join([coded[w] if w in coded else self.known[w] for w in words])
+            self.known.update(coded)
+        return b"".join(map(self.known.__getitem__, words))
 
 
 @functools.cache
