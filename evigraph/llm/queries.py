@@ -2,9 +2,9 @@
 
 from __future__ import annotations
 
-from evigraph.llm import op1_transport, op2_language, op3_byte_bpe, op4_probminhash, op5_hilbert, op7_simple8b, op9_fuzzy_lines, op10_mixture
+from evigraph.llm import op1_transport, op2_language, op3_byte_bpe, op4_probminhash, op5_hilbert, op6_licenses, op7_simple8b, op8_weighted_sampling, op9_fuzzy_lines, op10_mixture
 
-MODULES = [op1_transport, op2_language, op3_byte_bpe, op4_probminhash, op5_hilbert, op7_simple8b, op9_fuzzy_lines, op10_mixture]
+MODULES = [op1_transport, op2_language, op3_byte_bpe, op4_probminhash, op5_hilbert, op6_licenses, op7_simple8b, op8_weighted_sampling, op9_fuzzy_lines, op10_mixture]
 
 
 def queries() -> dict:
