@@ -26,22 +26,17 @@ from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from evigraph.llm.common import documents, saved
+from evigraph.llm.splitting import shared
 
 #: Selector, values in a word, bits of a value.
 LAYOUT = [(2, 60, 1), (3, 30, 2), (4, 20, 3), (5, 15, 4), (6, 12, 5), (7, 10, 6), (8, 8, 7), (9, 7, 8), (10, 6, 10), (11, 5, 12), (12, 4, 15), (13, 3, 20), (14, 2, 30), (15, 1, 60)]
-END, BLOCK_IDS, CACHE = 0, 1 << 16, 400_000
+END, BLOCK_IDS, CACHE = 0, 1 << 16, 600_000
 U = np.uint64
 
 
 def _bits(v: np.ndarray) -> np.ndarray:
-    """Bits of each value, 1 at least."""
-    out = np.ones(len(v), np.uint8)
-    for k in range(1, 64):
-        more = v >> U(k) > 0
-        if not more.any():
-            break
-        out += more
-    return out
+    """Bits of each value, 1 at least; from 2**53 on perhaps one more."""
+    return np.maximum(np.frexp(v.astype(float))[1], 1).astype(np.uint8)
 
 
 def pack(values: np.ndarray) -> np.ndarray:
@@ -52,17 +47,15 @@ def pack(values: np.ndarray) -> np.ndarray:
         return np.zeros(0, U)
     bits = _bits(v)
     choice = np.full(n, 255, np.uint8)
-    reach: dict[int, np.ndarray] = {}
-    for k, (_, count, width) in enumerate(LAYOUT):
-        if count > n:
-            continue
-        fits = bits <= width
-        if not fits.any():
-            continue
-        ok = reach[width] = np.cumsum(np.concatenate(([0], fits)))
-        whole = ok[count:] - ok[: n - count + 1] == count
-        at = np.flatnonzero(whole & (choice[: n - count + 1] == 255))
-        choice[at] = k
+    most, count = bits, 1  # most bits of the next count values
+    for k in range(len(LAYOUT) - 1, -1, -1):
+        _, take, width = LAYOUT[k]
+        while count < take and len(most) > 1:
+            most = np.maximum(most[:-1], bits[count:])
+            count += 1
+        if count < take:
+            break
+        choice[: len(most)][most <= width] = k
     step = np.where(choice == 255, 1, np.array([c for _, c, _ in LAYOUT] + [1])[np.minimum(choice, len(LAYOUT))]).tolist()
     heads, p = [], 0
     while p < n:
@@ -121,22 +114,23 @@ class WordCache:
     """Ids of a pre-token as little-endian uint32 bytes, encoded by the tokenizers library when first met.
 
     Byte-level BPE treats each match of the pre-tokeniser's pattern alone, so a text's ids are those of its
-    matches. The cache is bounded; words beyond it are encoded again when they come up.
+    matches. The cache is bounded; words beyond it are encoded again when they come up. The standard library's patterns split as
+    the tokeniser does but for a few numerals, control characters and what lies beyond 16 bits; a text with one of those is encoded whole.
     """
 
     def __init__(self, path: str):
         os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
-        import public_tokenizers
-        import regex
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
         self.tokenizer.encode_special_tokens = True
-        self.split = regex.compile(public_tokenizers.PATTERN).findall
         self.known: dict[str, bytes] = {}  # an exact dict: set.difference() walks any other mapping whole
+        self.splitter = shared()
 
     def encode(self, text: str) -> bytes:
-        words = self.split(text)
+        if self.splitter.odd(text):
+            return array("I", self.tokenizer.encode(text, add_special_tokens=False).ids).tobytes()
+        words = self.splitter.plain(text)
         new = list(set(words).difference(self.known))
         if new:
             coded = {w: array("I", e.ids).tobytes() for w, e in zip(new, self.tokenizer.encode_batch_fast(new, add_special_tokens=False), strict=True)}
