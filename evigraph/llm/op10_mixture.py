@@ -109,7 +109,8 @@ def taken(rows: DataFrame, sources: DataFrame, block: int = BLOCK, by: tuple[str
     )
     lo = F.greatest(F.lit(0).cast("long"), F.col("block") * block - F.col("start"))
     hi = F.least(F.col("size"), F.col("block") * block + F.col("words") - F.col("start"))
-    return parts.join(draws(sources, block), ["s", "block"]).select("s", "bucket", "rn", "pass", lo.alias("lo"), hi.alias("hi")).where("hi > lo")
+    # A merge join: the planner can't see how many draws come of a few chunks and would broadcast them.
+    return parts.hint("merge").join(draws(sources, block), ["s", "block"]).select("s", "bucket", "rn", "pass", lo.alias("lo"), hi.alias("hi")).where("hi > lo")
 
 
 def op10_mixture(spark: SparkSession, sf_dir: str) -> DataFrame:
