@@ -163,7 +163,7 @@ def classes(df: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame
     nodes = signed.groupBy("key").agg(F.min("id").alias("node"), F.first("bands").alias("bands"))
     banded = nodes.select("node", F.explode("bands").alias("b"))
     shared = banded.groupBy("b").agg(F.count("*").alias("c")).where("c > 1")
-    met = saved(banded.join(shared, "b"), "buckets")
+    met = saved(banded.hint("merge").join(shared, "b"), "buckets")
     pop = met.groupBy("node").agg(F.sum("c").alias("pop"))
     members = saved(met.join(pop, "node").select("b", "node", "pop"), "members")
     texts = keyed.select("_id", "t")
