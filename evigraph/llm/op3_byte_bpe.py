@@ -186,7 +186,11 @@ class Codec:
 
     def id_bytes(self, ids: Column) -> Column:
         """Ids as little-endian unsigned 32-bit integers."""
-        return F.unhex(F.array_join(F.transform(ids, lambda i: F.lpad(F.hex(i.bitwiseAND(255) * 2**24 + F.shiftright(i, 8).bitwiseAND(255) * 2**16 + F.shiftright(i, 16).bitwiseAND(255) * 2**8 + F.shiftright(i, 24).bitwiseAND(255)), 8, "0")), ""))
+        def swapped(i: Column) -> Column:
+            j = i.cast("long")
+            return F.lpad(F.hex(F.shiftleft(j.bitwiseAND(255), 24) + F.shiftleft(F.shiftright(j, 8).bitwiseAND(255), 16) + F.shiftleft(F.shiftright(j, 16).bitwiseAND(255), 8) + F.shiftright(j, 24)), 8, "0")
+
+        return F.unhex(F.array_join(F.transform(ids, swapped), ""))
 
     def decode(self, ids: Column) -> Column:
         """The pieces of ids, joined to one binary."""
