@@ -55,7 +55,7 @@ def streams(docs: DataFrame) -> DataFrame:
     base = sums.select("s", "bucket", F.coalesce(F.sum("n").over(Window.partitionBy("s").orderBy("bucket").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("base"))
     own = Window.partitionBy("s", "bucket").orderBy("doc_id", "tie")
     inside = F.coalesce(F.sum("size").over(own.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
-    return rows.withColumn("rn", F.row_number().over(own)).withColumn("inside", inside).join(base, ["s", "bucket"]).withColumn("start", F.col("base") + F.col("inside")).drop("base", "inside", "tie")
+    return rows.withColumn("rn", F.row_number().over(own)).withColumn("inside", inside).join(base, ["s", "bucket"]).withColumn("start", F.col("base") + F.col("inside")).drop("base", "inside").withColumnRenamed("tie", "tie_key")
 
 
 def draws(sources: DataFrame, block: int = BLOCK) -> DataFrame:
@@ -113,6 +113,30 @@ def taken(rows: DataFrame, sources: DataFrame, block: int = BLOCK, by: tuple[str
     return parts.hint("merge").join(draws(sources, block), ["s", "block"]).select("s", "bucket", "rn", "pass", lo.alias("lo"), hi.alias("hi")).where("hi > lo")
 
 
+def mixed(docs: DataFrame, block: int = BLOCK) -> DataFrame:
+    """The mix as documents: a row for each document and pass that takes words of it, with the columns of ``docs``.
+
+    A document taken whole keeps its text; of one taken in part, the words taken stay in order, each with the white space before it.
+    """
+    rows, sources = plan(prepared(docs))
+    light = rows.select("s", "bucket", "rn", F.col("doc_id").alias("_id"), F.col("tie_key").alias("_tie"), F.col("size").alias("_size"))
+    spans = taken(rows, sources, block).groupBy("s", "bucket", "rn", "pass").agg(F.array_sort(F.collect_list(F.struct("lo", "hi"))).alias("_spans"), F.sum(F.col("hi") - F.col("lo")).alias("_n"))
+    got = light.join(spans, ["s", "bucket", "rn"]).select("_id", "_tie", "_size", "_spans", "_n", "pass", F.col("s").alias("_s"))
+    tie = F.crc32(F.coalesce("text", F.lit("")).cast("binary"))
+    own = docs.withColumns({"_tie": tie, "_s": source_key(F.col("source")), "_key": F.coalesce(F.col("doc_id").cast("long"), F.lit(-(2**63)))})
+    got = got.withColumn("_key", F.coalesce("_id", F.lit(-(2**63)))).dropDuplicates(["_key", "_tie", "_s", "pass"]).drop("_id")
+    both = own.join(got, ["_key", "_tie", "_s"])
+    pieces = F.regexp_extract_all("text", F.lit(r"[\x20\x09-\x0D]*" + WORD), F.lit(0))
+    cut = F.element_at(
+        F.transform(F.array(pieces), lambda p: F.array_join(F.flatten(F.transform("_spans", lambda x: F.slice(p, (x["lo"] + 1).cast("int"), (x["hi"] - x["lo"]).cast("int")))), "")), 1
+    )
+    text = F.when(F.col("_n") >= F.col("_size"), F.col("text")).otherwise(F.ltrim(cut))
+    both = both.withColumn("text", text)
+    if "n_chars" in docs.columns:
+        both = both.withColumn("n_chars", F.char_length("text").cast(docs.schema["n_chars"].dataType))
+    return both.select(*[F.col(f"`{c}`") for c in docs.columns])
+
+
 def op10_mixture(spark: SparkSession, sf_dir: str) -> DataFrame:
     """What the mix takes of every document."""
     rows, sources = plan(prepared(documents(spark, sf_dir)))

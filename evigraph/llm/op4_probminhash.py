@@ -190,6 +190,14 @@ def classes(df: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame
     return found.unionByName(alone)
 
 
+def deduplicated(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
+    """One row of each class: that of its least id. Rows with a null text stay."""
+    keep = classes(docs, key, text).where("_id = class_id").select("_id").distinct()
+    rows = with_id(docs, key, text)
+    some = rows.where(F.col(text).isNotNull()).join(keep, "_id", "left_semi").dropDuplicates(["_id"])
+    return some.unionByName(rows.where(F.col(text).isNull())).drop("_id")
+
+
 def op4_probminhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Class of every document."""
     return classes(documents(spark, sf_dir)).select(F.col("_id").alias("doc_id"), "class_id", (F.col("_id") == F.col("class_id")).alias("kept"))
