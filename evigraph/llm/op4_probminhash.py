@@ -7,8 +7,8 @@ similarity, which for plain sets is the Jaccard similarity and doesn't change wh
 
 BANDS bands of ROWS registers find candidates: at similarity 0.8 a pair shares a band with probability 1 - (1 - 0.8**5)**24,
 over 0.9999. Equal texts are one node. A bucket is linked by hubs, not by all its pairs: its member that shares most
-buckets with others (in a group of copies, their original), and two drawn by hash; members that stay apart from a bucket's hub get
-new hubs in further rounds, each verified on whole texts by the exact similarity. Links are joined by distributed union-find.
+buckets with others (in a group of copies, their original); in further rounds members that stay apart from a bucket's hub give
+three new hubs, one such and two drawn by hash. Each candidate is verified on whole texts by the exact similarity. Links are joined by distributed union-find.
 
 Defined cases: a text under five words is one shingle; texts without words match equal texts only; a null text is a class of its own; a
 null id is replaced by a negative number made from the text; rows that repeat an id and text are in the same class; an empty
@@ -147,9 +147,10 @@ def _hubs(members: DataFrame) -> DataFrame:
     )
 
 
-def _candidates(members: DataFrame, hubs: DataFrame) -> DataFrame:
+def _candidates(members: DataFrame, hubs: DataFrame, all_hubs: bool) -> DataFrame:
     top = F.struct((-F.col("top.n")).alias("node"), F.col("top.root").alias("root"))
-    each = F.explode(F.array(top, F.struct("low.node", "low.root"), F.struct("high.node", "high.root")))
+    more = [F.struct("low.node", "low.root"), F.struct("high.node", "high.root")] if all_hubs else []
+    each = F.explode(F.array(top, *more))
     met = members.join(hubs.select("b", each.alias("h")), "b").where("root <> h.root")
     return met.select(F.col("node").alias("a"), F.col("h.node").alias("b")).distinct()
 
@@ -170,7 +171,7 @@ def classes(df: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame
     own = members.withColumn("root", F.col("node"))
     tested, roots = None, None
     for _ in range(ROUNDS):
-        pairs = _candidates(own, _hubs(rest) if tested is not None else _hubs(own))
+        pairs = _candidates(own, _hubs(own if tested is None else rest), tested is not None)
         if tested is not None:
             pairs = pairs.join(tested, ["a", "b"], "left_anti")
         got = saved(_verify(pairs, texts), "verified")
@@ -180,8 +181,8 @@ def classes(df: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame
         roots = components(tested.where(F.col("sim") >= THRESHOLD), "a", "b")
         own = members.join(roots, "node", "left").select("b", "node", "pop", F.coalesce("root", "node").alias("root"))
         best = own.groupBy("b").agg(F.max(F.struct("pop", (-F.col("node")).alias("n"), "root")).alias("top"), F.count("*").alias("c"), F.min("root").alias("x"), F.max("root").alias("y"))
-        # In buckets of up to three all pairs have been tried.
-        rest = saved(own.join(best.where("x < y and c > 3").select("b", F.col("top.root").alias("o")), "b").where("root <> o").drop("o"), "apart")
+        # In buckets of two the only pair has been tried.
+        rest = saved(own.join(best.where("x < y and c > 2").select("b", F.col("top.root").alias("o")), "b").where("root <> o").drop("o"), "apart")
         if rest.isEmpty():
             break
     named = signed.select("id", "key").join(nodes.select("key", "node"), "key")
