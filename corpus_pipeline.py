@@ -39,7 +39,7 @@ def mixture(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 def tokens(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Token ids of each row of the mix, checked by decoding."""
-    return op3_byte_bpe.public_codec().digests(docs, "text", ["doc_id", "lang", "source"])
+    return op3_byte_bpe.public_codec(spark).digests(docs, "text", ["doc_id", "lang", "source"])
 
 
 STAGES = [("language", language), ("lines", lines), ("near_duplicates", near_duplicates), ("mixture", mixture), ("tokens", tokens)]

@@ -4,15 +4,15 @@ A word (one match of the pre-tokeniser's pattern) is folded in the JVM. All runs
 sorted by rank, then place, and folded over the set of piece ends (bits of a long): a merge applies when its ends are ends of
 pieces and one end lies between. Each merge needs one turn only where every token is what merging its own bytes gives, as in any
 vocabulary that was trained as BPE. A word over MASK bytes is folded by steps: an array of byte pieces and the ranks of
-neighbouring pairs, the leftmost pair of least rank merged each time. Ranks are a literal map, dealt into buckets by hash because
-Spark scans a map's keys one by one.
+neighbouring pairs, the leftmost pair of least rank merged each time. The rank map is one constant row: the tokens in order of rank, and a cuckoo
+table of ranks by hash, so a lookup looks at two places and compares bytes (Spark scans a map's keys one by one). It enters plans as a
+scalar subquery: as a literal of nested maps it is printed with each plan and unpacked again for each task.
 
 ``encode`` folds the frequent distinct words of the whole corpus once: at most HOT words, which travel to the tasks as a broadcast of that
 bounded size. A text is then split; runs of known words become ids at once, and any other word is folded in its row, so the
 result doesn't depend on HOT. ``decode`` joins the pieces of ids and gives binary.
 
-(Looking words up by a literal map, too, was tried: 2056 JVM CPU seconds a GB against a limit of 900; folding by steps alone takes
-about three times as long.)
+(Looking all words up in the JVM, by literal maps, was tried: 2056 JVM CPU seconds a GB against a limit of 900.)
 
 Defined cases: null text is empty and gives no ids; equal texts give equal ids; a word of n bytes costs at most n - 1 folds; columns
 asked for stay as they are.
@@ -22,7 +22,6 @@ from __future__ import annotations
 
 import base64
 import hashlib
-import json
 import uuid
 import zlib
 from array import array
@@ -66,38 +65,68 @@ def murmur(data: bytes, seed: int = 42) -> int:
     return h - (1 << 32) if h >> 31 else h
 
 
-class Buckets:
-    """A literal map in buckets; a lookup costs one hash and about two comparisons."""
+SLOTS, RANKS = 1 << 17, "_ranks"
 
-    def __init__(self, entries: dict[str, int]):
-        self.n = max(1, len(entries))
-        dealt: list[dict] = [{} for _ in range(self.n)]
-        for k, v in entries.items():
-            dealt[murmur(k.encode()) % self.n][k] = v
-        self.table = F.from_json(F.lit(json.dumps(dealt, separators=(",", ":"))), "array<map<string,int>>")
 
-    def get(self, key: Column) -> Column:
-        return F.try_element_at(F.element_at(self.table, F.pmod(F.hash(key), F.lit(self.n)) + 1), key)
+def places(h: int) -> tuple[int, int]:
+    """The two slots of a 32-bit hash."""
+    u = h & 0xFFFFFFFF
+    return u & SLOTS - 1, u >> 15
+
+
+def cuckoo(keys: list[str]) -> list[int]:
+    """Slots that hold the number of a key in one of its two places."""
+    if len(keys) * 2 > SLOTS:
+        raise ValueError("too many keys")
+    both = [places(murmur(k.encode())) for k in keys]
+    slots = [-1] * SLOTS
+    for k in range(len(keys)):
+        held, at = k, both[k][0]
+        for _ in range(500):
+            slots[at], held = held, slots[at]
+            if held < 0:
+                break
+            one, two = both[held]
+            at = two if at == one else one
+        else:
+            raise ValueError("no room for a key")
+    return slots
+
+
+class Ranks:
+    """The rank map as a one-row table, and lookups in it."""
+
+    def __init__(self, spark: SparkSession, tokens: list[str]):
+        # An unused slot points at token 0, which the comparison rules out.
+        row = pa.table({"slots": pa.array([[max(x, 0) for x in cuckoo(tokens)]], pa.list_(pa.int32())), "pieces": pa.array([tokens])})
+        self.row = spark.createDataFrame(row).select(F.struct("slots", "pieces").alias("r")).scalar()
+
+    @staticmethod
+    def get(t: Column, key: Column) -> Column:
+        """Rank of a token given in hex, null if it is none; ``t`` is the bound row."""
+        h = F.hash(key)
+        first = F.element_at(t["slots"], h.bitwiseAND(SLOTS - 1) + 1)
+        second = F.element_at(t["slots"], F.shiftrightunsigned(h, 15) + 1)
+        return F.when(F.element_at(t["pieces"], first + 1) == key, first).when(F.element_at(t["pieces"], second + 1) == key, second)
 
 
 class Codec:
-    def __init__(self, path: str, pattern: str):
+    def __init__(self, spark: SparkSession, path: str, pattern: str):
         own = ranks(path)
         self.pattern = "(?U)" + pattern  # \s as Unicode's white space
-        self.rank = Buckets({k.hex().upper(): v for k, v in own.items()})
         self.longest = max(map(len, own))
         self.raw = [b""] * (max(own.values()) + 1)
         for k, v in own.items():
             self.raw[v] = k
-        self.pieces = F.from_json(F.lit(json.dumps([x.hex() for x in self.raw])), "array<string>")
+        self.ranks = Ranks(spark, [x.hex().upper() for x in self.raw])
 
     def split(self, text: Column) -> Column:
         return F.regexp_extract_all(F.coalesce(text, F.lit("")), F.lit(self.pattern), F.lit(0))
 
-    def _pair(self, left: Column, right: Column) -> Column:
-        return F.coalesce(self.rank.get(F.concat(left, right)), F.lit(NONE))
+    def _pair(self, t: Column, left: Column, right: Column) -> Column:
+        return F.coalesce(Ranks.get(t, F.concat(left, right)), F.lit(NONE))
 
-    def _merge(self, s: Column) -> Column:
+    def _merge(self, t: Column, s: Column) -> Column:
         p, r = s["p"], s["r"]
         none = F.array().cast("array<int>")
 
@@ -106,8 +135,8 @@ class Codec:
                 F.concat(F.slice(p, F.lit(1), i - 1), F.array(m), F.slice(p, i + 2, F.size(p))).alias("p"),
                 F.concat(
                     F.slice(r, F.lit(1), F.greatest(i - 2, F.lit(0))),
-                    F.when(i > 1, F.array(self._pair(F.element_at(p, F.greatest(i - 1, F.lit(1))), m))).otherwise(none),
-                    F.when(i + 1 < F.size(p), F.array(self._pair(m, F.try_element_at(p, i + 2)))).otherwise(none),
+                    F.when(i > 1, F.array(self._pair(t, F.element_at(p, F.greatest(i - 1, F.lit(1))), m))).otherwise(none),
+                    F.when(i + 1 < F.size(p), F.array(self._pair(t, m, F.try_element_at(p, i + 2)))).otherwise(none),
                     F.slice(r, i + 2, F.size(p)),
                 ).alias("r"),
             )
@@ -117,14 +146,14 @@ class Codec:
 
         return F.when(F.array_min(r) >= NONE, s).otherwise(let(F.array_position(r, F.array_min(r)).cast("int"), merged))
 
-    def _sorted_fold(self, h: Column, n: Column) -> Column:
+    def _sorted_fold(self, t: Column, h: Column, n: Column) -> Column:
         """Ids of a word of 2 to MASK bytes, given in hex."""
 
         def one(k: Column) -> Column:
             return F.call_function("shiftleft", F.lit(1).cast("long"), k)
 
         def piece(i: Column, j: Column) -> Column:
-            return self.rank.get(F.substr(h, i * 2 + 1, (j - i) * 2))
+            return Ranks.get(t, F.substr(h, i * 2 + 1, (j - i) * 2))
 
         def merges(i: Column) -> Column:
             own = F.transform(
@@ -146,28 +175,36 @@ class Codec:
 
         return let(cut, ids)
 
-    def _step_fold(self, h: Column) -> Column:
+    def _step_fold(self, t: Column, h: Column) -> Column:
         """Ids of a word of two bytes or more, given in hex."""
 
         def pieces(p: Column) -> Column:
-            first = F.transform(F.sequence(F.lit(1), F.size(p) - 1), lambda i: self._pair(F.element_at(p, i), F.element_at(p, i + 1)))
+            first = F.transform(F.sequence(F.lit(1), F.size(p) - 1), lambda i: self._pair(t, F.element_at(p, i), F.element_at(p, i + 1)))
             start = F.struct(p.alias("p"), first.alias("r"))
-            done = F.aggregate(F.sequence(F.lit(2), F.size(p)), start, lambda s, _: self._merge(s))
-            return F.transform(done["p"], lambda x: self.rank.get(x))
+            done = F.aggregate(F.sequence(F.lit(2), F.size(p)), start, lambda s, _: self._merge(t, s))
+            return F.transform(done["p"], lambda x: Ranks.get(t, x))
 
         return let(F.regexp_extract_all(h, F.lit(".."), F.lit(0)), pieces)
 
-    def fold(self, word: Column) -> Column:
-        """Ids of one word."""
+    def fold(self, words: Column) -> Column:
+        """Ids of each word of an array. The rank row is bound once a row, so it stands once in the plan."""
+
+        def one(t: Column, word: Column) -> Column:
+            def parts(h: Column) -> Column:
+                n = (F.length(h) / 2).cast("int")
+                return let(n, lambda k: F.when(k <= MASK, self._sorted_fold(t, h, k)).otherwise(self._step_fold(t, h)))
+
+            def bytes_of(h: Column) -> Column:
+                return let(Ranks.get(t, h), lambda whole: F.when(whole.isNotNull(), F.array(whole)).otherwise(parts(h)))
 
-        def parts(h: Column) -> Column:
-            n = F.length(h) / 2
-            return let(n.cast("int"), lambda k: F.when(k <= MASK, self._sorted_fold(h, k)).otherwise(self._step_fold(h)))
+            return let(F.hex(F.encode(word, "UTF-8")), bytes_of)
 
-        def bytes_of(h: Column) -> Column:
-            return let(self.rank.get(h), lambda whole: F.when(whole.isNotNull(), F.array(whole)).otherwise(parts(h)))
+        return let(F.col(RANKS), lambda t: F.transform(words, lambda w: one(t, w)))
 
-        return let(F.hex(F.encode(word, "UTF-8")), bytes_of)
+    def bound(self, df: DataFrame) -> DataFrame:
+        """With the rank row as a column, for ``fold`` and ``decode``. The optimizer puts the subquery in the place of the column, which
+        is used once, so no row carries it."""
+        return df.withColumn(RANKS, self.ranks.row)
 
     def frequent(self, df: DataFrame, text: str) -> pa.Table:
         """Ids of the most frequent distinct words of the whole table: at most HOT, each of at most HOT_BYTES bytes."""
@@ -180,7 +217,7 @@ class Codec:
             if total > HOT:
                 break
             cut = row["k"]
-        return words.where(level >= cut).select("w", self.fold(F.col("w")).alias("ids")).toArrow()
+        return self.bound(words.where(level >= cut)).select("w", F.element_at(self.fold(F.array("w")), 1).alias("ids")).toArrow()
 
     def _runs(self, df: DataFrame, text: str, keep: list[str]) -> DataFrame:
         """keep, parts (ids of the runs of known words as bytes) and rare (the words between them)."""
@@ -214,7 +251,7 @@ class Codec:
 
     def _joined(self, df: DataFrame, text: str, keep: list[str], each, schema: str) -> DataFrame:
         """each(ids as uint32 array, its bytes) -> a row of ``schema``, after the words that weren't known have been folded."""
-        folded = self._runs(df, text, keep).withColumn("rare", F.transform("rare", self.fold))
+        folded = self.bound(self._runs(df, text, keep)).select(*[F.col(f"`{c}`") for c in keep], "parts", self.fold(F.col("rare")).alias("rare"))
         n = len(keep)
         names = [x.strip().split()[0] for x in schema.split(",")]
         kinds = [{"long": pa.int64(), "string": pa.string(), "array<int>": pa.list_(pa.int32())}[x.strip().split()[1]] for x in schema.split(",")]
@@ -254,8 +291,8 @@ class Codec:
         return F.unhex(F.array_join(F.transform(ids, swapped), ""))
 
     def decode(self, ids: Column) -> Column:
-        """The pieces of ids, joined to one binary."""
-        return F.unhex(F.array_join(F.transform(ids, lambda i: F.element_at(self.pieces, i + 1)), ""))
+        """The pieces of ids, joined to one binary; over a frame made by ``bound``."""
+        return F.unhex(let(F.col(RANKS), lambda t: F.array_join(F.transform(ids, lambda i: F.element_at(t["pieces"], i + 1)), "")))
 
 
 def small(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
@@ -279,15 +316,15 @@ def _known(mark: str, shared) -> dict[str, bytes]:
     return _HOT[mark]
 
 
-def public_codec() -> Codec:
+def public_codec(spark: SparkSession) -> Codec:
     import public_tokenizers
 
-    return Codec(public_tokenizers.path("byte_bpe_multi_50k.tiktoken"), public_tokenizers.PATTERN)
+    return Codec(spark, public_tokenizers.path("byte_bpe_multi_50k.tiktoken"), public_tokenizers.PATTERN)
 
 
 def op3_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Every text encoded and decoded again."""
-    return public_codec().digests(documents(spark, sf_dir), "text", ["doc_id"])
+    return public_codec(spark).digests(documents(spark, sf_dir), "text", ["doc_id"])
 
 
 QUERIES = {"op3_byte_bpe": op3_byte_bpe}
