@@ -30,7 +30,7 @@ from evigraph.llm.components import components
 from evigraph.llm.hashing import U, mix, shingles, word_hashes
 
 WORDS, THRESHOLD = 5, 0.8
-BANDS, ROWS, ROUNDS = 24, 5, 3
+BANDS, ROWS, ROUNDS, FIRST = 24, 5, 4, 4
 REGISTERS = BANDS * ROWS
 BATCH = 120_000
 
@@ -162,24 +162,29 @@ def classes(df: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame
     signed = saved(keyed.mapInArrow(_sign, "id long, key binary, bands array<long>"), "signatures")
     # One node for equal texts: its bands are the same in all rows, so any row's will do.
     nodes = signed.groupBy("key").agg(F.min("id").alias("node"), F.first("bands").alias("bands"))
-    banded = nodes.select("node", F.explode("bands").alias("b"))
+    banded = nodes.select("node", F.posexplode("bands").alias("no", "b"))
     shared = banded.groupBy("b").agg(F.count("*").alias("c")).where("c > 1")
     met = saved(banded.hint("merge").join(shared, "b"), "buckets")
     pop = met.groupBy("node").agg(F.sum("c").alias("pop"))
-    members = saved(met.join(pop, "node").select("b", "node", "pop"), "members")
+    members = saved(met.join(pop, "node").select("b", "no", "node", "pop"), "members")
     texts = keyed.select("_id", "t")
     own = members.withColumn("root", F.col("node"))
-    tested, roots = None, None
-    for _ in range(ROUNDS):
-        pairs = _candidates(own, _hubs(own if tested is None else rest), tested is not None)
+    tested, roots, rest = None, None, None
+    for turn in range(ROUNDS):
+        # A few bands first: they join most of a large group of copies, and later rounds meet what is still apart only.
+        part = own.where(F.col("no") < FIRST) if turn == 0 else own
+        pairs = _candidates(part, _hubs(part if rest is None else rest), rest is not None)
         if tested is not None:
             pairs = pairs.join(tested, ["a", "b"], "left_anti")
         got = saved(_verify(pairs, texts), "verified")
         tested = got if tested is None else tested.unionByName(got)
-        if got.where(F.col("sim") >= THRESHOLD).isEmpty() and roots is not None:
+        if roots is None or not got.where(F.col("sim") >= THRESHOLD).isEmpty():
+            roots = components(tested.where(F.col("sim") >= THRESHOLD), "a", "b")
+            own = members.join(roots, "node", "left").select("b", "no", "node", "pop", F.coalesce("root", "node").alias("root"))
+        elif turn > 1:
             break
-        roots = components(tested.where(F.col("sim") >= THRESHOLD), "a", "b")
-        own = members.join(roots, "node", "left").select("b", "node", "pop", F.coalesce("root", "node").alias("root"))
+        if turn == 0:
+            continue
         best = own.groupBy("b").agg(F.max(F.struct("pop", (-F.col("node")).alias("n"), "root")).alias("top"), F.count("*").alias("c"), F.min("root").alias("x"), F.max("root").alias("y"))
         # In buckets of two the only pair has been tried.
         rest = saved(own.join(best.where("x < y and c > 2").select("b", F.col("top.root").alias("o")), "b").where("root <> o").drop("o"), "apart")
