@@ -78,8 +78,8 @@ def pseudo_edges(nodes: DataFrame) -> DataFrame:
 
 
 def graph_stats(chunks: DataFrame, nodes: DataFrame, edges: DataFrame) -> DataFrame:
-    n = nodes.agg(F.count_if("kind = 'entity'").alias("entities"), F.count_if("kind = 'passage'").alias("passages"))
-    e = edges.agg(F.count_if("kind = 'relation'").alias("relations"), F.count_if("kind = 'contains'").alias("contains_edges"), F.count_if("kind = 'synonym'").alias("synonyms"))
+    n = nodes.agg(F.count_if(F.expr("kind = 'entity'")).alias("entities"), F.count_if(F.expr("kind = 'passage'")).alias("passages"))
+    e = edges.agg(F.count_if(F.expr("kind = 'relation'")).alias("relations"), F.count_if(F.expr("kind = 'contains'")).alias("contains_edges"), F.count_if(F.expr("kind = 'synonym'")).alias("synonyms"))
     return chunks.agg(F.count("*").alias("chunks")).join(n).join(e)  # one row each
 
 

@@ -69,7 +69,7 @@ def lcs_fold(gen: Column, gold: Column) -> Column:
         a,
         F.transform(b, lambda _: F.lit(0)),
         lambda r, x: F.aggregate(
-            F.arrays_zip(b.alias("y"), r.alias("up")),
+            F.zip_with(b, r, lambda y, up: F.struct(y.alias("y"), up.alias("up"))),
             F.struct(F.array().cast("array<int>").alias("out"), F.lit(0).alias("diag"), F.lit(0).alias("left")),
             lambda s, c: _lcs_cell(s, c, x),
         )["out"],
@@ -78,8 +78,8 @@ def lcs_fold(gen: Column, gold: Column) -> Column:
 
 
 def _lcs_cell(s: Column, c: Column, x: Column) -> Column:
-    v = F.when(c["0"] == x, s["diag"] + 1).otherwise(F.greatest(c["1"], s["left"]))
-    return F.struct(F.concat(s["out"], F.array(v)).alias("out"), c["1"].alias("diag"), v.alias("left"))
+    v = F.when(c["y"] == x, s["diag"] + 1).otherwise(F.greatest(c["up"], s["left"]))
+    return F.struct(F.concat(s["out"], F.array(v)).alias("out"), c["up"].alias("diag"), v.alias("left"))
 
 
 def coverage(evidence: Column, response: Column) -> Column:
