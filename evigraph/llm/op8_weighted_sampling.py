@@ -20,7 +20,7 @@ from pyspark.sql import functions as F
 
 from evigraph.llm.common import documents, range_cuts, range_of
 
-SAMPLES, PER = 32, 4
+SAMPLES, PER, PARTS = 32, 4, 256
 GROUPS = SAMPLES // PER
 TWO32 = float(1 << 32)
 
@@ -86,7 +86,9 @@ def with_next(df: DataFrame, key: str, text: str) -> DataFrame:
     both = rows.join(F.broadcast(lent), ["range", "k", "tie"], "left")
     dealt = both.select("id", "k", "tie", "t", F.explode(F.when(F.col("to").isNull(), F.array(own)).otherwise(F.array(own, F.struct(F.col("to").alias("range"), F.lit(True).alias("copy"))))).alias("x"))
     order = Window.partitionBy("range").orderBy("copy", "k", "tie", "id")  # with id, both uses of the exchange read the same columns
-    flat = dealt.select("id", "k", "tie", "t", "x.range", "x.copy")
+    # Many small tasks: a task holds the word counts of its ranges.
+    parts = max(PARTS, int(df.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    flat = dealt.select("id", "k", "tie", "t", "x.range", "x.copy").repartition(parts, "range")
     return flat.select("range", F.row_number().over(order).alias("rn"), "copy", "id", "t", F.lead("t").over(order).alias("next_t"))
 
 
