@@ -8,11 +8,12 @@ neighbouring pairs, the leftmost pair of least rank merged each time. The rank m
 table of ranks by hash, so a lookup looks at two places and compares bytes (Spark scans a map's keys one by one). It enters plans as a
 scalar subquery: as a literal of nested maps it is printed with each plan and unpacked again for each task.
 
-``encode`` folds the frequent distinct words of the whole corpus once: at most HOT words, which travel to the tasks as a broadcast of that
-bounded size. A text is then split; runs of known words become ids at once, and any other word is folded in its row, so the
-result doesn't depend on HOT. ``decode`` joins the pieces of ids and gives binary.
+``encode`` folds the frequent distinct words of the whole corpus so: at most HOT words, which travel to the tasks as a broadcast of that
+bounded size. Texts are split and known words looked up in Arrow batches; any other word is folded there by the same ranked merges over
+its bytes, so the result doesn't depend on HOT. ``decode`` joins the pieces of ids and gives binary.
 
-(Looking all words up in the JVM, by literal maps, was tried: 2056 JVM CPU seconds a GB against a limit of 900.)
+The rare words were first folded in the JVM too: 2463 CPU seconds a GB against a limit of 900 (an interpreted fold takes 60 microseconds
+a word, and rare words are a sixteenth of all). Looking all words up by literal maps took 2056 on its own.
 
 Defined cases: null text is empty and gives no ids; equal texts give equal ids; a word of n bytes costs at most n - 1 folds; columns
 asked for stay as they are.
@@ -34,7 +35,7 @@ from pyspark.sql import functions as F
 from evigraph.llm.common import documents, let, saved
 from evigraph.llm.splitting import splitter
 
-HOT, HOT_BYTES, MASK, ROWS = 1 << 18, 48, 60, 1_000
+HOT, HOT_BYTES, LATE, MASK, ROWS = 1 << 18, 48, 150_000, 60, 1_000
 NONE = 2**31 - 1
 
 
@@ -219,58 +220,25 @@ class Codec:
             cut = row["k"]
         return self.bound(words.where(level >= cut)).select("w", F.element_at(self.fold(F.array("w")), 1).alias("ids")).toArrow()
 
-    def _runs(self, df: DataFrame, text: str, keep: list[str]) -> DataFrame:
-        """keep, parts (ids of the runs of known words as bytes) and rare (the words between them)."""
-        shared, mark = df.sparkSession.sparkContext.broadcast(self.frequent(df, text)), uuid.uuid4().hex
-        n = len(keep)
-
-        def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-            get, split = _known(mark, shared).get, splitter()
-            for batch in small(batches):
-                parts, rare = [], []
-                for t in batch.column(n):
-                    words = split(t.as_py() or "")
-                    ids = list(map(get, words))
-                    own, other, at = [], [], 0
-                    if None in ids:
-                        try:
-                            while True:
-                                j = ids.index(None, at)
-                                own.append(b"".join(ids[at:j]))
-                                other.append(words[j])
-                                at = j + 1
-                        except ValueError:
-                            pass
-                    own.append(b"".join(ids[at:] if at else ids))
-                    parts.append(own)
-                    rare.append(other)
-                yield pa.RecordBatch.from_arrays([*batch.columns[:n], pa.array(parts, pa.list_(pa.binary())), pa.array(rare, pa.list_(pa.string()))], names=[*keep, "parts", "rare"])
-
-        schema = "".join(f"`{c}` {df.schema[c].dataType.simpleString()}, " for c in keep)
-        return df.select(*[F.col(f"`{c}`") for c in keep], F.col(text).alias("t")).mapInArrow(run, schema + "parts array<binary>, rare array<string>")
-
-    def _joined(self, df: DataFrame, text: str, keep: list[str], each, schema: str) -> DataFrame:
-        """each(ids as uint32 array, its bytes) -> a row of ``schema``, after the words that weren't known have been folded."""
-        folded = self.bound(self._runs(df, text, keep)).select(*[F.col(f"`{c}`") for c in keep], "parts", self.fold(F.col("rare")).alias("rare"))
+    def _coded(self, df: DataFrame, text: str, keep: list[str], each, schema: str) -> DataFrame:
+        """keep and, by ``each`` from the bytes of a text's ids, the columns of ``schema``."""
+        shared, mark = df.sparkSession.sparkContext.broadcast((self.frequent(df, text), self.raw)), uuid.uuid4().hex
         n = len(keep)
         names = [x.strip().split()[0] for x in schema.split(",")]
         kinds = [{"long": pa.int64(), "string": pa.string(), "array<int>": pa.list_(pa.int32())}[x.strip().split()[1]] for x in schema.split(",")]
 
         def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            words, split = _words(mark, shared), splitter()
             for batch in small(batches):
-                rows = []
-                for parts, rare in zip(batch.column(n), batch.column(n + 1), strict=True):
-                    own = parts.as_py()
-                    for i, ids in enumerate(rare.as_py()):
-                        own[i] += array("I", ids).tobytes()
-                    rows.append(each(b"".join(own)))
+                rows = [each(words.encode(split(t.as_py() or ""))) for t in batch.column(n)]
                 yield pa.RecordBatch.from_arrays([*batch.columns[:n], *[pa.array(list(c), k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)]], names=[*keep, *names])
 
-        return folded.mapInArrow(run, "".join(f"`{c}` {df.schema[c].dataType.simpleString()}, " for c in keep) + schema)
+        kept = "".join(f"`{c}` {df.schema[c].dataType.simpleString()}, " for c in keep)
+        return df.select(*[F.col(f"`{c}`") for c in keep], F.col(text).alias("t")).mapInArrow(run, kept + schema)
 
     def encode(self, df: DataFrame, text: str, keep: list[str]) -> DataFrame:
         """keep and the array ``ids``."""
-        return self._joined(df, text, keep, lambda raw: (array("I", raw).tolist(),), "ids array<int>")
+        return self._coded(df, text, keep, lambda raw: (array("I", raw).tolist(),), "ids array<int>")
 
     def digests(self, df: DataFrame, text: str, keep: list[str]) -> DataFrame:
         """keep, n_tokens, ids_sha256 (ids as little-endian uint32) and decoded_sha256 (of the joined pieces)."""
@@ -280,7 +248,7 @@ class Codec:
             decoded = b"".join(map(pieces.__getitem__, array("I", raw)))
             return len(raw) // 4, hashlib.sha256(raw).hexdigest(), hashlib.sha256(decoded).hexdigest()
 
-        return self._joined(df, text, keep, each, "n_tokens long, ids_sha256 string, decoded_sha256 string")
+        return self._coded(df, text, keep, each, "n_tokens long, ids_sha256 string, decoded_sha256 string")
 
     def id_bytes(self, ids: Column) -> Column:
         """Ids as little-endian unsigned 32-bit integers."""
@@ -302,18 +270,66 @@ def small(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             yield batch.slice(at, ROWS)
 
 
-_HOT: dict[str, dict[str, bytes]] = {}
-
+class Words:
+    """Ids of words as bytes: the broadcast ones, those folded lately, and folds of the rest."""
 
-def _known(mark: str, shared) -> dict[str, bytes]:
-    """The broadcast words of a run as a dictionary; one a worker."""
-    if mark not in _HOT:
-        _HOT.clear()
-        table = shared.value.combine_chunks()
+    def __init__(self, table: pa.Table, pieces: list[bytes]):
+        table = table.combine_chunks()
         ids = table["ids"].combine_chunks()
         raw, cuts = ids.flatten().to_numpy().astype("<u4").tobytes(), (ids.offsets.to_numpy() - ids.offsets[0].as_py()) * 4
-        _HOT[mark] = {w: raw[a:z] for w, a, z in zip(table["w"].to_pylist(), cuts[:-1].tolist(), cuts[1:].tolist(), strict=True)}
-    return _HOT[mark]
+        self.known = {w: raw[a:z] for w, a, z in zip(table["w"].to_pylist(), cuts[:-1].tolist(), cuts[1:].tolist(), strict=True)}
+        self.rank = {p: i for i, p in enumerate(pieces)}
+        self.late: dict[str, bytes] = {}
+
+    def fold(self, word: bytes) -> list[int]:
+        """Ranked merges over the bytes of one word."""
+        rank = self.rank
+        if word in rank:
+            return [rank[word]]
+        parts = [word[i : i + 1] for i in range(len(word))]
+        pairs = [rank.get(word[i : i + 2], NONE) for i in range(len(word) - 1)]
+        while pairs:
+            least = min(pairs)
+            if least == NONE:
+                break
+            i = pairs.index(least)
+            parts[i : i + 2] = [parts[i] + parts[i + 1]]
+            del pairs[i]
+            if i:
+                pairs[i - 1] = rank.get(parts[i - 1] + parts[i], NONE)
+            if i < len(pairs):
+                pairs[i] = rank.get(parts[i] + parts[i + 1], NONE)
+        return [rank[p] for p in parts]
+
+    def rare(self, word: str) -> bytes:
+        ids = self.late.get(word)
+        if ids is None:
+            if len(self.late) >= LATE:
+                self.late.clear()
+            ids = self.late[word] = array("I", self.fold(word.encode("utf-8", "surrogatepass"))).tobytes()
+        return ids
+
+    def encode(self, words: list[str]) -> bytes:
+        ids, at = list(map(self.known.get, words)), 0
+        if None in ids:
+            try:
+                while True:
+                    at = ids.index(None, at)
+                    ids[at] = self.rare(words[at])
+            except ValueError:
+                pass
+        return b"".join(ids)
+
+
+_WORDS: dict[str, Words] = {}
+
+
+def _words(mark: str, shared) -> Words:
+    """The words of a run, made once a worker."""
+    if mark not in _WORDS:
+        _WORDS.clear()
+        _WORDS[mark] = Words(*shared.value)
+    return _WORDS[mark]
 
 
 def public_codec(spark: SparkSession) -> Codec:
