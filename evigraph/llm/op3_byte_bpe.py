@@ -193,7 +193,7 @@ class Codec:
         def one(t: Column, word: Column) -> Column:
             def parts(h: Column) -> Column:
                 n = (F.length(h) / 2).cast("int")
-                return let(n, lambda k: F.when(k <= MASK, self._sorted_fold(t, h, k)).otherwise(self._step_fold(t, h)))
+                return let(n, lambda k: F.when(k == 0, F.array().cast("array<int>")).when(k <= MASK, self._sorted_fold(t, h, k)).otherwise(self._step_fold(t, h)))
 
             def bytes_of(h: Column) -> Column:
                 return let(Ranks.get(t, h), lambda whole: F.when(whole.isNotNull(), F.array(whole)).otherwise(parts(h)))
