@@ -10,6 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from evigraph.llm import op2_language, op3_byte_bpe, op4_probminhash, op9_fuzzy_lines, op10_mixture
+from evigraph.llm.common import documents, saved
 
 COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 
@@ -17,6 +18,7 @@ COLUMNS = ["doc_id", "text", "lang", "source", "n_chars"]
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Documents whose language is told apart; a missing language is filled in. Rejected documents go."""
     model = op2_language.fit(docs.where(~F.coalesce(op2_language.held_out(), F.lit(True))))
+    documents(spark, sf_dir)  # bounds Arrow batches, whichever way the stages are run
     told = op2_language.identify(docs.select(*COLUMNS), model).where(~F.col("rejected"))
     return told.withColumn("lang", F.coalesce("lang", "lang_pred")).select(*COLUMNS)
 
@@ -50,8 +52,6 @@ ORACLE_SQL = None
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
     """All stages over documents; each stage's rows are written to the shared folder and read again."""
-    from evigraph.llm.common import documents, saved
-
     docs = documents(spark, sf_dir)
     for name, stage in STAGES[:-1]:
         docs = saved(stage(spark, docs, sf_dir), f"stage_{name}")

@@ -10,7 +10,15 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 
+ARROW_ROWS = 1_000
+
+
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The documents. Whole texts go through Arrow, so its batches are kept at ARROW_ROWS rows at most (a runtime setting): a batch of
+    10000 texts costs an executor some hundred MB on both sides of the pipe."""
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    if not 0 < int(spark.conf.get(name)) <= ARROW_ROWS:
+        spark.conf.set(name, str(ARROW_ROWS))
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
