@@ -24,7 +24,7 @@ from evigraph.llm.hashing import U, mix, shingles, word_hashes
 
 WORDS, THRESHOLD, BANDS = 5, 0.8, 48
 WINDOWS = (10, 24, 64, 192, 512)
-PART = 1 << 17
+PART = 1 << 13
 
 #: Notices of public licences.
 TEMPLATES = {
@@ -50,8 +50,10 @@ TEMPLATES = {
 }
 
 
-def _seeds() -> np.ndarray:
-    return mix(np.arange(1, BANDS + 1, dtype=U) * U(0xD6E8FEB86659FD93))
+def permuted(s: np.ndarray) -> np.ndarray:
+    """One row a band: the shingle hashes under a permutation of 64-bit numbers (they are mixed already, so an odd factor is enough)."""
+    k = mix(np.arange(1, BANDS + 1, dtype=U) * U(0xD6E8FEB86659FD93))
+    return (s[None, :] ^ k[:, None]) * (k[:, None] | U(1))
 
 
 class Scanner:
@@ -69,25 +71,19 @@ class Scanner:
             self.names.append(name)
             self.words.append(len(w))
             self.sets.append(np.unique(shingles(w, WORDS)))
-        self.seeds = _seeds()
-        self.minima = np.array([[mix(s ^ c).min() for s in self.sets] for c in self.seeds])
-        self.sorted = {}
-        for size, own in self.by_window.items():
-            self.sorted[size] = [np.unique(self.minima[k][own]) for k in range(BANDS)]
+        self.minima = {size: np.stack([permuted(self.sets[t]).min(axis=1) for t in own], axis=1) for size, own in self.by_window.items()}
 
     def _retrieved(self, s: np.ndarray) -> set[tuple[int, int, int]]:
-        """(window size, window number, template) whose signatures share a band."""
+        """(window size, window number, template) whose signatures share a band; all bands of a piece are computed together."""
         hits: set[tuple[int, int, int]] = set()
-        starts = {size: np.arange(0, max(1, len(s)), size // 2) for size in self.by_window}
-        for k, c in enumerate(self.seeds):
-            h = mix(s ^ c)
-            for size, own in self.by_window.items():
-                half = np.minimum.reduceat(h, starts[size])
-                least = np.minimum(half, np.append(half[1:], half[-1]))
-                table = self.sorted[size][k]
-                at = np.minimum(np.searchsorted(table, least), len(table) - 1)
-                for i in np.flatnonzero(table[at] == least):
-                    hits.update((size, int(i), t) for t in own if self.minima[k][t] == least[i])
+        h = permuted(s)
+        for size, own in self.by_window.items():
+            half = np.minimum.reduceat(h, np.arange(0, len(s), size // 2), axis=1)
+            least = half.copy()
+            np.minimum(half[:, :-1], half[:, 1:], out=least[:, :-1])
+            for k, t in enumerate(own):
+                for i in np.flatnonzero((least == self.minima[size][:, k, None]).any(axis=0)):
+                    hits.add((size, int(i), t))
         return hits
 
     def scan(self, text: str | None) -> list[tuple[str, int, int, float]]:
