@@ -221,7 +221,7 @@ def vectors(spark, d):
     return corpora.table(spark, d, "embeddings")
 
 
-@query("SELECT a.vec_id AS u, b.vec_id AS v, round(list_cosine_similarity(a.embedding, b.embedding), 4) AS cos FROM embeddings a JOIN embeddings b ON a.vec_id < b.vec_id WHERE list_cosine_similarity(a.embedding, b.embedding) > 0.35")
+@query("SELECT a.vec_id AS u, b.vec_id AS v, round(list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 4) AS cos FROM embeddings a JOIN embeddings b ON a.vec_id < b.vec_id WHERE list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]) > 0.35")
 def p_synonym_exact(spark, d):
     v = vectors(spark, d).select("vec_id", F.col("embedding").alias("vec"))
     return synonyms.pairs_exact(v, 0.35, "vec_id").withColumn("cos", F.round("cos", 4))
@@ -262,7 +262,7 @@ def questions_of(spark, d) -> DataFrame:
 # ---- graph retrieval ----
 
 #: Stand-in for facts and questions where a text encoder has no SQL twin: embeddings under 10 are questions, the others facts.
-QV = "q AS (SELECT vec_id AS qid, embedding AS qv FROM embeddings WHERE vec_id < 10), f AS (SELECT vec_id AS edge_id, embedding AS v, label FROM embeddings WHERE vec_id >= 10), s AS (SELECT qid, edge_id, label, round(list_cosine_similarity(qv, v), 4) AS ms FROM q, f), r AS (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY ms DESC, edge_id) AS rk FROM s)"
+QV = "q AS (SELECT vec_id AS qid, embedding AS qv FROM embeddings WHERE vec_id < 10), f AS (SELECT vec_id AS edge_id, embedding AS v, label FROM embeddings WHERE vec_id >= 10), s AS (SELECT qid, edge_id, label, round(list_cosine_similarity(qv::DOUBLE[], v::DOUBLE[]), 4) AS ms FROM q, f), r AS (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY ms DESC, edge_id) AS rk FROM s)"
 
 
 def _qv(spark, d):
@@ -280,11 +280,11 @@ def g_topk_facts(spark, d):
     return retrieval.best(_cos_rows(spark, d), 5, "ms", "edge_id", digits=4).select("qid", "edge_id", "ms", "rk")
 
 
-@query(f"WITH {QV} SELECT qid, count(*) AS n, round(min(ms), 3) AS low, round(max(ms), 3) AS high FROM r WHERE rk <= 20 GROUP BY qid")
+@query(f"WITH {QV} SELECT qid, count(*) AS n, min(ms) AS low, max(ms) AS high FROM r WHERE rk <= 20 GROUP BY qid")
 def g_topk_vectors(spark, d):
     q, f = _qv(spark, d)
     top = retrieval.top_vectors(q, f, 20, "edge_id")
-    return top.groupBy("qid").agg(F.count("*").alias("n"), F.round(F.round(F.min("ms"), 4), 3).alias("low"), F.round(F.round(F.max("ms"), 4), 3).alias("high"))
+    return top.groupBy("qid").agg(F.count("*").alias("n"), F.round(F.min("ms"), 4).alias("low"), F.round(F.max("ms"), 4).alias("high"))
 
 
 @query(f"WITH {QV}, k AS (SELECT * FROM r WHERE rk <= 5), o AS (SELECT *, ms >= 0.25 AS ok FROM k), a AS (SELECT qid, bool_or(ok) AS anyok FROM o GROUP BY qid) SELECT o.qid, edge_id, ms FROM o JOIN a ON o.qid = a.qid WHERE ok OR (NOT anyok AND rk = 1)")

@@ -159,7 +159,7 @@ def join_shuffle_hash(spark, d):
     return li.join(o.hint("shuffle_hash"), li["l_orderkey"] == o["o_orderkey"]).groupBy("o_orderpriority").agg(F.count("*").alias("n"), F.round(F.sum("l_quantity"), 2).alias("qty"))
 
 
-@query("SELECT a.vec_id AS u, b.vec_id AS v FROM embeddings a JOIN embeddings b ON a.vec_id < b.vec_id AND list_cosine_similarity(a.embedding, b.embedding) > 0.4")
+@query("SELECT a.vec_id AS u, b.vec_id AS v FROM embeddings a JOIN embeddings b ON a.vec_id < b.vec_id AND list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]) > 0.4")
 def join_theta_pairs(spark, d):
     from evigraph.operators.synonyms import pairs_exact
 
@@ -305,7 +305,7 @@ by_sql("fn_date_family", "SELECT o_orderkey, year(o_orderdate) AS y, month(o_ord
 by_sql("fn_math_family", "SELECT c_custkey, round(ln(1 + abs(c_acctbal)), 5) AS l, round(sqrt(abs(c_acctbal)), 5) AS s, round(power(c_custkey, 0.5), 5) AS p, CAST(floor(c_acctbal) AS BIGINT) AS f, c_custkey % 7 AS m, greatest(c_custkey, 50) AS g FROM customer", tables="customer")
 
 
-@query("SELECT vec_id, round(list_cosine_similarity(embedding, (SELECT embedding FROM embeddings WHERE vec_id = 0)), 4) AS cos FROM embeddings")
+@query("SELECT vec_id, round(list_cosine_similarity(embedding::DOUBLE[], (SELECT embedding::DOUBLE[] FROM embeddings WHERE vec_id = 0)), 4) AS cos FROM embeddings")
 def fn_array_cosine(spark, d):
     e = table(spark, d, "embeddings")
     return e.join(F.broadcast(e.where("vec_id = 0").select(F.col("embedding").alias("z")))).select("vec_id", F.round(retrieval.cosine(F.col("embedding"), F.col("z")), 4).alias("cos"))
