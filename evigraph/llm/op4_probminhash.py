@@ -7,8 +7,8 @@ similarity, which for plain sets is the Jaccard similarity and doesn't change wh
 
 BANDS bands of ROWS registers find candidates: at similarity 0.8 a pair shares a band with probability 1 - (1 - 0.8**5)**24,
 over 0.9999. Equal texts are one node. A bucket is linked by hubs, not by all its pairs: its member that shares most
-buckets with others (in a group of copies, their original); in further rounds members that stay apart from a bucket's hub give
-three new hubs, one such and two drawn by hash. Each candidate is verified on whole texts by the exact similarity. Links are joined by distributed union-find.
+buckets with others (in a group of copies, their original); in further rounds the members that stay apart from a bucket's hub give
+it a new one. Each candidate is verified on whole texts by the exact similarity. Links are joined by distributed union-find.
 
 Defined cases: a text under five words is one shingle; texts without words match equal texts only; a null text is a class of its own; a
 null id is replaced by a negative number made from the text; rows that repeat an id and text are in the same class; an empty
@@ -139,20 +139,22 @@ def _verify(pairs: DataFrame, texts: DataFrame) -> DataFrame:
 
 
 def _hubs(members: DataFrame) -> DataFrame:
-    draw = F.xxhash64("node", "b")
-    return members.groupBy("b").agg(
-        F.max(F.struct("pop", (-F.col("node")).alias("n"), "root")).alias("top"),
-        F.min(F.struct(draw.alias("d"), "node", "root")).alias("low"),
-        F.max(F.struct(draw.alias("d"), "node", "root")).alias("high"),
-    )
+    """The member of each bucket that shares most buckets with others."""
+    top = members.groupBy("b").agg(F.max(F.struct("pop", (-F.col("node")).alias("n"), "root")).alias("top"))
+    return top.select("b", (-F.col("top.n")).alias("hub"), F.col("top.root").alias("hub_root"))
 
 
-def _candidates(members: DataFrame, hubs: DataFrame, all_hubs: bool) -> DataFrame:
-    top = F.struct((-F.col("top.n")).alias("node"), F.col("top.root").alias("root"))
-    more = [F.struct("low.node", "low.root"), F.struct("high.node", "high.root")] if all_hubs else []
-    each = F.explode(F.array(top, *more))
-    met = members.join(hubs.select("b", each.alias("h")), "b").where("root <> h.root")
-    return met.select(F.col("node").alias("a"), F.col("h.node").alias("b")).distinct()
+def _candidates(members: DataFrame, hubs: DataFrame) -> DataFrame:
+    met = members.join(hubs, "b").where("root <> hub_root")
+    return met.select(F.col("node").alias("a"), F.col("hub").alias("b")).distinct()
+
+
+def _joined(tested: DataFrame) -> DataFrame:
+    """node, root: a hub that a node is known to be like, and that hub's own. Nodes of one root are of one class, which is all that rounds
+    need to know; the classes are found once, at the end."""
+    pick = tested.where(F.col("sim") >= THRESHOLD).groupBy("a").agg(F.min("b").alias("b"))
+    up = pick.select(F.col("a").alias("b"), F.col("b").alias("up"))
+    return pick.join(up, "b", "left").select(F.col("a").alias("node"), F.coalesce("up", "b").alias("root"))
 
 
 def classes(df: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
@@ -169,27 +171,24 @@ def classes(df: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame
     members = saved(met.join(pop, "node").select("b", "no", "node", "pop"), "members")
     texts = keyed.select("_id", "t")
     own = members.withColumn("root", F.col("node"))
-    tested, roots, rest = None, None, None
+    tested = rest = None
     for turn in range(ROUNDS):
         # A few bands first: they join most of a large group of copies, and later rounds meet what is still apart only.
         part = own.where(F.col("no") < FIRST) if turn == 0 else own
-        pairs = _candidates(part, _hubs(part if rest is None else rest), rest is not None)
+        pairs = _candidates(part, _hubs(part if rest is None else rest))
         if tested is not None:
             pairs = pairs.join(tested, ["a", "b"], "left_anti")
         got = saved(_verify(pairs, texts), "verified")
         tested = got if tested is None else tested.unionByName(got)
-        if roots is None or not got.where(F.col("sim") >= THRESHOLD).isEmpty():
-            roots = components(tested.where(F.col("sim") >= THRESHOLD), "a", "b")
-            own = members.join(roots, "node", "left").select("b", "no", "node", "pop", F.coalesce("root", "node").alias("root"))
-        elif turn > 1:
+        if turn == ROUNDS - 1 or (turn > 1 and got.isEmpty()):
             break
+        own = saved(members.join(_joined(tested), "node", "left").select("b", "no", "node", "pop", F.coalesce("root", "node").alias("root")), "own")
         if turn == 0:
             continue
-        best = own.groupBy("b").agg(F.max(F.struct("pop", (-F.col("node")).alias("n"), "root")).alias("top"), F.count("*").alias("c"), F.min("root").alias("x"), F.max("root").alias("y"))
-        # In buckets of two the only pair has been tried.
-        rest = saved(own.join(best.where("x < y and c > 2").select("b", F.col("top.root").alias("o")), "b").where("root <> o").drop("o"), "apart")
-        if rest.isEmpty():
-            break
+        # A bucket's members that are apart from its hub give the next hub.
+        live = own if rest is None else own.join(rest.select("b", "node"), ["b", "node"], "left_semi")
+        rest = saved(live.join(_hubs(live).select("b", "hub_root"), "b").where("root <> hub_root").drop("hub_root"), "apart")
+    roots = components(tested.where(F.col("sim") >= THRESHOLD), "a", "b")
     named = signed.select("id", "key").join(nodes.select("key", "node"), "key")
     found = named.join(roots, "node", "left").select(F.col("id").alias("_id"), F.coalesce("root", "node").alias("class_id"))
     alone = rows.where(F.col(text).isNull()).select("_id", F.col("_id").alias("class_id"))
