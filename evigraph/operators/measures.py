@@ -90,7 +90,7 @@ def coverage(evidence: Column, response: Column) -> Column:
 
 
 def claims(answer: Column) -> Column:
-    return F.filter(F.transform(F.split(answer, r"[.!?\n]+"), F.trim), lambda c: c != "")
+    return F.filter(F.transform(F.split(answer, r"[.!?\n]+"), lambda c: F.trim(c)), lambda c: c != "")
 
 
 def faithfulness(answer: Column, context: Column) -> Column:
