@@ -276,6 +276,31 @@ def w_compare(spark, d):
     return out.select("system", F.round("hit_rate", 6).alias("hit_rate"), F.round("mrr", 6).alias("mrr"), "questions")
 
 
+@query()
+def w_compare_reason(spark, d):
+    """W2 and W11: whether the turn that answers a question is among the passages, by system."""
+    index, qs = _reason_index(spark, d), corpora.reasoning_questions(spark, d)
+    q = once(spark, ("reason questions", d), lambda: written(se.with_vectors(qs.select("qid", "text"), 64), "questions"))
+    gold = written(qs.select("qid", F.explode("evidence").alias("doc_key")), "gold")
+    out = evidence_hits(index, q, gold).withColumn("system", F.lit("method"))
+    for n in ("dense", "bm25", "ppr_passage", "ppr_sum", "neighbourhood"):
+        out = out.unionByName(me.hit_rate(SYSTEMS[n](index, q), gold, 5).withColumn("system", F.lit(n)))
+    return out.select("system", F.round("hit_rate", 6).alias("hit_rate"), F.round("mrr", 6).alias("mrr"), "questions")
+
+
+@query()
+def w_sensitivity(spark, d):
+    """W8: hits of the method's passages by largest n-gram; each cell builds its own index."""
+    gold, out = written(_gold(spark, d), "gold"), None
+    for n in (1, 3, 5):
+        cfg = Config(entity=EntitySpec(max_n=n))
+        index = once(spark, ("grid", n, d), lambda c=cfg: ix.build(corpora.documents(spark, d), c))
+        found = ba.ppr_passage(index, questions_of(spark, d))
+        row = me.hit_rate(found, gold, 5).select(F.lit(n).alias("max_n"), F.round("hit_rate", 6).alias("hit_rate"), F.round("mrr", 6).alias("mrr"))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
 @query()
 def w_ablation(spark, d):
     """W10: prompt and answer words, subgraph sizes and hits by variant."""

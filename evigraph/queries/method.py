@@ -443,6 +443,7 @@ for _name, _parts in {
     "g_path_chain": {"tree": {"method": "chain"}, "growing": False},
     "g_grow_sum": {"grow": {"threshold": "sum", "max_steps": 300}},
     "g_grow_mean": {"grow": {"threshold": "mean"}},
+    "udf_grow": {"grow": {"threshold": "mean", "pick": "node", "recompute": "before"}},
     "g_grow_pooled": {"grow": {"threshold": "pooled", "pick": "node"}},
     "g_grow_node": {"grow": {"pick": "node"}},
     "g_grow_node_all": {"grow": {"pick": "node_all"}},
