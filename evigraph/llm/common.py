@@ -36,11 +36,14 @@ def scratch(spark: SparkSession, name: str) -> str:
     return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
 
 
-def saved(df: DataFrame, name: str) -> DataFrame:
-    """Cut the lineage by a table in the shared folder; a lost executor loses nothing of it."""
+def saved(df: DataFrame, name: str, light: bool = False) -> DataFrame:
+    """Cut the lineage by a table in the shared folder; a lost executor loses nothing of it.
+
+    A light table (keys and numbers only) is written in three files a core at most, as many small files cost more than they hold.
+    """
     spark = df.sparkSession
     path = scratch(spark, name)
-    df.write.parquet(path)
+    (df.coalesce(3 * max(4, spark.sparkContext.defaultParallelism)) if light else df).write.parquet(path)
     return spark.read.schema(df.schema).parquet(path)
 
 

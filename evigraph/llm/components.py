@@ -34,9 +34,9 @@ def _settled(e: DataFrame) -> bool:
 def components(edges: DataFrame, a: str, b: str, rounds: int = 60) -> DataFrame:
     """Node and root (the least node of its component) of every node that has an edge."""
     e = edges.select(F.greatest(a, b).alias("u"), F.least(a, b).alias("v")).where("u > v").distinct()
-    e = saved(e, "edges")  # the first round reads it more than once
+    e = saved(e, "edges", light=True)  # the first round reads it more than once
     for _ in range(rounds):
-        e = saved(_small(_large(e)), "stars")
+        e = saved(_small(_large(e)), "stars", light=True)
         if _settled(e):
             roots = e.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct()
             return e.select(F.col("u").alias("node"), F.col("v").alias("root")).unionByName(roots)

@@ -166,9 +166,9 @@ def classes(df: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame
     nodes = signed.groupBy("key").agg(F.min("id").alias("node"), F.first("bands").alias("bands"))
     banded = nodes.select("node", F.posexplode("bands").alias("no", "b"))
     shared = banded.groupBy("b").agg(F.count("*").alias("c")).where("c > 1")
-    met = saved(banded.hint("merge").join(shared, "b"), "buckets")
+    met = saved(banded.hint("merge").join(shared, "b"), "buckets", light=True)
     pop = met.groupBy("node").agg(F.sum("c").alias("pop"))
-    members = saved(met.join(pop, "node").select("b", "no", "node", "pop"), "members")
+    members = saved(met.join(pop, "node").select("b", "no", "node", "pop"), "members", light=True)
     texts = keyed.select("_id", "t")
     own = members.withColumn("root", F.col("node"))
     tested = rest = None
@@ -182,12 +182,12 @@ def classes(df: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame
         tested = got if tested is None else tested.unionByName(got)
         if turn == ROUNDS - 1 or (turn > 1 and got.isEmpty()):
             break
-        own = saved(members.join(_joined(tested), "node", "left").select("b", "no", "node", "pop", F.coalesce("root", "node").alias("root")), "own")
+        own = saved(members.join(_joined(tested), "node", "left").select("b", "no", "node", "pop", F.coalesce("root", "node").alias("root")), "own", light=True)
         if turn == 0:
             continue
         # A bucket's members that are apart from its hub give the next hub.
         live = own if rest is None else own.join(rest.select("b", "node"), ["b", "node"], "left_semi")
-        rest = saved(live.join(_hubs(live).select("b", "hub_root"), "b").where("root <> hub_root").drop("hub_root"), "apart")
+        rest = saved(live.join(_hubs(live).select("b", "hub_root"), "b").where("root <> hub_root").drop("hub_root"), "apart", light=True)
     roots = components(tested.where(F.col("sim") >= THRESHOLD), "a", "b")
     named = signed.select("id", "key").join(nodes.select("key", "node"), "key")
     found = named.join(roots, "node", "left").select(F.col("id").alias("_id"), F.coalesce("root", "node").alias("class_id"))
