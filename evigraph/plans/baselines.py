@@ -195,12 +195,16 @@ def neighbourhood(index: Index, q: DataFrame, k: int = 5, hops: int = 1, mode: s
     return best(met, k, "score", "chunk_key")
 
 
+def _scores_only(index: Index):
+    return replace(index.cfg, tree=replace(index.cfg.tree, method="none"))
+
+
 def ppr_passage(index: Index, q: DataFrame, k: int = 5) -> DataFrame:
-    return retrieved_by(search(index, q, grow=False, k=k), "passages")
+    return retrieved_by(search(index, q, _scores_only(index), grow=False, k=k), "passages")
 
 
 def ppr_sum(index: Index, q: DataFrame, k: int = 5) -> DataFrame:
-    return retrieved_by(search(index, q, grow=False, k=k), "summed")
+    return retrieved_by(search(index, q, _scores_only(index), grow=False, k=k), "summed")
 
 
 __all__ = ["influence_of", "map_and_filter"]

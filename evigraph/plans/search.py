@@ -62,7 +62,7 @@ def one(loc: LocalIndex, qid: int, text: str, q: np.ndarray, cfg: Config, judge:
     cost = (1 - (loc.vecs @ q).astype(float)) / 2 if len(loc.vecs) else np.zeros(0)
     n_real = len(loc.edge_ids)
     full = np.concatenate([cost, np.full(len(loc.linked.ends) - n_real, cfg.tree.pseudo)])
-    method = {"voronoi": loc.linked.steiner_voronoi, "closure": loc.linked.steiner_closure, "chain": loc.linked.path_chain}[cfg.tree.method]
+    method = {"voronoi": loc.linked.steiner_voronoi, "closure": loc.linked.steiner_closure, "chain": loc.linked.path_chain, "none": lambda *_: []}[cfg.tree.method]
     tree = [e for e in method(full, terminals)] if len(terminals) > 1 else []
     real = [e for e in tree if e < n_real]
     g = cfg.grow

@@ -40,7 +40,7 @@ class InfluenceSpec:
 
 @dataclass(frozen=True)
 class TreeSpec:
-    method: str = "voronoi"  # voronoi, closure, chain
+    method: str = "voronoi"  # voronoi, closure, chain, none
     pseudo: float = 10.0
 
 
