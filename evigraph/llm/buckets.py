@@ -1,0 +1,22 @@
+"""All pairs inside buckets, in blocks.
+
+A bucket of n members is dealt by hash into parts of about BLOCK, and each two parts (and each part with itself) meet under a key of their own.
+No task holds more than two parts of a bucket at once, and every pair of different roots is met, however large the bucket is.
+"""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
+
+BLOCK = 256
+
+
+def pairs_apart(members: DataFrame, block: int = BLOCK) -> DataFrame:
+    """a, b (a > b): every pair of nodes of different roots that share a bucket, once; members: b, node, root, once for each b and node."""
+    size = members.groupBy("b").agg(F.count("*").alias("n"), F.min("root").alias("lo"), F.max("root").alias("hi")).where("lo <> hi")
+    dealt = members.join(size.select("b", F.ceil(F.col("n") / block).cast("int").alias("parts")), "b").withColumn("part", F.pmod(F.xxhash64("node"), "parts").cast("int"))
+    left = dealt.select("b", F.col("node").alias("x"), F.col("root").alias("rx"), F.col("part").alias("i"), F.explode(F.sequence("part", F.col("parts") - 1)).alias("j"))
+    right = dealt.select("b", F.col("node").alias("y"), F.col("root").alias("ry"), F.explode(F.sequence(F.lit(0), "part")).alias("i"), F.col("part").alias("j"))
+    met = left.join(right, ["b", "i", "j"]).where("rx <> ry and (i < j or x > y)")
+    return met.select(F.greatest("x", "y").alias("a"), F.least("x", "y").alias("b")).distinct()

@@ -41,3 +41,15 @@ def components(edges: DataFrame, a: str, b: str, rounds: int = 60) -> DataFrame:
             roots = e.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct()
             return e.select(F.col("u").alias("node"), F.col("v").alias("root")).unionByName(roots)
     raise RuntimeError("components: no fixed point in the allowed rounds")
+
+
+def joined_on(roots: DataFrame, links: DataFrame) -> DataFrame:
+    """node and root after more links (a, b) between nodes; nodes without a root are their own."""
+    if links.isEmpty():
+        return roots
+    of = roots.select(F.col("node").alias("a"), F.col("root").alias("ra"))
+    up = links.select("a", "b").join(of, "a", "left").join(of.toDF("b", "rb"), "b", "left")
+    up = saved(components(up.select(F.coalesce("ra", "a").alias("a"), F.coalesce("rb", "b").alias("b")), "a", "b").toDF("root", "top"), "tops", light=True)
+    old = roots.join(up, "root", "left").select("node", F.coalesce("top", "root").alias("root"))
+    new = up.select(F.col("root").alias("node"), F.col("top").alias("root")).join(roots.select("node"), "node", "left_anti")
+    return old.unionByName(new)

@@ -2,8 +2,10 @@
 
 A line (between line feeds, outer white space off) is the set of its K-character shingles. One-permutation MinHash gives REGISTERS
 minima from one hash of each shingle; empty registers borrow by a fixed random order. BANDS bands of three registers
-find candidates: at Jaccard 0.8 a pair shares a band with probability 1 - (1 - 0.8**3)**10, over 0.999. In a bucket each line meets
-the bucket's first line and its neighbour by hash. Candidates are verified by exact Jaccard of whole lines; verified links and equal
+find candidates: at Jaccard 0.8 a pair shares a band with probability 1 - (1 - 0.8**3)**10, over 0.999. All pairs of a bucket are candidates
+but those already joined through others: in buckets over SMALL lines each line first meets the bucket's first line and its neighbour by hash,
+which joins most of a group of copies, then every pair of lines that are still in different components is met, in blocks (`buckets`).
+Candidates are verified by exact Jaccard of whole lines; verified links and equal
 lines are joined by distributed union-find, and of each component only the occurrence least by (document id, line number) stays.
 
 Texts of candidate lines are fetched by a second scan that passes only lines whose hash is in a bit table of fixed
@@ -24,12 +26,14 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from evigraph.llm.buckets import pairs_apart
 from evigraph.llm.common import documents, saved
-from evigraph.llm.components import components
+from evigraph.llm.components import components, joined_on
 from evigraph.llm.hashing import U, _tables, char_shingles, code_points, mix, powers, prefix
 
 K, THRESHOLD = 8, 0.8
 REGISTERS, BANDS, ROWS = 32, 10, 3
+SMALL = 16
 CHUNK, SEEN, TABLE = 1 << 16, 1 << 17, 1 << 19
 NO_ID = -(2**63)
 
@@ -175,9 +179,6 @@ def _verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         sims = []
         for i in range(batch.num_rows):
             x, y = s[i].as_py(), t[i].as_py()
-            if min(len(x), len(y)) < THRESHOLD / 2 * max(len(x), len(y)):  # sets may repeat shingles, so a loose bound
-                sims.append(0.0)
-                continue
             h = b[i].as_py()
             if h not in held:
                 held = {h: np.unique(char_shingles(y, K))}
@@ -185,19 +186,34 @@ def _verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([a, b, pa.array(sims, pa.float64())], names=["a", "b", "sim"])
 
 
+def _tested(pairs: DataFrame, texts: DataFrame) -> DataFrame:
+    left = texts.select(F.col("h").alias("a"), F.col("line").alias("s"))
+    right = texts.select(F.col("h").alias("b"), F.col("line").alias("t"))
+    return pairs.join(left, "a").join(right, "b").select("a", "b", "s", "t").mapInArrow(_verify, "a long, b long, sim double")
+
+
 def keepers(df: DataFrame, key: str, text: str) -> DataFrame:
     """id and the numbers of the lines that stay."""
     docs = df.select(F.coalesce(F.col(key).cast("long"), F.lit(NO_ID)).alias("id"), F.col(text).alias("t")).where(F.col("t").isNotNull())
     order = Window.partitionBy("b").orderBy("h")
     banded = docs.select("t").mapInArrow(_band_rows, "b long, h long")
     met = banded.select("b", "h", F.first("h").over(order).alias("hub"), F.lag("h").over(order).alias("prev")).where("prev is not null and prev <> h")
-    pairs = met.select("h", F.explode(F.array("hub", "prev")).alias("o")).select(F.greatest("h", "o").alias("a"), F.least("h", "o").alias("b")).where("a <> b").distinct()
-    pairs = saved(pairs, "line_pairs")
+    met = saved(met, "line_buckets", light=True)
+    hubs = met.groupBy("b").agg(F.min("hub").alias("h"), (F.count("*") + 1).alias("n"))
+    members = met.select("b", "h").unionByName(hubs.select("b", "h"))
+    large = hubs.where(F.col("n") > SMALL).select("b")
+    few = members.join(large, "b", "left_anti").select("b", F.col("h").alias("node"), F.col("h").alias("root"))
+    many = met.join(large, "b", "left_semi").select("h", F.explode(F.array("hub", "prev")).alias("o")).select(F.greatest("h", "o").alias("a"), F.least("h", "o").alias("b")).where("a <> b")
+    pairs = saved(pairs_apart(few).unionByName(many).distinct(), "line_pairs")
+    # Every member of a bucket is in one of its pairs, so these are the texts of later pairs as well.
     texts = saved(_texts_of(docs, pairs.select(F.explode(F.array("a", "b")).alias("h")).distinct()), "line_texts")
-    left = texts.select(F.col("h").alias("a"), F.col("line").alias("s"))
-    right = texts.select(F.col("h").alias("b"), F.col("line").alias("t"))
-    links = pairs.join(left, "a").join(right, "b").select("a", "b", "s", "t").mapInArrow(_verify, "a long, b long, sim double").where(F.col("sim") >= THRESHOLD)
-    roots = components(links, "a", "b").withColumnRenamed("node", "h")
+    tested = saved(_tested(pairs, texts), "line_links", light=True)
+    roots = components(tested.where(F.col("sim") >= THRESHOLD), "a", "b").withColumnRenamed("node", "h")
+    if not large.isEmpty():
+        roots = saved(roots, "line_roots", light=True)
+        crowd = members.join(large, "b", "left_semi").join(roots, "h", "left").select("b", F.col("h").alias("node"), F.coalesce("root", "h").alias("root"))
+        rest = saved(_tested(pairs_apart(crowd).join(tested, ["a", "b"], "left_anti"), texts).where(F.col("sim") >= THRESHOLD), "line_rest", light=True)
+        roots = joined_on(roots.withColumnRenamed("h", "node"), rest).withColumnRenamed("node", "h")
     places = docs.mapInArrow(_places, "id long, no int, h long").join(roots, "h", "left")
     first = places.groupBy(F.coalesce("root", "h").alias("g")).agg(F.min(F.struct("id", "no")).alias("x"))
     return first.groupBy("x.id").agg(F.collect_list("x.no").alias("stay"))

@@ -12,7 +12,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from evigraph.llm import (
-    common, components, hashing, op1_transport, op2_language, op3_byte_bpe, op4_probminhash, op5_hilbert, op6_licenses, op7_simple8b, op8_weighted_sampling, op9_fuzzy_lines, op10_mixture, queries,
+    buckets, common, components, hashing, op1_transport, op2_language, op3_byte_bpe, op4_probminhash, op5_hilbert, op6_licenses, op7_simple8b, op8_weighted_sampling, op9_fuzzy_lines, op10_mixture, queries,
 )
 
 OPS = queries.queries()
@@ -228,6 +228,14 @@ def test_star_of_copies(spark, tmp_path):
     assert len({got[i] for i in range(120)} | {got[500]}) == 1
 
 
+@pytest.mark.parametrize("block", [1, 3, 256])
+def test_all_pairs_apart(spark, block):
+    rows = [(b, n, n // 2 if b else n) for b in range(3) for n in range(5 + 4 * b)]
+    want = {(x, y) for b, x, r in rows for c, y, q in rows if b == c and x > y and r != q}
+    got = [tuple(r) for r in buckets.pairs_apart(spark.createDataFrame(rows, "b long, node long, root long"), block).collect()]
+    assert len(got) == len(set(got)) and set(got) == want
+
+
 def test_components(spark):
     rng = np.random.default_rng(1)
     edges = [(int(a), int(b)) for a, b in rng.integers(0, 300, (220, 2))] + [(i, i + 1) for i in range(1000, 1040)]
@@ -375,6 +383,28 @@ def test_lines_equal_brute_force(spark, sf, texts):
         assert r.text == "\n".join(x for n, x in enumerate(t) if not x.strip() or (r.doc_id, n) in stay)
 
 
+def test_lines_of_a_crowd(spark, tmp_path):
+    """Lines of one template just under 0.8 to each other, with pairs over it that are neither first nor neighbours."""
+    rng = np.random.default_rng(9)
+    base = "".join(chr(97 + i) for i in rng.integers(0, 26, 404))
+    lines = []
+    for i in range(60):  # lines i and i + 30 differ by one letter at the end, all others share at most one place of their edits
+        x = list(base)
+        for k in range(3):
+            at = 10 * (13 * k + (i % 30 % 13 + i % 30 // 13 * k) % 13) + 8
+            x[at : at + 2] = chr(256 + i % 30) * 2
+        x[-1] = "0" if i < 30 else "1"
+        lines.append("".join(x))
+    long = "ab" * 20
+    lines += [long, long * 4]  # the same shingles, one under 0.4 of the other's length
+    sets = [set(hashing.char_shingles(x, op9_fuzzy_lines.K).tolist()) for x in lines]
+    near = [(i, j) for i in range(62) for j in range(i) if len(sets[i] & sets[j]) / len(sets[i] | sets[j]) >= 0.8]
+    assert near == [(i + 30, i) for i in range(30)] + [(61, 60)]
+    rows = [(i, x) for i, x in enumerate(lines)]
+    got = {r.doc_id: r.n_removed for r in op9_fuzzy_lines.dedup_lines(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == {i: int(30 <= i < 60 or i == 61) for i in range(62)}
+
+
 # ---- 10 ----
 
 
