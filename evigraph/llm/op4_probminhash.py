@@ -6,9 +6,10 @@ shingle stops once its next arrival is later than every register. Two texts agre
 similarity, which for plain sets is the Jaccard similarity and doesn't change when a text is repeated.
 
 BANDS bands of ROWS registers find candidates: at similarity 0.8 a pair shares a band with probability 1 - (1 - 0.8**5)**24,
-over 0.9999. Equal texts are one node. A bucket is linked by hubs, not by all its pairs: its member that shares most
+over 0.9999. Equal texts are one node. A bucket is first linked by hubs: its member that shares most
 buckets with others (in a group of copies, their original); in further rounds the members that stay apart from a bucket's hub give
-it a new one. Each candidate is verified on whole texts by the exact similarity. Links are joined by distributed union-find.
+it a new one. Hubs only save work: after ROUNDS at most, every pair in a bucket that is not yet tested and not of one class is met, in blocks
+(`buckets`). Each candidate is verified on whole texts by the exact similarity. Links are joined by distributed union-find.
 
 Defined cases: a text under five words is one shingle; texts without words match equal texts only; a null text is a class of its own; a
 null id is replaced by a negative number made from the text; rows that repeat an id and text are in the same class; an empty
@@ -25,8 +26,9 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from evigraph.llm.buckets import pairs_apart
 from evigraph.llm.common import documents, saved
-from evigraph.llm.components import components
+from evigraph.llm.components import components, joined_on
 from evigraph.llm.hashing import U, mix, shingles, word_hashes
 
 WORDS, THRESHOLD = 5, 0.8
@@ -188,7 +190,12 @@ def classes(df: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame
         # A bucket's members that are apart from its hub give the next hub.
         live = own if rest is None else own.join(rest.select("b", "node"), ["b", "node"], "left_semi")
         rest = saved(live.join(_hubs(live).select("b", "hub_root"), "b").where("root <> hub_root").drop("hub_root"), "apart", light=True)
-    roots = components(tested.where(F.col("sim") >= THRESHOLD), "a", "b")
+    roots = saved(components(tested.where(F.col("sim") >= THRESHOLD), "a", "b"), "roots", light=True)
+    # What no hub has joined: all untested pairs of different classes.
+    own = members.join(roots, "node", "left").select("b", "node", F.coalesce("root", "node").alias("root"))
+    untested = pairs_apart(own).join(tested.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")), ["a", "b"], "left_anti")
+    last = saved(_verify(untested, texts), "rest")
+    roots = joined_on(roots, last.where(F.col("sim") >= THRESHOLD))
     named = signed.select("id", "key").join(nodes.select("key", "node"), "key")
     found = named.join(roots, "node", "left").select(F.col("id").alias("_id"), F.coalesce("root", "node").alias("class_id"))
     alone = rows.where(F.col(text).isNull()).select("_id", F.col("_id").alias("class_id"))

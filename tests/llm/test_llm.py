@@ -228,6 +228,25 @@ def test_star_of_copies(spark, tmp_path):
     assert len({got[i] for i in range(120)} | {got[500]}) == 1
 
 
+def test_pairs_of_a_crowd(spark):
+    """Many texts at 0.75 to 0.79 to each other, with planted pairs over 0.8 that no hub joins."""
+    words = [f"word{i}" for i in range(400)]
+    rows = []
+    for i in range(80):
+        w, j = list(words), i % 40
+        for k in range(5):  # any two of the 40 share at most one place of their edits
+            w[5 * (13 * k + (j % 13 + j // 13 * k) % 13) + 5] = f"edit{j}x{k}"
+        w[-1] = f"end{i}"
+        rows.append((i, " ".join(w)))
+    want = classes_by_force(dict(rows))
+    sets = [op4_probminhash.weighted(t) for _, t in rows]
+    others = [op4_probminhash.similarity(sets[i], sets[j]) for i in range(40) for j in range(i)]
+    assert 0.75 <= min(others) and max(others) < 0.8
+    assert want == {i: i % 40 for i in range(80)}
+    got = {r._id: r.class_id for r in op4_probminhash.classes(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert got == want
+
+
 @pytest.mark.parametrize("block", [1, 3, 256])
 def test_all_pairs_apart(spark, block):
     rows = [(b, n, n // 2 if b else n) for b in range(3) for n in range(5 + 4 * b)]
