@@ -4,14 +4,15 @@ A template is the set of its five-word shingles. Windows of each size in WINDOWS
 window (one word more for the shortest) lies whole in one of them. A window's signature is BANDS minima, each a band of
 its own; a template in the smallest window that can hold it is at least 0.15 of that window's shingles, so it is retrieved with probability
 1 - 0.85**BANDS, over 0.9995. What is retrieved is verified: the exact share of the template's shingles in the window and its
-neighbours must be THRESHOLD or more. Templates are few and fixed, so their table travels with the tasks.
+neighbours must be THRESHOLD or more, over any span of the template's length. Templates are few and fixed, so their table travels with the tasks.
 
 Defined cases: null or empty texts match nothing; a text under five words is one shingle; overlapping finds of one
-template in one place count once; templates under five words aren't allowed; extra columns are dropped.
+template count once (as many as lie apart are kept); templates under five words aren't allowed; extra columns are dropped.
 """
 
 from __future__ import annotations
 
+import bisect
 import functools
 from collections.abc import Iterator
 
@@ -56,6 +57,23 @@ def permuted(s: np.ndarray) -> np.ndarray:
     return (s[None, :] ^ k[:, None]) * (k[:, None] | U(1))
 
 
+def apart(shares: dict[int, float], width: int) -> list[tuple[int, float]]:
+    """Of spans (start: share) of one width: as many as can lie without overlap, with the largest sum of shares, early ones first."""
+    starts = sorted(shares)
+    best: list[tuple[int, float, int]] = [(0, 0.0, len(starts))] * (len(starts) + 1)  # finds, sum, first one taken
+    after = [bisect.bisect_left(starts, p + width) for p in starts]
+    for k in range(len(starts) - 1, -1, -1):
+        n, total, _ = best[after[k]]
+        take = (n + 1, total + shares[starts[k]], k)
+        best[k] = take if take[:2] >= best[k + 1][:2] else best[k + 1]
+    out, k = [], 0
+    while best[k][0]:
+        k = best[k][2]
+        out.append((starts[k], shares[starts[k]]))
+        k = after[k]
+    return out
+
+
 class Scanner:
     def __init__(self, templates: dict[str, str]):
         self.names, self.sets, self.words = [], [], []
@@ -96,14 +114,18 @@ class Scanner:
                 a = at + i * (size // 2)
                 near = s[a : a + size + self.words[t]]
                 inside = np.flatnonzero(np.isin(near, self.sets[t]))
-                if not len(inside):
+                which = np.searchsorted(self.sets[t], near[inside])
+                need = THRESHOLD * len(self.sets[t])
+                if len(np.unique(which)) < need:
                     continue
-                # The find lies within the template's length of its first shingle.
-                run = near[inside[0] : inside[0] + self.words[t]]
-                share = len(np.intersect1d(run, self.sets[t])) / len(self.sets[t])
-                if share >= THRESHOLD:
-                    key = (t, a + int(inside[0]))
-                    found[key] = max(found.get(key, 0.0), share)
+                # A find may start at any template shingle of the window and lies within the template's length of it.
+                ends = np.searchsorted(inside, inside + self.words[t])
+                for k in range(int(np.searchsorted(inside, size))):
+                    if (t, a + int(inside[k])) not in found and ends[k] - k >= need:
+                        share = len(np.unique(which[k : ends[k]])) / len(self.sets[t])
+                        if share >= THRESHOLD:
+                            found[t, a + int(inside[k])] = share
+        found = {(t, p): v for t in {t for t, _ in found} for p, v in apart({p: v for (u, p), v in found.items() if u == t}, self.words[t])}
         return sorted((self.names[t], p, p + self.words[t] - 1, v) for (t, p), v in found.items())
 
 

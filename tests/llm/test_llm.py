@@ -319,6 +319,19 @@ def test_licenses_in_long_texts():
     assert scan.scan(noise) == [] == scan.scan(None)
 
 
+def test_dual_and_repeated_licenses():
+    scan = op6_licenses.Scanner(op6_licenses.TEMPLATES)
+    own = op6_licenses.TEMPLATES
+    pairs = [("CC-BY-4.0", "CC-BY-NC-4.0"), ("CC-BY-NC-4.0", "CC-BY-4.0"), ("MIT", "MIT"), ("CC-BY-4.0", "CC-BY-4.0"), ("MIT-notice", "MIT-notice")]
+    for first, second in pairs:
+        n = len(hashing.word_hashes(own[first]))
+        for at in range(64):
+            found = scan.scan(" ".join(f"n{i}" for i in range(at)) + f" {own[first]} {own[second]} " + " ".join(f"m{i}" for i in range(90)))
+            assert {(f[0], f[1]) for f in found} >= {(first, at), (second, at + n)}, (first, second, at)
+            assert sum(f[0] == second for f in found) == 1 + (first == second)
+            assert all(f[3] == 1 for f in found if f[0] in (first, second))
+
+
 # ---- 7 ----
 
 
