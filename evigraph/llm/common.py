@@ -22,15 +22,23 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/documents.parquet")
 
 
+def free(df: DataFrame, name: str) -> str:
+    """A column name that the table doesn't have in any case of letters."""
+    own = {c.lower() for c in df.columns}
+    while name.lower() in own:
+        name += "_"
+    return name
+
+
 def scratch(spark: SparkSession, name: str) -> str:
     """A new folder under spark.checkpoint.dir, which the driver and all executors share.
 
-    Where a session has none (tests on one machine), a temporary folder is made and set.
+    Only a session on one machine (tests) may have none: a temporary folder is made and set there.
     """
-    base = spark.conf.get("spark.checkpoint.dir", None)
-    if not base:
-        base = spark.sparkContext.getCheckpointDir()
+    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not base:
+        if not spark.sparkContext.master.startswith("local[") and spark.sparkContext.master != "local":
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         base = tempfile.mkdtemp(prefix="evigraph-")
         spark.sparkContext.setCheckpointDir(base)
     return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
@@ -39,12 +47,22 @@ def scratch(spark: SparkSession, name: str) -> str:
 def saved(df: DataFrame, name: str, light: bool = False) -> DataFrame:
     """Cut the lineage by a table in the shared folder; a lost executor loses nothing of it.
 
-    A light table (keys and numbers only) is written in three files a core at most, as many small files cost more than they hold.
+    A light table (keys and numbers only) is written in one file a core at most, as many small files cost more than they hold.
     """
     spark = df.sparkSession
     path = scratch(spark, name)
-    (df.coalesce(3 * max(4, spark.sparkContext.defaultParallelism)) if light else df).write.parquet(path)
-    return spark.read.schema(df.schema).parquet(path)
+    (df.coalesce(max(4, spark.sparkContext.defaultParallelism)) if light else df).write.parquet(path)
+    out = spark.read.schema(df.schema).parquet(path)
+    out._scratch = path
+    return out
+
+
+def forget(*tables: DataFrame) -> None:
+    """Delete saved tables that nothing will read again."""
+    for df in tables:
+        context = df.sparkSession.sparkContext
+        path = context._jvm.org.apache.hadoop.fs.Path(df._scratch)
+        path.getFileSystem(context._jsc.hadoopConfiguration()).delete(path, True)
 
 
 def long_array(values: list[int]) -> Column:

@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from evigraph.llm.common import saved
+from evigraph.llm.common import forget, saved
 
 
 def _large(e: DataFrame) -> DataFrame:
@@ -36,7 +36,8 @@ def components(edges: DataFrame, a: str, b: str, rounds: int = 60) -> DataFrame:
     e = edges.select(F.greatest(a, b).alias("u"), F.least(a, b).alias("v")).where("u > v").distinct()
     e = saved(e, "edges", light=True)  # the first round reads it more than once
     for _ in range(rounds):
-        e = saved(_small(_large(e)), "stars", light=True)
+        old, e = e, saved(_small(_large(e)), "stars", light=True)
+        forget(old)
         if _settled(e):
             roots = e.select(F.col("v").alias("node"), F.col("v").alias("root")).distinct()
             return e.select(F.col("u").alias("node"), F.col("v").alias("root")).unionByName(roots)

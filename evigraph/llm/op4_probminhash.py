@@ -6,14 +6,14 @@ shingle stops once its next arrival is later than every register. Two texts agre
 similarity, which for plain sets is the Jaccard similarity and doesn't change when a text is repeated.
 
 BANDS bands of ROWS registers find candidates: at similarity 0.8 a pair shares a band with probability 1 - (1 - 0.8**5)**24,
-over 0.9999. Equal texts are one node. A bucket is first linked by hubs: its member that shares most
-buckets with others (in a group of copies, their original); in further rounds the members that stay apart from a bucket's hub give
-it a new one. Hubs only save work: after ROUNDS at most, every pair in a bucket that is not yet tested and not of one class is met, in blocks
-(`buckets`). Each candidate is verified on whole texts by the exact similarity. Links are joined by distributed union-find.
+over 0.9999. Equal texts are one node. Every two nodes of a bucket are held against each other on whole texts by the exact similarity, unless both are
+already in one class: the pairs of small buckets as rows, once each, those of large buckets inside blocks (`blocks`). Links are joined by
+distributed union-find.
 
 Defined cases: a text under five words is one shingle; texts without words match equal texts only; a null text is a class of its own; a
-null id is replaced by a negative number made from the text; rows that repeat an id and text are in the same class; an empty
-table gives an empty result.
+null id is replaced by a negative number made from the text; rows that repeat an id and text are in the same class, and one of them stays; unequal texts with one id
+are different nodes: the class of each is named by its own least id and told apart by class_md5, the checksum of the text that stays; an empty
+table gives an empty result; extra columns stay, whatever their names.
 """
 
 from __future__ import annotations
@@ -21,18 +21,18 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from evigraph.llm.buckets import pairs_apart
-from evigraph.llm.common import documents, saved
+from evigraph.llm import blocks
+from evigraph.llm.blocks import similarity
+from evigraph.llm.common import documents, forget, free, saved
 from evigraph.llm.components import components, joined_on
 from evigraph.llm.hashing import U, mix, shingles, word_hashes
 
 WORDS, THRESHOLD = 5, 0.8
-BANDS, ROWS, ROUNDS, FIRST = 24, 5, 4, 4
+BANDS, ROWS = 24, 5
 REGISTERS = BANDS * ROWS
 BATCH = 120_000
 
@@ -70,149 +70,119 @@ def bands(registers: np.ndarray) -> np.ndarray:
     return mix(out + np.arange(BANDS, dtype=U) * U(0x9FB21C651E98DF25)).view(np.int64)
 
 
-def similarity(x: tuple[np.ndarray, np.ndarray], y: tuple[np.ndarray, np.ndarray]) -> float:
-    """Exact probability Jaccard: over shared shingles d, the sum of 1 / sum of max(x'/x_d, y'/y_d) over all shingles."""
-    (a, wa), (b, wb) = x, y
-    if not len(a) or not len(b):
-        return 0.0
-    every = np.union1d(a, b)
-    p, q = np.zeros(len(every)), np.zeros(len(every))
-    p[np.searchsorted(every, a)], q[np.searchsorted(every, b)] = wa, wb
-    with np.errstate(divide="ignore"):
-        ratio = np.where(q > 0, p / q, np.inf)
-    order = np.argsort(ratio, kind="stable")
-    ratio, p, q = ratio[order], p[order], q[order]
-    below, above = np.cumsum(q), p.sum() - np.cumsum(p)
-    last = np.searchsorted(ratio, ratio, side="right") - 1
-    both = (p > 0) & (q > 0)
-    total = above[last] + np.where(both, ratio, 0) * below[last]
-    return float((p[both] / total[both]).sum())
+SIGNED = "id long, key binary, bands array<long>"
 
 
 def _sign(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    names = ["id", "key", "bands"]
     for batch in batches:
         ids, keys, texts = batch.columns
         todo: list[tuple[int, tuple]] = []
 
-        def flush():
-            if not todo:
-                return
-            rows = bands(signatures([s for _, s in todo]))
-            yield pa.RecordBatch.from_arrays([ids.take([i for i, _ in todo]), keys.take([i for i, _ in todo]), pa.array(list(rows), pa.list_(pa.int64()))], names=["id", "key", "bands"])
-            todo.clear()
+        def rows(at: list[int], found: list) -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([ids.take(at), keys.take(at), pa.array(found, pa.list_(pa.int64()))], names=names)
 
-        size = 0
+        held = 0
         for i in range(batch.num_rows):
             own = weighted(texts[i].as_py())
             if not len(own[0]):
-                yield pa.RecordBatch.from_arrays([ids.slice(i, 1), keys.slice(i, 1), pa.array([[]], pa.list_(pa.int64()))], names=["id", "key", "bands"])
+                yield rows([i], [[]])
                 continue
             todo.append((i, own))
-            size += len(own[0])
-            if size > BATCH:
-                yield from flush()
-                size = 0
-        yield from flush()
+            held += len(own[0])
+            if held > BATCH:
+                yield rows([i for i, _ in todo], list(bands(signatures([s for _, s in todo]))))
+                todo, held = [], 0
+        if todo:
+            yield rows([i for i, _ in todo], list(bands(signatures([s for _, s in todo]))))
 
 
-def with_id(df: DataFrame, key: str, text: str) -> DataFrame:
+def with_id(df: DataFrame, key: str, text: str, name: str = "_id") -> DataFrame:
     missing = -1 - F.xxhash64(F.coalesce(F.col(text), F.lit(""))).bitwiseAND((1 << 62) - 1)
-    return df.withColumn("_id", F.coalesce(F.col(key).cast("long"), missing))
+    return df.withColumn(name, F.coalesce(F.col(key).cast("long"), missing))
 
 
-def _verify(pairs: DataFrame, texts: DataFrame) -> DataFrame:
-    """Exact similarity of each pair (a, b); the hub's set is kept while rows of the same hub follow each other."""
+def checksum(text: str):
+    return F.unhex(F.md5(F.col(text).cast("binary")))
+
+
+def _verified(pairs: DataFrame, texts: DataFrame) -> DataFrame:
+    """Pairs (a, b) whose exact similarity is at the threshold; a set is kept while rows of the same b follow each other."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: tuple = (None, None)
         for batch in batches:
             a, b, s, t = batch.columns
-            sims = []
+            near = []
             for i in range(batch.num_rows):
-                hub = b[i].as_py()
-                if held[0] != hub:
-                    held = (hub, weighted(t[i].as_py()))
-                sims.append(similarity(weighted(s[i].as_py()), held[1]))
-            yield pa.RecordBatch.from_arrays([a, b, pa.array(sims)], names=["a", "b", "sim"])
-
-    left = texts.select(F.col("_id").alias("a"), F.col("t").alias("s"))
-    right = texts.select(F.col("_id").alias("b"), "t")
-    return pairs.join(left, "a").join(right, "b").select("a", "b", "s", "t").mapInArrow(run, "a long, b long, sim double")
-
-
-def _hubs(members: DataFrame) -> DataFrame:
-    """The member of each bucket that shares most buckets with others."""
-    top = members.groupBy("b").agg(F.max(F.struct("pop", (-F.col("node")).alias("n"), "root")).alias("top"))
-    return top.select("b", (-F.col("top.n")).alias("hub"), F.col("top.root").alias("hub_root"))
-
-
-def _candidates(members: DataFrame, hubs: DataFrame) -> DataFrame:
-    met = members.join(hubs, "b").where("root <> hub_root")
-    return met.select(F.col("node").alias("a"), F.col("hub").alias("b")).distinct()
-
-
-def _joined(tested: DataFrame) -> DataFrame:
-    """node, root: a hub that a node is known to be like, and that hub's own. Nodes of one root are of one class, which is all that rounds
-    need to know; the classes are found once, at the end."""
-    pick = tested.where(F.col("sim") >= THRESHOLD).groupBy("a").agg(F.min("b").alias("b"))
-    up = pick.select(F.col("a").alias("b"), F.col("b").alias("up"))
-    return pick.join(up, "b", "left").select(F.col("a").alias("node"), F.coalesce("up", "b").alias("root"))
-
-
-def classes(df: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
-    """_id, class_id (the least id of the class) of every row, once for each distinct id and text."""
-    rows = with_id(df.select(key, text), key, text)
-    keyed = rows.where(F.col(text).isNotNull()).select("_id", F.unhex(F.md5(F.col(text).cast("binary"))).alias("key"), F.col(text).alias("t"))
-    signed = saved(keyed.mapInArrow(_sign, "id long, key binary, bands array<long>"), "signatures")
-    # One node for equal texts: its bands are the same in all rows, so any row's will do.
-    nodes = signed.groupBy("key").agg(F.min("id").alias("node"), F.first("bands").alias("bands"))
-    banded = nodes.select("node", F.posexplode("bands").alias("no", "b"))
-    shared = banded.groupBy("b").agg(F.count("*").alias("c")).where("c > 1")
-    met = saved(banded.hint("merge").join(shared, "b"), "buckets", light=True)
-    pop = met.groupBy("node").agg(F.sum("c").alias("pop"))
-    members = saved(met.join(pop, "node").select("b", "no", "node", "pop"), "members", light=True)
-    texts = keyed.select("_id", "t")
-    own = members.withColumn("root", F.col("node"))
-    tested = rest = None
-    for turn in range(ROUNDS):
-        # A few bands first: they join most of a large group of copies, and later rounds meet what is still apart only.
-        part = own.where(F.col("no") < FIRST) if turn == 0 else own
-        pairs = _candidates(part, _hubs(part if rest is None else rest))
-        if tested is not None:
-            pairs = pairs.join(tested, ["a", "b"], "left_anti")
-        got = saved(_verify(pairs, texts), "verified")
-        tested = got if tested is None else tested.unionByName(got)
-        if turn == ROUNDS - 1 or (turn > 1 and got.isEmpty()):
-            break
-        own = saved(members.join(_joined(tested), "node", "left").select("b", "no", "node", "pop", F.coalesce("root", "node").alias("root")), "own", light=True)
-        if turn == 0:
-            continue
-        # A bucket's members that are apart from its hub give the next hub.
-        live = own if rest is None else own.join(rest.select("b", "node"), ["b", "node"], "left_semi")
-        rest = saved(live.join(_hubs(live).select("b", "hub_root"), "b").where("root <> hub_root").drop("hub_root"), "apart", light=True)
-    roots = saved(components(tested.where(F.col("sim") >= THRESHOLD), "a", "b"), "roots", light=True)
-    # What no hub has joined: all untested pairs of different classes.
-    own = members.join(roots, "node", "left").select("b", "node", F.coalesce("root", "node").alias("root"))
-    untested = pairs_apart(own).join(tested.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")), ["a", "b"], "left_anti")
-    last = saved(_verify(untested, texts), "rest")
-    roots = joined_on(roots, last.where(F.col("sim") >= THRESHOLD))
-    named = signed.select("id", "key").join(nodes.select("key", "node"), "key")
-    found = named.join(roots, "node", "left").select(F.col("id").alias("_id"), F.coalesce("root", "node").alias("class_id"))
-    alone = rows.where(F.col(text).isNull()).select("_id", F.col("_id").alias("class_id"))
-    return found.unionByName(alone)
-
-
-def deduplicated(docs: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
+                other = b[i].as_py()
+                if held[0] != other:
+                    held = (other, weighted(t[i].as_py()))
+                if similarity(weighted(s[i].as_py()), held[1]) >= THRESHOLD:
+                    near.append(i)
+            at = pa.array(near, pa.int64())
+            yield pa.RecordBatch.from_arrays([a.take(at), b.take(at)], names=["a", "b"])
+
+    left = texts.select(F.col("node").alias("a"), F.col("t").alias("s"))
+    right = texts.select(F.col("node").alias("b"), "t")
+    return pairs.join(left, "a").join(right, "b").select("a", "b", "s", "t").mapInArrow(run, "a long, b long")
+
+
+def _roots(nodes: DataFrame, keyed: DataFrame, most: int, chars: int) -> DataFrame:
+    """node, root of every node that is like another; nodes: key, id, node, bands; keyed: id, key, t."""
+    banded = nodes.select("node", F.explode("bands").alias("b"))
+    shared = banded.groupBy("b").agg(F.count("*").alias("n")).where("n > 1")
+    met = saved(banded.hint("merge").join(shared, "b"), "members", light=True)
+    wanted = nodes.join(met.select("node").distinct(), "node", "left_semi").select("node", "id", "key")
+    texts = saved(keyed.join(wanted, ["key", "id"]).groupBy("key", "id", "node").agg(F.first("t").alias("t")).select("node", "t"), "texts")
+    links = saved(_verified(blocks.pairs(met), texts), "links", light=True)
+    dealt = saved(blocks.parted(met, texts, most, chars), "dealt", light=True)
+    crowd = saved(blocks.within(dealt, texts, weighted, THRESHOLD), "crowd", light=True)
+    roots = saved(components(links.unionByName(crowd), "a", "b"), "roots", light=True)
+    if not dealt.where("parts > 1").isEmpty():
+        rest = saved(blocks.across(dealt, roots, texts, weighted, THRESHOLD), "rest", light=True)
+        roots = saved(joined_on(roots, rest), "roots", light=True)
+    forget(met, texts, links, dealt, crowd)
+    return roots
+
+
+def classes(df: DataFrame, key: str = "doc_id", text: str = "text", most: int = blocks.MEMBERS, chars: int = blocks.CHARS) -> DataFrame:
+    """_id, _key (checksum of the text), class_id, class_key of every row: the least id of the class and, of that id, the least checksum."""
+    rows = with_id(df.select(F.col(key), F.col(text)), key, text)
+    keyed = rows.where(F.col(text).isNotNull()).select(F.col("_id").alias("id"), checksum(text).alias("key"), F.col(text).alias("t"))
+    signed = saved(keyed.mapInArrow(_sign, SIGNED), "signatures")
+    # One node for equal texts: its bands are the same in all rows, so any row's will do. Written, the numbers stand.
+    one = signed.groupBy("key").agg(F.min("id").alias("id"), F.first("bands").alias("bands"))
+    nodes = saved(one.withColumn("node", F.monotonically_increasing_id()), "nodes")
+    roots = _roots(nodes, keyed, most, chars)
+    tied = nodes.join(roots, "node").select("root", "key", "id")
+    first = tied.groupBy("root").agg(F.min(F.struct("id", "key")).alias("f"))
+    named = tied.join(first, "root").select("key", F.col("f.id").alias("class_id"), F.col("f.key").alias("class_key"))
+    every = saved(nodes.select("key", "id").join(named, "key", "left").select("key", F.coalesce("class_id", "id").alias("class_id"), F.coalesce("class_key", "key").alias("class_key")), "named", light=True)
+    forget(nodes)
+    # Both sides are plain tables, so a key that many rows share is split by the adaptive join.
+    found = signed.select(F.col("id").alias("_id"), "key").join(every, "key").select("_id", F.col("key").alias("_key"), "class_id", "class_key")
+    none = F.lit(None).cast("binary")
+    return found.unionByName(rows.where(F.col(text).isNull()).select("_id", none.alias("_key"), F.col("_id").alias("class_id"), none.alias("class_key")))
+
+
+def deduplicated(docs: DataFrame, key: str = "doc_id", text: str = "text", **sizes: int) -> DataFrame:
     """One row of each class: that of its least id. Rows with a null text stay."""
-    keep = classes(docs, key, text).where("_id = class_id").select("_id").distinct()
-    rows = with_id(docs, key, text)
-    some = rows.where(F.col(text).isNotNull()).join(keep, "_id", "left_semi").dropDuplicates(["_id"])
-    return some.unionByName(rows.where(F.col(text).isNull())).drop("_id")
+    told = classes(docs, key, text, **sizes).where("_key is not null")
+    a, b = free(docs, "_id"), free(docs, "_key")
+    rows = with_id(docs, key, text, a).withColumn(b, F.when(F.col(text).isNotNull(), checksum(text)))
+    dropped = saved(told.where("_id <> class_id or _key <> class_key").select(F.col("_id").alias(a), F.col("_key").alias(b)).distinct(), "dropped", light=True)
+    left = rows.join(dropped, [a, b], "left_anti")
+    if told.groupBy("_id", "_key").count().where("count > 1 and _key is not null").isEmpty():
+        return left.drop(a, b)
+    some = left.where(F.col(text).isNotNull()).dropDuplicates([a, b])
+    return some.unionByName(left.where(F.col(text).isNull())).drop(a, b)
 
 
 def op4_probminhash(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Class of every document."""
-    return classes(documents(spark, sf_dir)).select(F.col("_id").alias("doc_id"), "class_id", (F.col("_id") == F.col("class_id")).alias("kept"))
+    kept = F.coalesce((F.col("_id") == F.col("class_id")) & (F.col("_key") == F.col("class_key")), F.lit(True))
+    return classes(documents(spark, sf_dir)).select(F.col("_id").alias("doc_id"), "class_id", kept.alias("kept"), F.lower(F.hex("class_key")).alias("class_md5"))
 
 
 QUERIES = {"op4_probminhash": op4_probminhash}

@@ -2,17 +2,17 @@
 
 A line (between line feeds, outer white space off) is the set of its K-character shingles. One-permutation MinHash gives REGISTERS
 minima from one hash of each shingle; empty registers borrow by a fixed random order. BANDS bands of three registers
-find candidates: at Jaccard 0.8 a pair shares a band with probability 1 - (1 - 0.8**3)**10, over 0.999. All pairs of a bucket are candidates
-but those already joined through others: in buckets over SMALL lines each line first meets the bucket's first line and its neighbour by hash,
-which joins most of a group of copies, then every pair of lines that are still in different components is met, in blocks (`buckets`).
-Candidates are verified by exact Jaccard of whole lines; verified links and equal
-lines are joined by distributed union-find, and of each component only the occurrence least by (document id, line number) stays.
+find candidates: at Jaccard 0.8 a pair shares a band with probability 1 - (1 - 0.8**3)**10, over 0.999. Every two lines of a bucket
+are held against each other by the exact Jaccard of whole lines, unless both are already in one component: the pairs of small buckets as rows, once each, those
+of large buckets inside blocks (`blocks`). Links and equal
+lines are joined by distributed union-find, and of each component only the occurrence least by (document id, text hash, line number) stays.
 
 Texts of candidate lines are fetched by a second scan that passes only lines whose hash is in a bit table of fixed
 size; a full table costs time, not results. Lines are named by 64-bit hashes (chance of any clash: n * n / 2**65).
 
-Defined cases: blank lines stay; null texts stay null; a line under K characters is one shingle; rows that repeat an id are one document (a
-line is kept in each of them); a null id counts as less than all others; extra columns stay.
+Defined cases: blank lines stay; null texts stay null; a line under K characters is one shingle; a document is an id and a text, so
+unequal texts with one id, or without an id, are different documents, and rows that repeat both are one (a line is kept in each of them); a null id counts as
+less than all others; an empty table gives an empty result; extra columns stay, whatever their names.
 """
 
 from __future__ import annotations
@@ -26,14 +26,13 @@ import xxhash
 from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from evigraph.llm.buckets import pairs_apart
-from evigraph.llm.common import documents, saved
+from evigraph.llm import blocks
+from evigraph.llm.common import documents, forget, free, saved
 from evigraph.llm.components import components, joined_on
 from evigraph.llm.hashing import U, _tables, char_shingles, code_points, mix, powers, prefix
 
 K, THRESHOLD = 8, 0.8
 REGISTERS, BANDS, ROWS = 32, 10, 3
-SMALL = 16
 CHUNK, SEEN, TABLE = 1 << 16, 1 << 17, 1 << 19
 NO_ID = -(2**63)
 
@@ -88,6 +87,12 @@ def bands(lines: list[str]) -> np.ndarray:
     return mix(out + np.arange(BANDS, dtype=U) * U(0x9FB21C651E98DF25)).view(np.int64)
 
 
+def bag(line: str) -> blocks.Bag:
+    """Distinct shingles of a line, all of one weight."""
+    items = np.unique(char_shingles(line, K))
+    return items, np.ones(len(items), np.int64)
+
+
 def jaccard(a: np.ndarray, b: np.ndarray) -> float:
     """Of two arrays of distinct values."""
     both = len(np.intersect1d(a, b, assume_unique=True))
@@ -120,8 +125,7 @@ def _band_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         names, lines, size = [], [], 0
 
         def flush():
-            b = bands(lines)
-            return pa.RecordBatch.from_arrays([pa.array(b.ravel()), pa.array(np.repeat(np.array(names, np.int64), BANDS))], names=["b", "h"])
+            return pa.RecordBatch.from_arrays([pa.array(bands(lines).ravel()), pa.array(np.repeat(np.array(names, np.int64), BANDS))], names=["b", "h"])
 
         for text in batch.column(0):
             for _, x in lines_of(text.as_py()):
@@ -138,13 +142,14 @@ def _band_rows(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
 
 def _places(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in batches:
-        ids, nos, names = [], [], []
-        for key, text in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+        rows, nos, names = [], [], []
+        for row, text in enumerate(batch.column(2)):
             for i, x in lines_of(text.as_py()):
-                ids.append(key)
+                rows.append(row)
                 nos.append(i)
                 names.append(line_hash(x))
-        yield pa.RecordBatch.from_arrays([pa.array(ids, pa.int64()), pa.array(nos, pa.int32()), pa.array(names, pa.int64())], names=["id", "no", "h"])
+        at = pa.array(rows, pa.int64())
+        yield pa.RecordBatch.from_arrays([batch.column(0).take(at), batch.column(1).take(at), pa.array(nos, pa.int32()), pa.array(names, pa.int64())], names=["id", "th", "no", "h"])
 
 
 def _texts_of(docs: DataFrame, wanted: DataFrame) -> DataFrame:
@@ -173,53 +178,53 @@ def _texts_of(docs: DataFrame, wanted: DataFrame) -> DataFrame:
 
 
 def _verify(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    held: dict = {}
+    held: tuple = (None, None)
     for batch in batches:
         a, b, s, t = batch.columns
-        sims = []
+        near = []
         for i in range(batch.num_rows):
-            x, y = s[i].as_py(), t[i].as_py()
             h = b[i].as_py()
-            if h not in held:
-                held = {h: np.unique(char_shingles(y, K))}
-            sims.append(jaccard(np.unique(char_shingles(x, K)), held[h]))
-        yield pa.RecordBatch.from_arrays([a, b, pa.array(sims, pa.float64())], names=["a", "b", "sim"])
-
-
-def _tested(pairs: DataFrame, texts: DataFrame) -> DataFrame:
-    left = texts.select(F.col("h").alias("a"), F.col("line").alias("s"))
-    right = texts.select(F.col("h").alias("b"), F.col("line").alias("t"))
-    return pairs.join(left, "a").join(right, "b").select("a", "b", "s", "t").mapInArrow(_verify, "a long, b long, sim double")
+            if held[0] != h:
+                held = (h, np.unique(char_shingles(t[i].as_py(), K)))
+            if jaccard(np.unique(char_shingles(s[i].as_py(), K)), held[1]) >= THRESHOLD:
+                near.append(i)
+        at = pa.array(near, pa.int64())
+        yield pa.RecordBatch.from_arrays([a.take(at), b.take(at)], names=["a", "b"])
 
 
-def keepers(df: DataFrame, key: str, text: str) -> DataFrame:
-    """id and the numbers of the lines that stay."""
-    docs = df.select(F.coalesce(F.col(key).cast("long"), F.lit(NO_ID)).alias("id"), F.col(text).alias("t")).where(F.col("t").isNotNull())
+def _roots(docs: DataFrame, most: int, chars: int) -> DataFrame:
+    """h and root of every line that is like an unequal one; docs: t."""
     order = Window.partitionBy("b").orderBy("h")
-    banded = docs.select("t").mapInArrow(_band_rows, "b long, h long")
+    banded = docs.mapInArrow(_band_rows, "b long, h long")
+    # Each line of a bucket but its first; equal rows come of several tasks.
     met = banded.select("b", "h", F.first("h").over(order).alias("hub"), F.lag("h").over(order).alias("prev")).where("prev is not null and prev <> h")
-    met = saved(met, "line_buckets", light=True)
-    hubs = met.groupBy("b").agg(F.min("hub").alias("h"), (F.count("*") + 1).alias("n"))
-    members = met.select("b", "h").unionByName(hubs.select("b", "h"))
-    large = hubs.where(F.col("n") > SMALL).select("b")
-    few = members.join(large, "b", "left_anti").select("b", F.col("h").alias("node"), F.col("h").alias("root"))
-    many = met.join(large, "b", "left_semi").select("h", F.explode(F.array("hub", "prev")).alias("o")).select(F.greatest("h", "o").alias("a"), F.least("h", "o").alias("b")).where("a <> b")
-    pairs = saved(pairs_apart(few).unionByName(many).distinct(), "line_pairs")
-    # Every member of a bucket is in one of its pairs, so these are the texts of later pairs as well.
-    texts = saved(_texts_of(docs, pairs.select(F.explode(F.array("a", "b")).alias("h")).distinct()), "line_texts")
-    tested = saved(_tested(pairs, texts), "line_links", light=True)
-    roots = components(tested.where(F.col("sim") >= THRESHOLD), "a", "b").withColumnRenamed("node", "h")
-    if not large.isEmpty():
-        roots = saved(roots, "line_roots", light=True)
-        crowd = members.join(large, "b", "left_semi").join(roots, "h", "left").select("b", F.col("h").alias("node"), F.coalesce("root", "h").alias("root"))
-        rest = saved(_tested(pairs_apart(crowd).join(tested, ["a", "b"], "left_anti"), texts).where(F.col("sim") >= THRESHOLD), "line_rest", light=True)
-        roots = joined_on(roots.withColumnRenamed("h", "node"), rest).withColumnRenamed("node", "h")
-    places = docs.mapInArrow(_places, "id long, no int, h long").join(roots, "h", "left")
-    first = places.groupBy(F.coalesce("root", "h").alias("g")).agg(F.min(F.struct("id", "no")).alias("x"))
-    return first.groupBy("x.id").agg(F.collect_list("x.no").alias("stay"))
-
-
-def dedup_lines(df: DataFrame, key: str = "doc_id", text: str = "text") -> DataFrame:
+    met = saved(met.select("b", "h", "hub"), "line_buckets", light=True)
+    hubs = met.groupBy("b").agg(F.min("hub").alias("node"), (F.count("*") + 1).alias("n"))
+    members = saved(met.select("b", F.col("h").alias("node")).unionByName(hubs.select("b", "node")).join(hubs.select("b", "n"), "b"), "line_members", light=True)
+    texts = saved(_texts_of(docs, members.select(F.col("node").alias("h")).distinct()).select(F.col("h").alias("node"), F.col("line").alias("t")), "line_texts")
+    left, right = texts.select(F.col("node").alias("a"), F.col("t").alias("s")), texts.select(F.col("node").alias("b"), "t")
+    links = blocks.pairs(members).join(left, "a").join(right, "b").select("a", "b", "s", "t").mapInArrow(_verify, "a long, b long")
+    links = saved(links, "line_links", light=True)
+    dealt = saved(blocks.parted(members, texts, most, chars), "line_parts", light=True)
+    crowd = saved(blocks.within(dealt, texts, bag, THRESHOLD), "line_crowd", light=True)
+    roots = saved(components(links.unionByName(crowd), "a", "b"), "line_roots", light=True)
+    if not dealt.where("parts > 1").isEmpty():
+        rest = saved(blocks.across(dealt, roots, texts, bag, THRESHOLD), "line_rest", light=True)
+        roots = saved(joined_on(roots, rest), "line_roots", light=True)
+    forget(met, members, texts, links, dealt, crowd)
+    return roots.withColumnRenamed("node", "h")
+
+
+def keepers(df: DataFrame, key: str, text: str, most: int = blocks.MEMBERS, chars: int = blocks.CHARS) -> DataFrame:
+    """id, th (hash of the text) and the numbers of the lines that stay."""
+    docs = df.select(F.coalesce(F.col(key).cast("long"), F.lit(NO_ID)).alias("id"), F.xxhash64(F.col(text)).alias("th"), F.col(text).alias("t")).where(F.col("t").isNotNull())
+    roots = _roots(docs.select("t"), most, chars)
+    places = docs.mapInArrow(_places, "id long, th long, no int, h long").join(roots, "h", "left")
+    first = places.groupBy(F.coalesce("root", "h").alias("g")).agg(F.min(F.struct("id", "th", "no")).alias("x"))
+    return first.groupBy("x.id", "x.th").agg(F.collect_list("x.no").alias("stay"))
+
+
+def dedup_lines(df: DataFrame, key: str = "doc_id", text: str = "text", **sizes: int) -> DataFrame:
     """Replaces the text by its lines that stay; adds n_lines and n_removed (of lines that aren't blank)."""
 
     @F.pandas_udf("text string, n_lines int, n_removed int")
@@ -236,10 +241,13 @@ def dedup_lines(df: DataFrame, key: str = "doc_id", text: str = "text") -> DataF
             rows.append(("\n".join(out), sum(full), len(lines) - len(out)))
         return pd.DataFrame(rows, columns=["text", "n_lines", "n_removed"])
 
-    stay = keepers(df, key, text).select(F.col("id").alias("_id"), F.col("stay").alias("_stay"))
-    own = [c for c in df.columns if c not in ("n_lines", "n_removed")]
-    done = df.withColumn("_id", F.coalesce(F.col(key).cast("long"), F.lit(NO_ID))).join(stay, "_id", "left").withColumn("_r", rebuilt(F.col(text), F.col("_stay")))
-    return done.select(*[F.col("_r.text").alias(c) if c == text else F.col(f"`{c}`") for c in own], "_r.n_lines", "_r.n_removed")
+    a, b, c = free(df, "_id"), free(df, "_th"), free(df, "_stay")
+    stay = keepers(df, key, text, **sizes).toDF(a, b, c)
+    own = [x for x in df.columns if x not in ("n_lines", "n_removed")]
+    keyed = df.withColumns({a: F.coalesce(F.col(key).cast("long"), F.lit(NO_ID)), b: F.xxhash64(F.col(text))})
+    made = free(keyed, "_made")
+    done = keyed.join(stay, [a, b], "left").withColumn(made, rebuilt(F.col(text), F.col(c)))
+    return done.select(*[F.col(f"{made}.text").alias(x) if x == text else F.col(f"`{x}`") for x in own], f"{made}.n_lines", f"{made}.n_removed")
 
 
 def op9_fuzzy_lines(spark: SparkSession, sf_dir: str) -> DataFrame:

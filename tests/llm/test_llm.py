@@ -12,7 +12,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from evigraph.llm import (
-    buckets, common, components, hashing, op1_transport, op2_language, op3_byte_bpe, op4_probminhash, op5_hilbert, op6_licenses, op7_simple8b, op8_weighted_sampling, op9_fuzzy_lines, op10_mixture, queries,
+    blocks, common, components, hashing, op1_transport, op2_language, op3_byte_bpe, op4_probminhash, op5_hilbert, op6_licenses, op7_simple8b, op8_weighted_sampling, op9_fuzzy_lines, op10_mixture, queries,
 )
 
 OPS = queries.queries()
@@ -228,7 +228,8 @@ def test_star_of_copies(spark, tmp_path):
     assert len({got[i] for i in range(120)} | {got[500]}) == 1
 
 
-def test_pairs_of_a_crowd(spark):
+@pytest.mark.parametrize("most", [20, 2048])
+def test_pairs_of_a_crowd(spark, most):
     """Many texts at 0.75 to 0.79 to each other, with planted pairs over 0.8 that no hub joins."""
     words = [f"word{i}" for i in range(400)]
     rows = []
@@ -243,16 +244,62 @@ def test_pairs_of_a_crowd(spark):
     others = [op4_probminhash.similarity(sets[i], sets[j]) for i in range(40) for j in range(i)]
     assert 0.75 <= min(others) and max(others) < 0.8
     assert want == {i: i % 40 for i in range(80)}
-    got = {r._id: r.class_id for r in op4_probminhash.classes(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    got = {r._id: r.class_id for r in op4_probminhash.classes(spark.createDataFrame(rows, "doc_id long, text string"), most=most).collect()}
     assert got == want
 
 
-@pytest.mark.parametrize("block", [1, 3, 256])
-def test_all_pairs_apart(spark, block):
-    rows = [(b, n, n // 2 if b else n) for b in range(3) for n in range(5 + 4 * b)]
-    want = {(x, y) for b, x, r in rows for c, y, q in rows if b == c and x > y and r != q}
-    got = [tuple(r) for r in buckets.pairs_apart(spark.createDataFrame(rows, "b long, node long, root long"), block).collect()]
-    assert len(got) == len(set(got)) and set(got) == want
+@pytest.mark.parametrize("top", [1, 4, 30])
+def test_blocks_compute_similarity(top):
+    rng = np.random.default_rng(top)
+    bags = [op4_probminhash.weighted(" ".join(f"w{x}" for x in rng.integers(0, 4, n)) + " " + " ".join(["a b c d e f"] * int(rng.integers(1, top + 1)))) for n in rng.integers(1, 60, 25)]
+    bags.append((bags[0][0], bags[0][1] * 3))
+    block, y = blocks.Block(bags), np.arange(26)
+    for x in range(26):
+        assert np.allclose(block.against(x, y), [blocks.similarity(bags[x], b) for b in bags])
+
+
+@pytest.mark.parametrize("most", [3, 7, 100])
+def test_blocks_leave_no_pair_apart(spark, most):
+    rng = np.random.default_rng(most)
+    texts = {n: " ".join(f"w{n % 6}x{i}" if rng.random() < 0.9 else f"e{n}x{i}" for i in range(40)) for n in range(60)}
+    rows = [(b, 60, n) for b in range(2) for n in texts] + [(5, 2, 1), (5, 2, 2)]
+    members, held = spark.createDataFrame(rows, "b long, n long, node long"), spark.createDataFrame(list(texts.items()), "node long, t string")
+    bag = lambda t: (hashing.word_hashes(t), np.ones(40, int))
+    dealt = blocks.parted(members, held, most)
+    assert {r.b for r in dealt.collect()} == {0, 1} and {(r.a, r.b) for r in blocks.pairs(members).collect()} == {(2, 1)}
+    links = blocks.within(dealt, held, bag, 0.8).distinct()
+    roots = common.saved(components.components(links, "a", "b"), "roots")
+    roots = components.joined_on(roots, common.saved(blocks.across(dealt, roots, held, bag, 0.8), "rest"))
+    got = {r.node: r.root for r in roots.collect()}
+    sets = {n: set(t.split()) for n, t in texts.items()}
+    root = {n: n for n in texts}
+
+    def find(x):
+        while root[x] != x:
+            x = root[x]
+        return x
+
+    for x in texts:
+        for y in range(x):
+            if len(sets[x] & sets[y]) / len(sets[x] | sets[y]) >= 0.8:
+                a, b = find(x), find(y)
+                root[max(a, b)] = min(a, b)
+    assert {n: got.get(n, n) for n in texts} == {n: find(n) for n in texts}
+
+
+def test_near_duplicates_of_odd_rows(spark):
+    """Unequal texts with one id are nodes of their own; repeated rows, null ids and clashing names."""
+    a, b, c = "one two three four five six", "ten nine eight seven six five", "red green blue black white grey"
+    rows = [(5, a, "x", "y"), (5, b, "x", "y"), (7, b, "x", "y"), (8, c, "x", "y"), (8, c, "x", "y"), (None, a, "x", "y"), (9, None, "x", "y"), (9, None, "x", "y"), (10, "", "x", "y"), (11, "", "x", "y")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, _id string, _KEY string")
+    got = op4_probminhash.deduplicated(df)
+    assert got.columns == df.columns
+    assert sorted((r.doc_id, r.text or "") for r in got.collect() if r.doc_id is not None) == [(5, b), (8, c), (9, ""), (9, ""), (10, "")]
+    assert [r.text for r in got.collect() if r.doc_id is None] == [a]  # a missing id is a negative number, so the least
+    told = op4_probminhash.classes(df).collect()
+    assert len(told) == len(rows) and len({(r.class_id, r.class_key) for r in told}) == 5
+    empty = spark.createDataFrame([], "doc_id long, text string")
+    assert op4_probminhash.deduplicated(empty).collect() == []
 
 
 def test_components(spark):
@@ -415,7 +462,8 @@ def test_lines_equal_brute_force(spark, sf, texts):
         assert r.text == "\n".join(x for n, x in enumerate(t) if not x.strip() or (r.doc_id, n) in stay)
 
 
-def test_lines_of_a_crowd(spark, tmp_path):
+@pytest.mark.parametrize("most", [20, 2048])
+def test_lines_of_a_crowd(spark, most):
     """Lines of one template just under 0.8 to each other, with pairs over it that are neither first nor neighbours."""
     rng = np.random.default_rng(9)
     base = "".join(chr(97 + i) for i in rng.integers(0, 26, 404))
@@ -433,10 +481,22 @@ def test_lines_of_a_crowd(spark, tmp_path):
     near = [(i, j) for i in range(62) for j in range(i) if len(sets[i] & sets[j]) / len(sets[i] | sets[j]) >= 0.8]
     assert near == [(i + 30, i) for i in range(30)] + [(61, 60)]
     rows = [(i, x) for i, x in enumerate(lines)]
-    got = {r.doc_id: r.n_removed for r in op9_fuzzy_lines.dedup_lines(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    got = {r.doc_id: r.n_removed for r in op9_fuzzy_lines.dedup_lines(spark.createDataFrame(rows, "doc_id long, text string"), most=most).collect()}
     assert got == {i: int(30 <= i < 60 or i == 61) for i in range(62)}
 
 
+def test_lines_of_odd_rows(spark):
+    """Null ids and unequal texts with one id are documents of their own; repeated rows are one document."""
+    x, y = "a line that stands in many texts", "quite another line of some length"
+    rows = [(None, f"{x}\n1st", "p", "q"), (None, f"{x}\n2nd", "p", "q"), (None, f"{x}\n3rd", "p", "q"), (4, f"{y}\n\nz", "p", "q"), (4, f"{y}\n\nz", "p", "q"), (4, y, "p", "q"), (6, None, "p", "q"), (7, "", "p", "q")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, _id string, _STAY string")
+    got = op9_fuzzy_lines.dedup_lines(df).collect()
+    assert sum(x in r.text for r in got if r.doc_id is None) == 1 and len(got) == len(rows)
+    assert {sum(y in r.text for r in got if r.doc_id == 4)} <= {1, 2}  # the text that hashes least keeps it: both equal rows, or the third
+    assert [r.text for r in got if r.doc_id == 6] == [None] and [r.text for r in got if r.doc_id == 7] == [""]
+    assert all((r._id, r._STAY) == ("p", "q") for r in got)
+
+
 # ---- 10 ----
 
 
