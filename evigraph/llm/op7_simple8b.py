@@ -7,7 +7,8 @@ selector 0 is an escape: the next word is one raw 64-bit value.
 A file row is a block of whole documents in ascending id order: their ids and lengths, the number of token ids before
 the block in its part, the packed words. Parts are ranges of ids, so one small sum over parts gives every start.
 
-Defined cases: null or empty text has only the end id; equal doc_ids keep both rows, in any order; null doc_ids come first;
+Defined cases: null or empty text has only the end id; the string of a special token is that token, as in the library's plain call; equal doc_ids keep
+both rows, in the order of the table's files; null doc_ids come first;
 an empty table gives no block; a document longer than a block is a block of its own.
 """
 
@@ -56,7 +57,7 @@ def pack(values: np.ndarray) -> np.ndarray:
         if count < take:
             break
         choice[: len(most)][most <= width] = k
-    step = np.where(choice == 255, 1, np.array([c for _, c, _ in LAYOUT] + [1])[np.minimum(choice, len(LAYOUT))]).tolist()
+    step = np.array([c for _, c, _ in LAYOUT] + [1], np.uint8)[np.minimum(choice, len(LAYOUT))].tobytes()
     heads, p = [], 0
     while p < n:
         heads.append(p)
@@ -110,12 +111,31 @@ def unpack(words: np.ndarray) -> np.ndarray:
     return out
 
 
+class Known(dict):
+    """Ids of a word as little-endian uint32 bytes, by the library's model when first met; beyond CACHE words nothing more is kept."""
+
+    def __init__(self, model):
+        self.tokenize = model.tokenize
+        # Byte-level vocabularies write a byte as a printable character: itself where it is one, else the next from 256 on.
+        plain = {*range(33, 127), *range(161, 173), *range(174, 256)}
+        others = iter(range(256, 512))
+        self.letters = {b: chr(b if b in plain else next(others)) for b in range(256)}
+
+    def __missing__(self, word: str) -> bytes:
+        written = word.encode("utf-8", "surrogatepass").decode("latin-1").translate(self.letters)
+        ids = array("I", [t.id for t in self.tokenize(written)]).tobytes()
+        if len(self) < CACHE:
+            self[word] = ids
+        return ids
+
+
 class WordCache:
-    """Ids of a pre-token as little-endian uint32 bytes, encoded by the tokenizers library when first met.
+    """Ids of a text as little-endian uint32 bytes.
 
     Byte-level BPE treats each match of the pre-tokeniser's pattern alone, so a text's ids are those of its
-    matches. The cache is bounded; words beyond it are encoded again when they come up. The standard library's patterns split as
-    the tokeniser does but for a few numerals, control characters and what lies beyond 16 bits; a text with one of those is encoded whole.
+    matches. The standard library's patterns split as
+    the tokeniser does but for a few numerals, control characters and what lies beyond 16 bits; a text with one of those, or with the string of
+    a special token, is encoded whole by the library.
     """
 
     def __init__(self, path: str):
@@ -123,21 +143,14 @@ class WordCache:
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        self.tokenizer.encode_special_tokens = True
-        self.known: dict[str, bytes] = {}  # an exact dict: set.difference() walks any other mapping whole
+        self.special = [t.content for t in self.tokenizer.get_added_tokens_decoder().values()]
+        self.known = Known(self.tokenizer.model)
         self.splitter = shared()
 
     def encode(self, text: str) -> bytes:
-        if self.splitter.odd(text):
+        if self.splitter.odd(text) or any(t in text for t in self.special):
             return array("I", self.tokenizer.encode(text, add_special_tokens=False).ids).tobytes()
-        words = self.splitter.plain(text)
-        new = list(set(words).difference(self.known))
-        if new:
-            coded = {w: array("I", e.ids).tobytes() for w, e in zip(new, self.tokenizer.encode_batch_fast(new, add_special_tokens=False), strict=True)}
-            if len(self.known) + len(coded) > CACHE:
-                return b"".join([coded[w] if w in coded else self.known[w] for w in words])
-            self.known.update(coded)
-        return b"".join(map(self.known.__getitem__, words))
+        return b"".join(map(self.known.__getitem__, self.splitter.plain(text)))
 
 
 @functools.cache
@@ -178,7 +191,9 @@ def write_files(df: DataFrame, path: str, key: str = "doc_id", text: str = "text
         if ids:
             yield flush()
 
-    ordered = df.select(F.col(key).cast("long").alias("k"), F.col(text).alias("t")).repartitionByRange("k").sortWithinPartitions("k")
+    # The row's number deals rows of one id, or of none, to several tasks.
+    rows = df.select(F.col(key).cast("long").alias("k"), F.monotonically_increasing_id().alias("n"), F.col(text).alias("t"))
+    ordered = rows.repartitionByRange("k", "n").sortWithinPartitions("k", "n").select("k", "t")
     return saved(ordered.mapInArrow(encode, FILE), name)
 
 

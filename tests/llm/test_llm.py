@@ -406,6 +406,28 @@ def test_token_files(spark, sf, texts):
         at += len(ids)
 
 
+def test_token_files_of_odd_rows(spark):
+    """The literal of a special token, odd characters, null and equal ids, empty and long texts; ids and starts read back."""
+    import public_tokenizers as P
+    from tokenizers import Tokenizer
+
+    tok = Tokenizer.from_file(P.path("byte_bpe_50k.json"))
+    texts = ["a<|endoftext|>b", "plain words, don't split", None, "", "\U0001f600 \u00bd \x1c", "tab\tand\u00a0space  ", "word " * 70_000, "same", "same"]
+    rows = [(None if i % 4 == 0 else 7, t) for i, t in enumerate(texts)]
+    df = spark.createDataFrame(rows, "doc_id long, text string").repartition(3)
+    got = op7_simple8b.read_files(op7_simple8b.write_files(df, P.path("byte_bpe_50k.json"))).collect()
+    want = Counter()
+    for k, t in rows:
+        ids = [*tok.encode(t or "", add_special_tokens=False).ids, 0]
+        want[k, len(ids), zlib.crc32(np.array(ids, "<u4").tobytes())] += 1
+    assert Counter((r.doc_id, r.n_tokens, r.ids_crc32) for r in got) == want
+    at = 0
+    for r in sorted(got, key=lambda r: r.start):
+        assert r.start == at
+        at += r.n_tokens
+    assert [r.doc_id is None for r in sorted(got, key=lambda r: r.start)] == [True] * 3 + [False] * 6
+
+
 # ---- 8 ----
 
 
