@@ -7,7 +7,7 @@ tables with their checksums, continuity counters of each PID, reassembled packet
 access points. Both are plain functions on bytes; ``store`` and ``read_back`` apply them to columns.
 
 Defined cases: null text is an empty text; an empty payload still has one padding block; equal texts give
-equal streams; a damaged stream gives counts of faults and the packets that are whole, no exception.
+equal streams; a damaged stream gives counts of faults and the packets that are whole, no exception; columns named like results give way to them.
 """
 
 from __future__ import annotations
@@ -23,7 +23,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from evigraph.llm.common import documents
+from evigraph.llm.common import documents, free
 
 PACKET, SYNC, BLOCK = 188, 0x47, 64
 PMT_PID, DATA_PID, STREAM_TYPE, STREAM_ID = 0x1000, 0x0100, 0x06, 0xBD
@@ -114,47 +114,85 @@ def _read_stamp(b: bytes) -> int:
     return (b[0] >> 1 & 7) << 30 | (b[1] << 7 | b[2] >> 1) << 15 | b[3] << 7 | b[4] >> 1
 
 
+def _packets(stream: bytes) -> tuple[np.ndarray, np.ndarray, int]:
+    """Packets as rows, their offsets, and losses of sync: after one, packets go on where two sync bytes stand a packet apart."""
+    a, n = np.frombuffer(stream, np.uint8), len(stream) // PACKET
+    m = a[: n * PACKET].reshape(n, PACKET)
+    if len(stream) % PACKET == 0 and (m[:, 0] == SYNC).all():
+        return m, np.arange(n) * PACKET, 0
+    at, offsets, lost = 0, [], 0
+    marks = np.flatnonzero(a == SYNC)
+    sync = np.zeros(len(a) + 2 * PACKET, bool)
+    sync[marks], sync[len(a) :] = True, True
+    good = marks[sync[marks + PACKET]]
+    while at + PACKET <= len(a):
+        if sync[at]:
+            offsets.append(at)
+            at += PACKET
+            continue
+        lost += 1
+        k = np.searchsorted(good, at)
+        at = int(good[k]) if k < len(good) else len(a)
+    lost += at < len(a)
+    where = np.array(offsets, np.int64)
+    return a[where[:, None] + np.arange(PACKET)], where, lost
+
+
 def demux(stream: bytes) -> dict:
     """Payload, access units and faults of a stored stream."""
     got = {"packets": 0, "sync_faults": 0, "counter_faults": 0, "table_faults": 0, "programs": {}, "streams": {}, "units": [], "access_points": [], "payload": b""}
-    n = len(stream) // PACKET
-    if n == 0:
+    m, where, got["sync_faults"] = _packets(stream)
+    got["packets"] = len(m)
+    if not len(m):
         return got
-    m = np.frombuffer(stream, np.uint8, n * PACKET).reshape(n, PACKET)
-    good = m[:, 0] == SYNC
-    got["packets"], got["sync_faults"] = n, int(n - good.sum()) + (len(stream) % PACKET > 0)
     pid = (m[:, 1].astype(np.int32) & 0x1F) << 8 | m[:, 2]
     has, field = (m[:, 3] & 0x10) > 0, (m[:, 3] & 0x20) > 0
     offset = np.where(field, 5 + m[:, 4].astype(np.int32), 4)
 
-    def section(row: int) -> bytes | None:
-        b = m[row].tobytes()[offset[row] :]
-        b = b[1 + b[0] :] if b else b
-        size = 3 + (int.from_bytes(b[1:3], "big") & 0xFFF) if len(b) > 3 else 0
-        if not 12 <= size <= len(b) or section_crc(b[:size]):
-            got["table_faults"] += 1
-            return None
-        return b[:size]
+    def sections(table_pid: int) -> Iterator[bytes]:
+        """Whole sections of a table, which may go over several packets or share one; faults are counted."""
+        held = b""
+
+        def whole(data: bytes) -> Iterator[bytes]:
+            while len(data) >= 3 and data[0] != 0xFF:
+                size = 3 + (int.from_bytes(data[1:3], "big") & 0xFFF)
+                if size > len(data):
+                    break
+                if size < 12 or section_crc(data[:size]):
+                    got["table_faults"] += 1
+                else:
+                    yield data[:size]
+                data = data[size:]
+            return data if data[:1] != b"\xff" else b""
+
+        for row in np.flatnonzero((pid == table_pid) & has):
+            b = m[row].tobytes()[offset[row] :]
+            if start[row] and b:
+                if held:  # what stands before the pointer ends the section under way
+                    if (yield from whole(held + b[1 : 1 + b[0]])):
+                        got["table_faults"] += 1
+                held = yield from whole(b[1 + b[0] :])
+            elif held:
+                held = yield from whole(held + b)
+        got["table_faults"] += bool(held)
 
     start = (m[:, 1] & 0x40) > 0
-    for row in np.flatnonzero(good & start & (pid == 0)):
-        if b := section(row):
-            for i in range(8, len(b) - 4, 4):
-                got["programs"][int.from_bytes(b[i : i + 2], "big")] = int.from_bytes(b[i + 2 : i + 4], "big") & 0x1FFF
-    for table_pid in set(got["programs"].values()):
-        for row in np.flatnonzero(good & start & (pid == table_pid)):
-            if b := section(row):
-                i = 12 + (int.from_bytes(b[10:12], "big") & 0xFFF)
-                while i + 5 <= len(b) - 4:
-                    got["streams"][int.from_bytes(b[i + 1 : i + 3], "big") & 0x1FFF] = b[i]
-                    i += 5 + (int.from_bytes(b[i + 3 : i + 5], "big") & 0xFFF)
+    for b in sections(0):
+        for i in range(8, len(b) - 4, 4):
+            got["programs"][int.from_bytes(b[i : i + 2], "big")] = int.from_bytes(b[i + 2 : i + 4], "big") & 0x1FFF
+    for table_pid in sorted(set(got["programs"].values())):
+        for b in sections(table_pid):
+            i = 12 + (int.from_bytes(b[10:12], "big") & 0xFFF)
+            while i + 5 <= len(b) - 4:
+                got["streams"][int.from_bytes(b[i + 1 : i + 3], "big") & 0x1FFF] = b[i]
+                i += 5 + (int.from_bytes(b[i + 3 : i + 5], "big") & 0xFFF)
     parts = []
     for data_pid in sorted(got["streams"]):
-        rows = np.flatnonzero(good & (pid == data_pid) & has)
+        rows = np.flatnonzero((pid == data_pid) & has)
         count = m[rows, 3] & 15
         got["counter_faults"] += int(((np.diff(count.astype(np.int16)) & 15) != 1).sum())
         heads = np.flatnonzero(start[rows])
-        for a, z in zip(heads, [*heads[1:], len(rows)], strict=True):
+        for a, z in zip(heads, [*heads, len(rows)][1:], strict=True):
             own = rows[a:z]
             plain = m[own, 4:]
             keep = np.arange(4, PACKET) >= offset[own][:, None]
@@ -168,7 +206,7 @@ def demux(stream: bytes) -> dict:
             access = bool(field[own[0]] and m[own[0], 4] > 0 and m[own[0], 5] & 0x40)
             got["units"].append((int(own[0]), pts, len(body), access))
             if access:
-                got["access_points"].append((int(own[0]) * PACKET, pts))
+                got["access_points"].append((int(where[own[0]]), pts))
             parts.append(body)
     got["payload"] = b"".join(parts)
     return got
@@ -179,6 +217,13 @@ def padded(text: str | None) -> tuple[int, bytes]:
     return len(raw), raw.ljust(max(BLOCK, -(-len(raw) // BLOCK) * BLOCK), b"\0")
 
 
+def _with(df: DataFrame, made, names: list[str]) -> DataFrame:
+    """The table with the fields of a struct as columns, in place of columns that have their names."""
+    held = free(df, "_made")
+    own = [c for c in df.columns if c.lower() not in names]
+    return df.withColumn(held, made).select(*[F.col(f"`{c}`") for c in own], *[f"{held}.{n}" for n in names])
+
+
 def store(df: DataFrame, text: str = "text") -> DataFrame:
     """Adds n_bytes and the stored stream ``media``."""
 
@@ -190,7 +235,7 @@ def store(df: DataFrame, text: str = "text") -> DataFrame:
             rows.append((n, mux(payload)))
         return pd.DataFrame(rows, columns=["n_bytes", "media"])
 
-    return df.withColumn("_m", muxed(F.col(text))).select("*", "_m.n_bytes", "_m.media").drop("_m")
+    return _with(df, muxed(F.col(text)), ["n_bytes", "media"])
 
 
 READ = (
@@ -216,7 +261,7 @@ def read_back(df: DataFrame, media: str = "media") -> DataFrame:
             ))
         return pd.DataFrame(rows, columns=[x.split()[0] for x in READ.replace("<packet:int,pts:long,bytes:int,access:boolean>", "").replace("map<int,int>", "map").split(", ")])
 
-    return df.withColumn("_d", read(F.col(media))).select("*", "_d.*").drop("_d")
+    return _with(df, read(F.col(media)), [f.name for f in read.returnType.fields])
 
 
 def op1_transport_stream(spark: SparkSession, sf_dir: str) -> DataFrame:
