@@ -146,9 +146,8 @@ def _roots(nodes: DataFrame, keyed: DataFrame, most: int, chars: int) -> DataFra
     return roots
 
 
-def classes(df: DataFrame, key: str = "doc_id", text: str = "text", most: int = blocks.MEMBERS, chars: int = blocks.CHARS) -> DataFrame:
-    """_id, _key (checksum of the text), class_id, class_key of every row: the least id of the class and, of that id, the least checksum."""
-    rows = with_id(df.select(F.col(key), F.col(text)), key, text)
+def _told(rows: DataFrame, text: str, most: int, chars: int) -> tuple[DataFrame, DataFrame]:
+    """Saved tables of rows with a text (id, key: its checksum) and of distinct texts (key, class_id, class_key)."""
     keyed = rows.where(F.col(text).isNotNull()).select(F.col("_id").alias("id"), checksum(text).alias("key"), F.col(text).alias("t"))
     signed = saved(keyed.mapInArrow(_sign, SIGNED), "signatures")
     # One node for equal texts: its bands are the same in all rows, so any row's will do. Written, the numbers stand.
@@ -158,22 +157,31 @@ def classes(df: DataFrame, key: str = "doc_id", text: str = "text", most: int =
     tied = nodes.join(roots, "node").select("root", "key", "id")
     first = tied.groupBy("root").agg(F.min(F.struct("id", "key")).alias("f"))
     named = tied.join(first, "root").select("key", F.col("f.id").alias("class_id"), F.col("f.key").alias("class_key"))
-    every = saved(nodes.select("key", "id").join(named, "key", "left").select("key", F.coalesce("class_id", "id").alias("class_id"), F.coalesce("class_key", "key").alias("class_key")), "named", light=True)
-    forget(nodes)
+    every = nodes.select("key", "id").join(named, "key", "left").select("key", F.coalesce("class_id", "id").alias("class_id"), F.coalesce("class_key", "key").alias("class_key"))
+    every = saved(every, "named", light=True)
+    forget(nodes, roots)
+    return signed.select("id", "key"), every
+
+
+def classes(df: DataFrame, key: str = "doc_id", text: str = "text", most: int = blocks.MEMBERS, chars: int = blocks.CHARS) -> DataFrame:
+    """_id, _key (checksum of the text), class_id, class_key of every row: the least id of the class and, of that id, the least checksum."""
+    rows = with_id(df.select(F.col(key), F.col(text)), key, text)
+    signed, every = _told(rows, text, most, chars)
     # Both sides are plain tables, so a key that many rows share is split by the adaptive join.
-    found = signed.select(F.col("id").alias("_id"), "key").join(every, "key").select("_id", F.col("key").alias("_key"), "class_id", "class_key")
+    found = signed.join(every, "key").select(F.col("id").alias("_id"), F.col("key").alias("_key"), "class_id", "class_key")
     none = F.lit(None).cast("binary")
     return found.unionByName(rows.where(F.col(text).isNull()).select("_id", none.alias("_key"), F.col("_id").alias("class_id"), none.alias("class_key")))
 
 
-def deduplicated(docs: DataFrame, key: str = "doc_id", text: str = "text", **sizes: int) -> DataFrame:
+def deduplicated(docs: DataFrame, key: str = "doc_id", text: str = "text", most: int = blocks.MEMBERS, chars: int = blocks.CHARS) -> DataFrame:
     """One row of each class: that of its least id. Rows with a null text stay."""
-    told = classes(docs, key, text, **sizes).where("_key is not null")
+    signed, every = _told(with_id(docs.select(F.col(key), F.col(text)), key, text), text, most, chars)
     a, b = free(docs, "_id"), free(docs, "_key")
+    out = signed.join(every, "key").where("id <> class_id or key <> class_key").select(F.col("id").alias(a), F.col("key").alias(b)).distinct()
+    out = saved(out, "dropped", light=True)
     rows = with_id(docs, key, text, a).withColumn(b, F.when(F.col(text).isNotNull(), checksum(text)))
-    dropped = saved(told.where("_id <> class_id or _key <> class_key").select(F.col("_id").alias(a), F.col("_key").alias(b)).distinct(), "dropped", light=True)
-    left = rows.join(dropped, [a, b], "left_anti")
-    if told.groupBy("_id", "_key").count().where("count > 1 and _key is not null").isEmpty():
+    left = rows.join(out, [a, b], "left_anti")
+    if signed.groupBy("id", "key").count().where("count > 1").isEmpty():
         return left.drop(a, b)
     some = left.where(F.col(text).isNotNull()).dropDuplicates([a, b])
     return some.unionByName(left.where(F.col(text).isNull())).drop(a, b)
