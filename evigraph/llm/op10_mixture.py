@@ -3,7 +3,8 @@
 The words of a source, in order of document id, are one stream cut into blocks of BLOCK words; only its last block may be shorter. A
 source's target of words becomes draws: slot j of pass e takes block a * j + c mod n (n full blocks, a prime that doesn't divide n, c
 by hash), so a pass takes every block once; the short block closes a pass; the last draw is cut so that the target is met to
-the word. Slots fall to output shards by hash, which makes a shard's source counts multinomial draws given the targets.
+the word. Each slot draws its output shard by hash, so the source counts of the shards are multinomial draws given the targets, and every
+draw carries its shard to the words that it takes.
 Draws and documents meet by (source, block). A pass takes no word twice, and targets stop at twice the source, so
 no document is taken more than twice.
 
@@ -19,9 +20,9 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
-from evigraph.llm.common import documents, range_cuts, range_of
+from evigraph.llm.common import documents, free, range_cuts, range_of
 
-BLOCK, SHARD_BLOCKS, CHUNK = 256, 4_096, 4_096
+BLOCK, SHARDS, CHUNK = 256, 8, 4_096
 WEIGHTS, SHARE, CAP = (5, 2, 1), 1.5, 2
 WORD = r"[^\x20\x09-\x0D]+"
 #: Primes above 2**26, for index permutations.
@@ -58,7 +59,7 @@ def streams(docs: DataFrame) -> DataFrame:
     return rows.withColumn("rn", F.row_number().over(own)).withColumn("inside", inside).join(base, ["s", "bucket"]).withColumn("start", F.col("base") + F.col("inside")).drop("base", "inside").withColumnRenamed("tie", "tie_key")
 
 
-def draws(sources: DataFrame, block: int = BLOCK) -> DataFrame:
+def draws(sources: DataFrame, block: int = BLOCK, shards: int = SHARDS) -> DataFrame:
     """Slots of the mix: s, pass, slot, block index, words taken from the block's head, output shard."""
     t = sources.where("source_size > 0").select(
         "s",
@@ -75,16 +76,17 @@ def draws(sources: DataFrame, block: int = BLOCK) -> DataFrame:
     h = F.xxhash64("s", "e", F.lit(SEED))
     a = F.element_at(fit, (F.pmod(h, F.size(fit)) + 1).cast("int"))
     index = F.when(F.col("j") >= F.col("full"), F.col("full")).otherwise((a * F.col("j") + F.pmod(F.xxhash64("s", "e", F.lit(SEED + 1)), F.col("full"))) % F.col("full"))
-    return each.select("s", F.col("e").alias("pass"), "j", index.alias("block"), F.least(F.lit(block).cast("long"), F.col("need") - F.col("j") * block).alias("words"))
+    shard = F.pmod(F.xxhash64("s", "e", "j", F.lit(SEED + 2)), F.lit(shards)).cast("int")
+    return each.select("s", F.col("e").alias("pass"), "j", shard.alias("shard"), index.alias("block"), F.least(F.lit(block).cast("long"), F.col("need") - F.col("j") * block).alias("words"))
 
 
 def slots_sql(block: int) -> str:
     return f"((need + {block - 1}) div {block})"
 
 
-def shard_counts(slots: DataFrame, shards: int) -> DataFrame:
-    """Multinomial source counts of each output shard."""
-    return slots.withColumn("shard", F.pmod(F.xxhash64("s", "pass", "j", F.lit(SEED + 2)), F.lit(shards))).groupBy("shard", "s").agg(F.count("*").alias("blocks"), F.sum("words").alias("words"))
+def shard_counts(slots: DataFrame) -> DataFrame:
+    """Source counts of each output shard."""
+    return slots.groupBy("shard", "s").agg(F.count("*").alias("blocks"), F.sum("words").alias("words"))
 
 
 def source_key(source: Column) -> Column:
@@ -93,7 +95,7 @@ def source_key(source: Column) -> Column:
 
 def prepared(df: DataFrame, *keep: str) -> DataFrame:
     size = F.coalesce(F.regexp_count("text", F.lit(WORD)), F.lit(0)).cast("long")
-    return df.select(F.col("doc_id").cast("long").alias("doc_id"), source_key(F.col("source")).alias("s"), size.alias("size"), F.crc32(F.coalesce("text", F.lit("")).cast("binary")).alias("tie"), *keep)
+    return df.select(F.col("doc_id").cast("long").alias("doc_id"), source_key(F.col("source")).alias("s"), size.alias("size"), F.xxhash64(F.coalesce("text", F.lit(""))).alias("tie"), *keep)
 
 
 def plan(rows: DataFrame) -> tuple[DataFrame, DataFrame]:
@@ -102,15 +104,15 @@ def plan(rows: DataFrame) -> tuple[DataFrame, DataFrame]:
     return streams(rows), targets(sizes)
 
 
-def taken(rows: DataFrame, sources: DataFrame, block: int = BLOCK, by: tuple[str, ...] = ()) -> DataFrame:
-    """s, bucket, rn -> spans of the row's words that the mix takes, as (pass, lo, hi) from the row's first word."""
+def taken(rows: DataFrame, sources: DataFrame, block: int = BLOCK) -> DataFrame:
+    """s, bucket, rn -> spans of the row's words that the mix takes, as (pass, shard, lo, hi) from the row's first word."""
     parts = rows.where("size > 0").select(
         "s", "bucket", "rn", "start", "size", F.explode(F.expr(f"sequence(start div {block}, (start + size - 1) div {block})")).alias("block")
     )
     lo = F.greatest(F.lit(0).cast("long"), F.col("block") * block - F.col("start"))
     hi = F.least(F.col("size"), F.col("block") * block + F.col("words") - F.col("start"))
     # A merge join: the planner can't see how many draws come of a few chunks and would broadcast them.
-    return parts.hint("merge").join(draws(sources, block), ["s", "block"]).select("s", "bucket", "rn", "pass", lo.alias("lo"), hi.alias("hi")).where("hi > lo")
+    return parts.hint("merge").join(draws(sources, block), ["s", "block"]).select("s", "bucket", "rn", "pass", "shard", lo.alias("lo"), hi.alias("hi")).where("hi > lo")
 
 
 def mixed(docs: DataFrame, block: int = BLOCK) -> DataFrame:
@@ -119,29 +121,33 @@ def mixed(docs: DataFrame, block: int = BLOCK) -> DataFrame:
     A document taken whole keeps its text; of one taken in part, the words taken stay in order, each with the white space before it.
     """
     rows, sources = plan(prepared(docs))
-    light = rows.select("s", "bucket", "rn", F.col("doc_id").alias("_id"), F.col("tie_key").alias("_tie"), F.col("size").alias("_size"))
-    spans = taken(rows, sources, block).groupBy("s", "bucket", "rn", "pass").agg(F.array_sort(F.collect_list(F.struct("lo", "hi"))).alias("_spans"), F.sum(F.col("hi") - F.col("lo")).alias("_n"))
-    got = light.join(spans, ["s", "bucket", "rn"]).select("_id", "_tie", "_size", "_spans", "_n", "pass", F.col("s").alias("_s"))
-    tie = F.crc32(F.coalesce("text", F.lit("")).cast("binary"))
-    own = docs.withColumns({"_tie": tie, "_s": source_key(F.col("source")), "_key": F.coalesce(F.col("doc_id").cast("long"), F.lit(-(2**63)))})
-    got = got.withColumn("_key", F.coalesce("_id", F.lit(-(2**63)))).dropDuplicates(["_key", "_tie", "_s", "pass"]).drop("_id")
-    both = own.join(got, ["_key", "_tie", "_s"])
+    # Rows that repeat an id, text and source are told apart by a number, any of them by any.
+    key, tie, of, copy, spans_, size_, n_, pass_ = (free(docs, x) for x in ("_key", "_tie", "_s", "_copy", "_spans", "_size", "_n", "_pass"))
+    no_id = F.lit(-(2**63))
+    alike = Window.partitionBy("doc_id", "tie_key", "s").orderBy("bucket", "rn")
+    light = rows.select("s", "bucket", "rn", F.coalesce("doc_id", no_id).alias(key), F.col("tie_key").alias(tie), F.col("size").alias(size_), F.row_number().over(alike).alias(copy))
+    spans = taken(rows, sources, block).groupBy("s", "bucket", "rn", "pass").agg(F.array_sort(F.collect_list(F.struct("lo", "hi"))).alias(spans_), F.sum(F.col("hi") - F.col("lo")).alias(n_))
+    got = light.join(spans, ["s", "bucket", "rn"]).select(key, tie, F.col("s").alias(of), copy, size_, spans_, n_, F.col("pass").alias(pass_))
+    own = docs.withColumns({tie: F.xxhash64(F.coalesce("text", F.lit(""))), of: source_key(F.col("source")), key: F.coalesce(F.col("doc_id").cast("long"), no_id)})
+    own = own.withColumn(copy, F.row_number().over(Window.partitionBy(key, tie, of).orderBy(key)))
+    both = own.join(got, [key, tie, of, copy])
     pieces = F.regexp_extract_all("text", F.lit(r"[\x20\x09-\x0D]*" + WORD), F.lit(0))
     cut = F.element_at(
-        F.transform(F.array(pieces), lambda p: F.array_join(F.flatten(F.transform("_spans", lambda x: F.slice(p, (x["lo"] + 1).cast("int"), (x["hi"] - x["lo"]).cast("int")))), "")), 1
+        F.transform(F.array(pieces), lambda p: F.array_join(F.flatten(F.transform(spans_, lambda x: F.slice(p, (x["lo"] + 1).cast("int"), (x["hi"] - x["lo"]).cast("int")))), "")), 1
     )
-    text = F.when(F.col("_n") >= F.col("_size"), F.col("text")).otherwise(F.ltrim(cut))
-    both = both.withColumn("text", text)
+    both = both.withColumn("text", F.when(F.col(n_) >= F.col(size_), F.col("text")).otherwise(F.ltrim(cut)))
     if "n_chars" in docs.columns:
         both = both.withColumn("n_chars", F.char_length("text").cast(docs.schema["n_chars"].dataType))
     return both.select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
 def op10_mixture(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """What the mix takes of every document."""
+    """What the mix takes of every document, and by output shard."""
     rows, sources = plan(prepared(documents(spark, sf_dir)))
-    words = taken(rows, sources).groupBy("s", "bucket", "rn").agg(F.sum(F.col("hi") - F.col("lo")).alias("taken"))
-    return rows.join(words, ["s", "bucket", "rn"], "left").join(sources, "s").select("doc_id", "size", "source_size", "target", F.coalesce("taken", F.lit(0)).cast("long").alias("taken"))
+    by_shard = taken(rows, sources).groupBy("s", "bucket", "rn", "shard").agg(F.sum(F.col("hi") - F.col("lo")).alias("words"))
+    words = by_shard.groupBy("s", "bucket", "rn").agg(F.sum("words").alias("taken"), F.array_sort(F.collect_list(F.struct("shard", "words"))).alias("shards"))
+    out = rows.join(words, ["s", "bucket", "rn"], "left").join(sources, "s")
+    return out.select("doc_id", "size", "source_size", "target", F.coalesce("taken", F.lit(0)).cast("long").alias("taken"), F.coalesce("shards", F.array().cast("array<struct<shard:int,words:long>>")).alias("shards"))
 
 
 QUERIES = {"op10_mixture": op10_mixture}

@@ -77,6 +77,32 @@ def test_transport_faults_are_counted():
     assert op1_transport.demux(b"\x47" * 100)["packets"] == 0
 
 
+def test_transport_tables_over_packets():
+    """Sections longer than a packet, several in one packet, and sync found again after lost bytes."""
+    o = op1_transport
+    pmts = [o._section(2, n, bytes([0xE1, 0, 0xF0, 0]) + b"".join(bytes([6, 0xE0 | (0x200 + n) >> 8, (0x200 + n) & 255, 0xF0, 100]) + bytes(100) for _ in range(3))) for n in range(2)]
+    pat = o._section(0, 1, b"".join(bytes([0, n + 1, 0xF0 + n, 0]) for n in range(2)))
+    def carried(pid, data):
+        out, body = [], b"\0" + data
+        for k, at in enumerate(range(0, len(body), 184)):
+            out.append((bytes([0x47, (0x40 if k == 0 else 0) | pid >> 8, pid & 255, 0x10 | k]) + body[at : at + 184]).ljust(188, b"\xff"))
+        return b"".join(out)
+    got = o.demux(carried(0, pat) + carried(0x1000, pmts[0]) + carried(0x1100, pmts[1]))
+    assert got["programs"] == {1: 0x1000, 2: 0x1100} and got["streams"] == {0x200: 6, 0x201: 6} and got["table_faults"] == 0
+    both = o.demux(carried(0, pat + pat) + carried(0x1000, pmts[0] + pmts[0])[: 188 * 5])
+    assert both["streams"] == {0x200: 6} and both["table_faults"] == 0
+    assert o.demux(carried(0, pat) + carried(0x1000, pmts[0])[:188])["table_faults"] == 1
+    s = o.mux(bytes(range(200)) * 300)
+    lost = o.demux(s[: 188 * 40 + 50] + s[188 * 40 + 90 :])
+    assert lost["sync_faults"] == 1 and lost["packets"] >= len(s) // 188 - 2 and lost["counter_faults"] >= 1
+
+
+def test_transport_keeps_other_columns(spark):
+    df = spark.createDataFrame([(1, "abc", "x", 5, "y")], "doc_id long, text string, Media string, n_bytes int, _made string")
+    row = op1_transport.read_back(op1_transport.store(df)).first()
+    assert (row.n_bytes, row.payload_bytes, row._made, row.text) == (3, 64, "y", "abc") and bytes(row.media[:1]) == b"G"
+
+
 def test_transport_query(spark, sf, texts):
     for r in OPS["op1_transport_stream"](spark, sf).collect():
         n, p = op1_transport.padded(texts[r.doc_id].text)
@@ -556,8 +582,48 @@ def test_draws_are_permutations(spark):
         for p in {r["pass"] for r in own}:
             blocks = [r.block for r in own if r["pass"] == p]
             assert len(blocks) == len(set(blocks)) and max(blocks) <= size // 64
-    counts = op10_mixture.shard_counts(op10_mixture.draws(s, 64), 4).groupBy("s").agg(F.sum("words").alias("w")).collect()
+    counts = op10_mixture.shard_counts(op10_mixture.draws(s, 64)).groupBy("s").agg(F.sum("words").alias("w")).collect()
     assert {r.s: r.w for r in counts} == {"'a": 17_000, "'b": 600, "'c": 2}
+    own = [r.blocks for r in op10_mixture.shard_counts(op10_mixture.draws(s, 64)).collect() if r.s == "'a"]
+    mean = 17_000 / 64 / op10_mixture.SHARDS
+    assert len(own) == op10_mixture.SHARDS and sum((x - mean) ** 2 / mean for x in own) < 30  # chi-square of 7 degrees of freedom
+
+
+def test_mixture_by_force(spark, sf, texts):
+    """Words taken of each document and shard, from the draws and the streams in order of id."""
+    rows, sources = op10_mixture.plan(op10_mixture.prepared(spark.read.parquet(f"{sf}/documents.parquet")))
+    drawn = defaultdict(list)
+    for r in op10_mixture.draws(sources).collect():
+        drawn[r.s].append(r)
+    words, at = {i: re.findall(r"[^\x20\x09-\x0D]+", t.text or "") for i, t in texts.items()}, defaultdict(int)
+    start = {}
+    for i in sorted(texts):
+        s = "n" if texts[i].source is None else "'" + texts[i].source
+        start[i] = (s, at[s])
+        at[s] += len(words[i])
+    want = {i: Counter() for i in texts}
+    for i, (s, a) in start.items():
+        for d in drawn[s]:
+            n = min(a + len(words[i]), d.block * 256 + d.words) - max(a, d.block * 256)
+            if n > 0:
+                want[i][d.shard] += n
+    for r in OPS["op10_mixture"](spark, sf).collect():
+        assert {x.shard: x.words for x in r.shards} == dict(want[r.doc_id]) and r.taken == sum(want[r.doc_id].values())
+
+
+def test_mixture_of_repeated_rows(spark):
+    """Rows that repeat id, text and source each have their own words in the mix; names that the operator uses itself are kept."""
+    rows = [(1, " ".join(f"a{i}" for i in range(700)), "s", "k")] * 3 + [(None, " ".join(f"b{i}" for i in range(300)), None, "k")] * 2 + [(2, "", "s", "k"), (3, None, "s", "k")]
+    df = spark.createDataFrame(rows, "doc_id long, text string, source string, _key string").withColumn("_TIE", F.lit("t"))
+    got = op10_mixture.mixed(df)
+    assert got.columns == df.columns
+    rows = got.collect()
+    n = Counter()
+    for r in rows:
+        n[r.source] += len(r.text.split())
+        assert (r._key, r._TIE) == ("k", "t")
+    want = {r.s: r.target for r in op10_mixture.plan(op10_mixture.prepared(df))[1].collect()}
+    assert abs(n["s"] - want["'s"]) <= 1 and abs(n[None] - want["n"]) <= 1
 
 
 # ---- pipeline ----
