@@ -37,7 +37,7 @@ def select_entities(scores: DataFrame, spec: EntitySpec) -> DataFrame:
     if spec.mode == "literal":
         s = s.withColumn("v", F.col("er"))
     elif spec.mode == "chunk_max":
-        s = s.withColumn("v", F.col("er") / F.nullif(F.max("er").over(per), F.lit(0.0)))
+        s = s.withColumn("v", F.round(F.col("er") / F.nullif(F.max("er").over(per), F.lit(0.0)), 9))
     elif spec.mode == "chunk_rank":
         s = s.withColumn("v", F.percent_rank().over(per.orderBy("er")))
     else:

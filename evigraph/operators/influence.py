@@ -87,7 +87,7 @@ def uniform(edges: DataFrame, nodes: DataFrame, seeds: DataFrame, damping: float
     return every.join(x, ["qid", "node_key"], "left").select("qid", "node_key", (F.coalesce("score", F.lit(0.0)) + F.col("y") * F.col("k")).alias("score"))
 
 
-def push_frontier(edges: DataFrame, seeds: DataFrame, damping: float = 0.5, eps: float = 1e-4, rounds: int = 40) -> DataFrame:
+def push_frontier(edges: DataFrame, seeds: DataFrame, damping: float = 0.5, eps: float = 1e-4) -> DataFrame:
     """Forward push by rounds: all nodes whose residual exceeds eps * degree push at once; joins touch the frontier only."""
     from evigraph.runtime import written
 
@@ -95,7 +95,7 @@ def push_frontier(edges: DataFrame, seeds: DataFrame, damping: float = 0.5, eps:
     adj = written(d.join(d.groupBy("src").agg(F.count("*").alias("deg")), "src").repartition("src"), "adjacency")
     deg = adj.select("src", "deg").distinct()
     state = written(seeds.join(deg, F.col("node_key") == F.col("src"), "left").select("qid", "node_key", F.coalesce("deg", F.lit(1)).alias("deg"), F.lit(0.0).alias("score"), F.col("p").alias("res")), "push")
-    for _ in range(rounds):
+    while True:  # ends: a push leaves at most the damped share of what it moves
         hot = F.col("res") > eps * F.col("deg")
         if state.where(hot).isEmpty():
             break

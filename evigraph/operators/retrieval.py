@@ -2,7 +2,9 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
+from functools import reduce
+from math import ceil
 
 import numpy as np
 import pandas as pd
@@ -38,9 +40,29 @@ def collected_queries(queries: DataFrame, vec: str = "qvec") -> tuple[list[int],
     return [r[0] for r in rows], np.array([r[1] for r in rows], np.float32).reshape(len(rows), -1)
 
 
+def sliced(queries: DataFrame, run: Callable[[DataFrame], DataFrame]) -> DataFrame:
+    """``run`` over slices of the questions that a broadcast can hold."""
+    parts = ceil(1.25 * queries.count() / MOST_QUERIES)
+    if parts < 2:
+        return run(queries)
+    return reduce(DataFrame.unionByName, [run(queries.where(F.pmod(F.xxhash64("qid"), F.lit(parts)) == i)) for i in range(parts)])
+
+
+def kept_facts(top: DataFrame, floor: float, named: Column | None = None) -> DataFrame:
+    """Of each question's ranked facts (qid, ms, rk), those that the offline judge keeps: close enough or naming a word; else the closest."""
+    fine = F.col("ms") >= floor
+    ok = top.withColumn("_ok", fine if named is None else fine | named)
+    some = ok.groupBy("qid").agg(F.bool_or("_ok").alias("_some"))
+    return ok.join(some, "qid").where("_ok or (not _some and rk = 1)").drop("_ok", "_some")
+
+
 def top_vectors(queries: DataFrame, items: DataFrame, k: int, key: str, vec: str = "vec", qvec: str = "qvec") -> DataFrame:
-    """qid, key, ms, rk: exact k nearest items by cosine. The bounded question matrix is broadcast, each task keeps its own k best
+    """qid, key, ms, rk: exact k nearest items by cosine. The question matrix is broadcast in slices, each task keeps its own k best
     of each question, and one small shuffle by question ends it."""
+    return sliced(queries, lambda q: _top_vectors(q, items, k, key, vec, qvec))
+
+
+def _top_vectors(queries: DataFrame, items: DataFrame, k: int, key: str, vec: str, qvec: str) -> DataFrame:
     qids, q = collected_queries(queries, qvec)
     shared = items.sparkSession.sparkContext.broadcast((np.array(qids, np.int64), q / np.maximum(np.linalg.norm(q, axis=1, keepdims=True), 1e-12)))
 
@@ -97,6 +119,10 @@ def fuse(dense: DataFrame, sparse: DataFrame, spec: FuseSpec = FuseSpec()) -> Da
 
 def fused_top(queries: DataFrame, chunks: DataFrame, counts: DataFrame, spec: FuseSpec = FuseSpec()) -> DataFrame:
     """Exact k best of the mixture over all chunks: keyword scores ride along with the chunk's vector, so no pair that can win is lost."""
+    return sliced(queries, lambda q: _fused_top(q, chunks, counts, spec))
+
+
+def _fused_top(queries: DataFrame, chunks: DataFrame, counts: DataFrame, spec: FuseSpec) -> DataFrame:
     sparse = scaled(bm25(queries, counts, chunk_stats(chunks), spec), spec.bm25_scale)
     ride = sparse.groupBy("chunk_key").agg(F.collect_list(F.struct("qid", "bm25")).alias("hits"))
     rows = chunks.select("chunk_key", "vec").join(ride, "chunk_key", "left")

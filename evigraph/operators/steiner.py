@@ -18,7 +18,7 @@ def _directed(costs: DataFrame) -> DataFrame:
     return both.groupBy("qid", "a", "b").agg(F.min(F.struct("cost", "edge_id")).alias("m")).select("qid", "a", "b", "m.edge_id", "m.cost")
 
 
-def regions(costs: DataFrame, terminals: DataFrame, rounds: int = 64) -> DataFrame:
+def regions(costs: DataFrame, terminals: DataFrame) -> DataFrame:
     """qid, node, dist, owner, via, up: nearest terminal of every node that one reaches, the edge and node towards it.
 
     Relaxation from all terminals at once: the rows that improved in the last round meet their edges; each node keeps its
@@ -27,7 +27,7 @@ def regions(costs: DataFrame, terminals: DataFrame, rounds: int = 64) -> DataFra
     d = written(_directed(costs).repartition("qid", "a"), "directed")
     best = written(terminals.select("qid", F.col("node_key").alias("node"), F.lit(0.0).alias("dist"), F.col("node_key").alias("owner"), F.lit(None).cast("string").alias("via"), F.lit(None).cast("string").alias("up")), "regions")
     front = best
-    for _ in range(rounds):
+    while True:
         met = front.join(d, (front["qid"] == d["qid"]) & (front["node"] == d["a"])).select(front["qid"], F.col("b").alias("node"), F.round(F.col("dist") + F.col("cost"), 12).alias("dist"), "owner", F.col("edge_id").alias("via"), F.col("a").alias("up"))
         offer = met.groupBy("qid", "node").agg(F.min(F.struct("dist", "owner", "via", "up")).alias("m")).select("qid", "node", "m.*")
         old = best.select("qid", "node", F.col("dist").alias("od"), F.col("owner").alias("oo"))
@@ -35,7 +35,6 @@ def regions(costs: DataFrame, terminals: DataFrame, rounds: int = 64) -> DataFra
         if front.isEmpty():
             return best
         best = written(best.join(front.select("qid", "node"), ["qid", "node"], "left_anti").unionByName(front), "regions")
-    return best
 
 
 def boundary(costs: DataFrame, region: DataFrame) -> DataFrame:
@@ -71,13 +70,13 @@ def spanning_crossings(crossings: DataFrame) -> DataFrame:
     return crossings.groupBy("qid").applyInPandas(kruskal, crossings.schema)
 
 
-def tree_edges(crossings: DataFrame, region: DataFrame, terminals: DataFrame, costs: DataFrame, rounds: int = 64) -> DataFrame:
+def tree_edges(crossings: DataFrame, region: DataFrame, terminals: DataFrame, costs: DataFrame) -> DataFrame:
     """qid, edge_id of the tree: crossings, and the paths from their ends back to their terminals, walked by all at once."""
     edges = crossings.select("qid", "edge_id")
     walk = crossings.select("qid", F.explode(F.array("src", "dst")).alias("node")).distinct()
     seen = written(walk, "walk")
     out = written(edges, "tree")
-    for _ in range(rounds):
+    while True:
         nxt = seen.join(region.where("up is not null"), ["qid", "node"]).select("qid", F.col("via").alias("edge_id"), F.col("up").alias("node"))
         nxt = written(nxt, "walk")
         if nxt.isEmpty():
@@ -121,7 +120,7 @@ def subgraph_ratio(edges: DataFrame, costs: DataFrame, scores: DataFrame, kind:
     return both.groupBy("qid").agg((F.sum if kind == "sum" else F.avg)(term).alias("ratio"))
 
 
-def grow_frozen(tree: DataFrame, terminals: DataFrame, costs: DataFrame, scores: DataFrame, counted: DataFrame | None = None, base: str = "sum", rounds: int = 64) -> DataFrame:
+def grow_frozen(tree: DataFrame, terminals: DataFrame, costs: DataFrame, scores: DataFrame, counted: DataFrame | None = None, base: str = "sum") -> DataFrame:
     """qid, edge_id, step of growth under the tree's own ratio, which is independent of order.
 
     A step goes from a node inside over an edge to v where cost / s_v is under the ratio; at the end every edge between reached nodes whose
@@ -135,7 +134,9 @@ def grow_frozen(tree: DataFrame, terminals: DataFrame, costs: DataFrame, scores:
     ends = tree.join(costs.select("qid", "edge_id", "src", "dst"), ["qid", "edge_id"]).select("qid", F.explode(F.array("src", "dst")).alias("node"))
     reached = written(ends.unionByName(terminals.select("qid", F.col("node_key").alias("node"))).distinct().withColumn("step", F.lit(0)), "reached")
     front = reached
-    for i in range(1, rounds + 1):
+    i = 0
+    while True:
+        i += 1
         new = front.join(omega, (front["qid"] == omega["qid"]) & (front["node"] == omega["a"])).select(front["qid"], F.col("b").alias("node")).distinct()
         front = written(new.join(reached.select("qid", "node"), ["qid", "node"], "left_anti").withColumn("step", F.lit(i)), "front")
         if front.isEmpty():
@@ -147,13 +148,13 @@ def grow_frozen(tree: DataFrame, terminals: DataFrame, costs: DataFrame, scores:
     return inner.join(tree.select("qid", "edge_id"), ["qid", "edge_id"], "left_anti")
 
 
-def check_reach(edges: DataFrame, terminals: DataFrame, costs: DataFrame, rounds: int = 64) -> DataFrame:
+def check_reach(edges: DataFrame, terminals: DataFrame, costs: DataFrame) -> DataFrame:
     """qid, terminals, reached: how many terminals the least one reaches over the subgraph's edges."""
     d = edges.join(costs.select("qid", "edge_id", "src", "dst"), ["qid", "edge_id"])
     d = written(d.select("qid", F.col("src").alias("a"), F.col("dst").alias("b")).unionByName(d.select("qid", F.col("dst").alias("a"), F.col("src").alias("b"))).distinct(), "adjacency")
     seen = written(terminals.groupBy("qid").agg(F.min("node_key").alias("node")), "reach")
     front = seen
-    for _ in range(rounds):
+    while True:
         new = front.join(d, (front["qid"] == d["qid"]) & (front["node"] == d["a"])).select(front["qid"], F.col("b").alias("node")).distinct()
         front = written(new.join(seen, ["qid", "node"], "left_anti"), "reach")
         if front.isEmpty():

@@ -3,16 +3,26 @@
 from __future__ import annotations
 
 from collections.abc import Iterator
+from math import acos, ceil, log, log2, pi
 
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+#: Members of a block of a bucket; a larger bucket is dealt into parts that meet two by two.
+BLOCK = 1024
 
-def signs(vecs: DataFrame, key: str, bands: int = 16, bits: int = 12, seed: int = 7) -> DataFrame:
-    """key, band: signed random projections in bands; a pair at cosine .8 (angle .205 of pi) shares one with probability
-    1 - (1 - .795**bits)**bands, .65 at the defaults; more bands, more recall."""
+
+def tuned(n: int, phi: float, recall: float = 0.99) -> tuple[int, int]:
+    """bands, bits: buckets of some 32 unrelated vectors, and as many bands as a pair at the threshold needs for the recall."""
+    bits = min(16, max(4, ceil(log2(max(n, 2) / 32))))
+    same = (1 - acos(min(1.0, phi)) / pi) ** bits
+    return max(1, ceil(log(1 - recall) / log(1 - same))) if same < 1 else 1, bits
+
+
+def signs(vecs: DataFrame, key: str, bands: int, bits: int, seed: int = 7) -> DataFrame:
+    """k, vec, band: signs of random projections in bands. A pair at angle a shares a band with probability (1 - a / pi)**bits."""
 
     def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         planes = None
@@ -23,25 +33,53 @@ def signs(vecs: DataFrame, key: str, bands: int = 16, bits: int = 12, seed: int
             if planes is None:
                 planes = np.random.default_rng(seed).standard_normal((m.shape[1], bands * bits)).astype(np.float32)
             b = (m @ planes > 0).reshape(len(m), bands, bits) @ (1 << np.arange(bits))
-            yield pd.DataFrame({"k": np.repeat(pdf["k"].to_numpy(), bands), "band": (b + (np.arange(bands) << bits)).ravel()})
+            yield pd.DataFrame({"k": pdf["k"], "bands": list(b + (np.arange(bands) << bits)), "vec": pdf["vec"]})
 
-    return vecs.select(F.col(key).alias("k"), "vec").mapInPandas(run, "k string, band long")
+    kind = vecs.schema[key].dataType.simpleString()
+    found = vecs.select(F.col(key).alias("k"), "vec").mapInPandas(run, f"k {kind}, bands array<long>, vec array<float>")
+    return found.select("k", "vec", F.explode("bands").alias("band"))
 
 
-def edges_lsh(vecs: DataFrame, phi: float, key: str = "node_key", bands: int = 24, bits: int = 8, most: int = 256) -> DataFrame:
-    """src, dst, cos. Candidates share a band; a bucket over ``most`` members is split by further bits until it fits, so no bucket is emitted
-    as all pairs of a large group; each candidate is verified by its exact cosine."""
-    from evigraph.operators.retrieval import cosine
+def edges_lsh(vecs: DataFrame, phi: float, key: str = "node_key", recall: float = 0.99, block: int = BLOCK) -> DataFrame:
+    """src, dst, cos of pairs above phi. Candidates share a band; a bucket is a task's matrix product, a large one is dealt into parts that meet two by
+    two, so only pairs above phi are ever rows. Bands and bits follow from phi, the number of vectors and the recall at phi."""
+    rows = signs(vecs, key, *tuned(vecs.count(), phi, recall))
+    sizes = rows.groupBy("band").agg(F.count("*").alias("n")).where("n > 1").select("band", F.ceil(F.col("n") / block).cast("int").alias("parts"))
+    dealt = rows.join(sizes, "band").withColumn("part", F.pmod(F.xxhash64("k"), "parts").cast("int"))
+    met = dealt.withColumn("o", F.explode(F.sequence(F.lit(0), F.col("parts") - 1))).select("band", F.least("part", "o").alias("i"), F.greatest("part", "o").alias("j"), "part", "k", "vec")
 
-    rows = signs(vecs, key, bands, bits).unionByName(signs(vecs, key, bands, bits, seed=8).where("false"))
-    fine = signs(vecs, key, bands, bits * 2).withColumn("no", F.shiftright("band", bits * 2)).withColumnRenamed("band", "fine")
-    sizes = rows.groupBy("band").agg(F.count("*").alias("n"))
-    coarse = rows.join(sizes, "band").withColumn("no", F.shiftright("band", bits))
-    keyed = coarse.join(fine, ["k", "no"]).select("k", F.when(F.col("n") > most, F.concat_ws("f", "band", "fine")).otherwise(F.col("band").cast("string")).alias("b"))
-    a, b = keyed.select(F.col("k").alias("src"), "b"), keyed.select(F.col("k").alias("dst"), "b")
-    pairs = a.join(b, "b").where("src < dst").select("src", "dst").distinct()
-    u, v = (vecs.select(F.col(key).alias(c), F.col("vec").alias(x)) for c, x in (("src", "u"), ("dst", "v")))
-    return pairs.join(u, "src").join(v, "dst").withColumn("cos", cosine(F.col("u"), F.col("v"))).where(F.col("cos") > phi).select("src", "dst", "cos")
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        held: list[pd.DataFrame] = []
+        for pdf in batches:
+            if not len(pdf):
+                continue
+            g = pdf[["band", "i", "j"]].to_numpy()
+            if held and (held[-1][["band", "i", "j"]].to_numpy()[-1] != g[0]).any():
+                yield above(pd.concat(held))
+                held = []
+            cuts = [0, *(np.flatnonzero((g[1:] != g[:-1]).any(axis=1)) + 1).tolist(), len(g)]
+            for a, z in zip(cuts[:-2], cuts[1:-1]):
+                yield above(pd.concat([*held, pdf.iloc[a:z]]))
+                held = []
+            held.append(pdf.iloc[cuts[-2] :])
+        if held:
+            yield above(pd.concat(held))
+
+    def above(pdf: pd.DataFrame) -> pd.DataFrame:
+        m = np.array(pdf["vec"].tolist(), float)
+        m /= np.maximum(np.linalg.norm(m, axis=1, keepdims=True), 1e-12)
+        s = m @ m.T
+        x, y = np.nonzero(s > phi)
+        k, part = pdf["k"].to_numpy(), pdf["part"].to_numpy()
+        own = k[x] < k[y]
+        if pdf["i"].iloc[0] != pdf["j"].iloc[0]:
+            own &= part[x] != part[y]
+        x, y = x[own], y[own]
+        return pd.DataFrame({"src": k[x], "dst": k[y], "cos": s[x, y]})
+
+    kind = vecs.schema[key].dataType.simpleString()
+    found = met.repartition("band", "i", "j").sortWithinPartitions("band", "i", "j").mapInPandas(run, f"src {kind}, dst {kind}, cos double")
+    return found.groupBy("src", "dst").agg(F.max("cos").alias("cos"))
 
 
 def pairs_exact(vecs: DataFrame, phi: float, key: str, blocks: int = 8) -> DataFrame:

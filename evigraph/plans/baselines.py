@@ -11,12 +11,13 @@ import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from evigraph.functions.encoder import encode
 from evigraph.operators.kg import both_ways
-from evigraph.operators.retrieval import best, bm25, chunk_stats, fuse, top_vectors
+from evigraph.operators.retrieval import best, bm25, chunk_stats, cosine, scaled, top_vectors
 from evigraph.operators.textprep import tokens
 from evigraph.plans.index import Index
-from evigraph.plans.search import influence_of, map_and_filter, retrieved_by, search
-from evigraph.runtime import written
+from evigraph.plans.search import retrieved_by, searched
+from evigraph.runtime import once, token, written
 
 
 def none(queries: DataFrame, labels: DataFrame) -> DataFrame:
@@ -29,10 +30,19 @@ def dense(index: Index, q: DataFrame, k: int = 5) -> DataFrame:
     return top_vectors(q, index.chunks, k, "chunk_key").withColumnRenamed("ms", "score")
 
 
-def keyword_nodes(index: Index, q: DataFrame) -> DataFrame:
+def keyword_nodes(nodes: DataFrame, q: DataFrame) -> DataFrame:
     """qid, node_key of entities that a question names."""
     words = q.select("qid", F.explode(F.array_distinct(tokens(F.col("text")))).alias("text"))
-    return index.nodes.where("kind = 'entity'").join(words, "text").select("qid", "node_key")
+    return nodes.where("kind = 'entity'").join(words, "text").select("qid", "node_key")
+
+
+def mapped_nodes(index: Index, q: DataFrame, floor: float = 0.6) -> DataFrame:
+    """qid, node_key: each word of a question goes to the one entity whose vector is closest, if it is close enough."""
+    words = q.select("qid", F.explode(F.array_distinct(tokens(F.col("text")))).alias("w"))
+    each = words.select("w").distinct().select(F.xxhash64("w").alias("qid"), "w")
+    named = encode(index.nodes.where("kind = 'entity'"), "text", index.cfg.dim)
+    top = top_vectors(written(encode(each, "w", index.cfg.dim, "qvec"), "words"), named, 1, "node_key").where(F.col("ms") >= floor)
+    return words.select("qid", F.xxhash64("w").alias("w")).join(top.select(F.col("qid").alias("w"), "node_key"), "w").select("qid", "node_key").distinct()
 
 
 def sparse(index: Index, q: DataFrame, k: int = 5) -> DataFrame:
@@ -61,40 +71,56 @@ def compressed(index: Index, q: DataFrame, k: int = 5, budget: float = 0.5) -> D
     return keep.groupBy("qid").agg(F.max("n_all").alias("prompt_tokens"), F.count("*").alias("kept_tokens"), F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("rk", "i", "w"))), lambda x: x["w"]), " ").alias("kept"))
 
 
+def _codes(vecs: DataFrame, bits: int, seed: int) -> DataFrame:
+    """node, code: the side of each of some random planes through the vectors."""
+
+    def run(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
+        planes = None
+        for pdf in batches:
+            if len(pdf):
+                m = np.array(pdf["vec"].tolist(), np.float32)
+                planes = np.random.default_rng(seed).standard_normal((m.shape[1], bits)).astype(np.float32) if planes is None else planes
+                yield pd.DataFrame({"node": pdf["node"], "code": (m @ planes > 0) @ (1 << np.arange(bits))})
+
+    return vecs.select("node", "vec").mapInPandas(run, "node string, code long")
+
+
 def summary_levels(index: Index, fanout: int = 10, levels: int = 3, seed: int = 1, by: str = "vector") -> DataFrame:
-    """node, level, vec, chunk_keys: leaves are chunks; each level clusters the one below (k-means with a fixed seed) and stands for its members by
-    their mean vector. ``by='shared'`` groups chunks by their strongest shared entity first."""
-    from pyspark.ml.clustering import KMeans
-    from pyspark.ml.functions import array_to_vector
-
-    cur = index.chunks.select(F.col("chunk_key").alias("node"), F.lit(0).alias("level"), "vec", F.array("chunk_key").alias("chunk_keys"))
-    out = cur
-    if by == "shared":
-        common = index.entities.withColumn("r", F.row_number().over(Window.partitionBy("chunk_key").orderBy(F.desc("df"), "term"))).where("r = 1").select("chunk_key", "term")
-        grouped = index.chunks.join(common, "chunk_key").select(F.concat(F.lit("g:"), "term").alias("node"), "vec", "chunk_key")
-        cur = _means(grouped.select("node", "vec", F.array("chunk_key").alias("chunk_keys")), 1, index.cfg.dim)
-        out = out.unionByName(cur)
-    for level in range(2 if by == "shared" else 1, levels + 1):
-        n = cur.count()
+    """node, level, vec, chunk_key: leaves are chunks; each level puts the nodes below that lie on the same sides of random planes under one, which stands for
+    its chunks by their mean vector and by the chunk closest to it (its summary). ``by='shared'`` groups chunks by their strongest shared entity first.
+
+    No list of members is made: a table of (chunk, node) is carried from level to level, and the number of planes follows from the number of nodes."""
+    chunks = index.chunks.select("chunk_key", "vec")
+    out = chunks.select(F.col("chunk_key").alias("node"), F.lit(0).alias("level"), "vec", "chunk_key")
+    member, n = chunks.select("chunk_key", F.col("chunk_key").alias("node")), out.count()
+    nodes = out
+    for level in range(1, levels + 1):
         if n <= fanout:
             break
-        rows = cur.withColumn("features", array_to_vector(F.col("vec").cast("array<double>")))
-        model = KMeans(k=max(2, n // fanout), seed=seed, maxIter=5, initMode="random").fit(rows.select("features"))
-        named = model.transform(rows).select(F.format_string(f"{by[0]}{level}:%05d", "prediction").alias("node"), "vec", "chunk_keys")
-        cur = written(_means(named, level, index.cfg.dim), "level")
-        out = out.unionByName(cur)
+        if by == "shared" and level == 1:
+            strongest = F.row_number().over(Window.partitionBy("chunk_key").orderBy(F.desc("df"), "term"))
+            member = index.entities.withColumn("r", strongest).where("r = 1").select("chunk_key", F.concat(F.lit("g:"), "term").alias("node"))
+        else:
+            code = _codes(nodes, max(1, round(np.log2(n / fanout))), seed + level).select("node", F.format_string(f"{by[0]}{level}:%x", "code").alias("up"))
+            member = member.join(code, "node").select("chunk_key", F.col("up").alias("node"))
+        member = written(member, "members")
+        nodes = written(_summaries(member.join(chunks, "chunk_key"), index.cfg.dim).withColumn("level", F.lit(level)), "level")
+        out, n = out.unionByName(nodes.select(out.columns)), nodes.count()
     return written(out, "tree")
 
 
-def _means(rows: DataFrame, level: int, dim: int) -> DataFrame:
+def _summaries(rows: DataFrame, dim: int) -> DataFrame:
+    """node, vec, chunk_key: the mean of a node's chunks and the chunk closest to it."""
     mean = F.array(*[F.avg(F.element_at("vec", i + 1)) for i in range(dim)])
-    return rows.groupBy("node").agg(mean.cast("array<float>").alias("vec"), F.flatten(F.collect_list("chunk_keys")).alias("chunk_keys")).select("node", F.lit(level).alias("level"), "vec", "chunk_keys")
+    means = rows.groupBy("node").agg(mean.cast("array<float>").alias("mean"))
+    near = rows.join(means, "node").groupBy("node").agg(F.max(F.struct(F.round(cosine(F.col("vec"), F.col("mean")), 6).alias("c"), "chunk_key")).alias("m"))
+    return means.join(near, "node").select("node", F.col("mean").alias("vec"), F.col("m.chunk_key").alias("chunk_key"))
 
 
 def summary_tree(index: Index, q: DataFrame, k: int = 5, by: str = "vector") -> DataFrame:
-    """Flat search over all levels; a node found stands for its first chunk (extractive summary: the chunk closest to the mean)."""
-    nodes = summary_levels(index, by=by)
-    found = top_vectors(q, nodes, k, "node").join(nodes.select("node", F.element_at("chunk_keys", 1).alias("chunk_key")), "node")
+    """Flat search over all levels; a node found stands for its summary, the chunk closest to its mean."""
+    nodes = once(q.sparkSession, ("summaries", token(index), by), lambda: summary_levels(index, by=by))
+    found = top_vectors(q, nodes, k, "node").join(nodes.select("node", "chunk_key"), "node")
     return best(found.groupBy("qid", "chunk_key").agg(F.max("ms").alias("score")), k, "score", "chunk_key")
 
 
@@ -141,12 +167,19 @@ def prize_subgraph(index: Index, q: DataFrame, prize_k: int = 10, edge_cost: flo
     return q.select("qid", "qvec").mapInPandas(run, "qid long, nodes array<string>, n_edges int, value double")
 
 
+def prize_passages(index: Index, q: DataFrame, k: int = 5) -> DataFrame:
+    """The passages of the prize subgraph, closest first."""
+    held = prize_subgraph(index, q).select("qid", F.explode("nodes").alias("n")).where("n like 'p:%'").select("qid", F.expr("substring(n, 3)").alias("chunk_key"))
+    near = held.join(index.chunks.select("chunk_key", "vec"), "chunk_key").join(q.select("qid", "qvec"), "qid")
+    return best(near.select("qid", "chunk_key", cosine(F.col("vec"), F.col("qvec")).alias("score")), k, "score", "chunk_key")
+
+
 def expert_mix(index: Index, q: DataFrame, k: int = 5, temperature: float = 1.0) -> DataFrame:
-    """Three experts (single passage, path, summary) with weights softmax(features / temperature); features: length of the question, mapped facts."""
+    """Four experts (single passage, path, summary, neighbours weighted by the question) with weights softmax(features / temperature) of the question's length."""
     n = F.size(tokens(F.col("text")))
-    feats = F.array(F.lit(1.0), F.least(n / 20.0, F.lit(2.0)), F.least(n / 60.0, F.lit(2.0)))
+    feats = F.array(F.lit(1.0), F.least(n / 20.0, F.lit(2.0)), F.least(n / 60.0, F.lit(2.0)), F.lit(0.5))
     gate = q.select("qid", F.transform(feats, lambda x: F.exp(x / temperature)).alias("e")).select("qid", F.transform("e", lambda x: x / F.aggregate("e", F.lit(0.0), lambda a, b: a + b)).alias("g"))
-    experts = [dense(index, q, 2 * k), retrieved_by(search(index, q, k=2 * k), "passages"), summary_tree(index, q, 2 * k)]
+    experts = [dense(index, q, 2 * k), retrieved_by(searched(index, q, k=2 * k), "passages"), summary_tree(index, q, 2 * k), aggregated(index, q, 2 * k)]
     total = None
     for i, e in enumerate(experts):
         top = F.max("score").over(Window.partitionBy("qid"))
@@ -155,6 +188,16 @@ def expert_mix(index: Index, q: DataFrame, k: int = 5, temperature: float = 1.0)
     return best(total.groupBy("qid", "chunk_key").agg(F.sum("score").alias("score")), k, "score", "chunk_key")
 
 
+def aggregated(index: Index, q: DataFrame, k: int) -> DataFrame:
+    """Passages by the facts around their entities: each entity takes the mean of its facts' closeness to the question, by their closeness, so facts far
+    from the question add nothing; a passage takes the sum over its entities. Only the 200 closest facts of a question weigh."""
+    rel = index.edges.where("kind = 'relation'")
+    near = top_vectors(q, rel, 200, "edge_id").where("ms > 0").join(rel.select("edge_id", "src", "dst"), "edge_id")
+    gate = near.select("qid", F.explode(F.array("src", "dst")).alias("src"), "ms").groupBy("qid", "src").agg((F.sum(F.col("ms") * F.col("ms")) / F.sum("ms")).alias("x"))
+    held = index.edges.where("kind = 'contains'").select("src", F.expr("substring(dst, 3)").alias("chunk_key"))
+    return best(held.join(gate, "src").groupBy("qid", "chunk_key").agg(F.sum("x").alias("score")), k, "score", "chunk_key")
+
+
 def communities(edges: DataFrame, rounds: int = 5) -> DataFrame:
     """node_key, label by majority vote of neighbours, ties to the least label; each round is one join and two sums."""
     d = written(both_ways(edges.select("src", "dst")), "directed")
@@ -166,33 +209,54 @@ def communities(edges: DataFrame, rounds: int = 5) -> DataFrame:
     return label
 
 
+def reports(index: Index, label: DataFrame, k: int = 10) -> DataFrame:
+    """label, report, vec: a community's report names its k best-connected entities, as text and as a vector."""
+    deg = both_ways(index.edges.select("src", "dst")).groupBy("src").agg(F.count("*").alias("g")).withColumnRenamed("src", "node_key")
+    named = index.nodes.where("kind = 'entity'").join(label, "node_key").join(deg, "node_key")
+    top = named.withColumn("r", F.row_number().over(Window.partitionBy("label").orderBy(F.desc("g"), "text"))).where(F.col("r") <= k)
+    text = F.array_join(F.transform(F.array_sort(F.collect_list(F.struct("r", "text"))), lambda x: x["text"]), " ")
+    return written(encode(top.groupBy("label").agg(text.alias("report")), "report", index.cfg.dim), "reports")
+
+
 def community_reports(index: Index, q: DataFrame, k: int = 5, mode: str = "local", rounds: int = 3) -> DataFrame:
-    """Passages of the communities of the mapped entities (local) or of the communities whose mean vector is closest (global)."""
-    label = communities(index.edges, rounds)
+    """Passages of the communities of the mapped entities (local) or of the two whose report is closest (global), by the mixture over all members."""
+    label = once(q.sparkSession, ("communities", token(index), rounds), lambda: communities(index.edges, rounds))
     if mode == "local":
         rel = index.edges.where("kind = 'relation'")
         ends = top_vectors(q, rel, index.cfg.map.k_facts, "edge_id").join(rel.select("edge_id", "src", "dst"), "edge_id").select("qid", F.explode(F.array("src", "dst")).alias("node_key"))
         mine = ends.join(label, "node_key").select("qid", "label").distinct()
     else:
-        vec = index.chunks.select(F.concat(F.lit("p:"), "chunk_key").alias("node_key"), "vec").join(label, "node_key").select(F.col("label").alias("node"), "vec", F.array("node_key").alias("chunk_keys"))
-        mine = top_vectors(q, _means(vec, 0, index.cfg.dim), 2, "node").select("qid", F.col("node").alias("label"))
+        mine = top_vectors(q, reports(index, label), 2, "label").select("qid", "label")
     members = mine.join(label.where("node_key like 'p:%'"), "label").select("qid", F.expr("substring(node_key, 3)").alias("chunk_key")).distinct()
-    near = fuse(top_vectors(q, index.chunks, 50 * k, "chunk_key").select("qid", "chunk_key", "ms"), bm25(q, index.words, chunk_stats(index.chunks)), replace(index.cfg.fuse, bm25_scale="query_max"))
-    return best(near.join(members, ["qid", "chunk_key"]).select("qid", "chunk_key", F.col("hs").alias("score")), k, "score", "chunk_key")
+    near = members.join(index.chunks.select("chunk_key", "vec"), "chunk_key").join(q.select("qid", "qvec"), "qid").select("qid", "chunk_key", cosine(F.col("vec"), F.col("qvec")).alias("ms"))
+    sparse = scaled(bm25(q, index.words, chunk_stats(index.chunks)), "query_max")
+    w = index.cfg.fuse.weight
+    score = (1 - w) * F.coalesce("ms", F.lit(0.0)) + w * F.coalesce("bm25", F.lit(0.0))
+    return best(near.join(sparse, ["qid", "chunk_key"], "left").select("qid", "chunk_key", score.alias("score")), k, "score", "chunk_key")
+
+
+def touching(seeds: DataFrame, edges: DataFrame, k: int) -> DataFrame:
+    """Passages by how many of the seeds (qid, node_key) they touch; edges: src, dst in both directions."""
+    met = seeds.join(edges, seeds["node_key"] == edges["src"]).where("dst like 'p:%'").groupBy("qid", F.expr("substring(dst, 3)").alias("chunk_key")).agg(F.countDistinct("src").cast("double").alias("score"))
+    return best(met, k, "score", "chunk_key")
 
 
 def neighbourhood(index: Index, q: DataFrame, k: int = 5, hops: int = 1, mode: str = "hybrid") -> DataFrame:
-    """Each word of a question goes to exactly one entity (itself, else none); ``low``: passages around these, ``high``: around the ends of the closest
-    relation, ``hybrid``: both. Passages rank by how many of the nodes they touch."""
-    low = keyword_nodes(index, q)
+    """``low``: passages around the entities that the words of a question go to, one each, by vectors; ``high``: around the ends of the closest
+    relation; ``hybrid``: both. Passages rank by how many of the nodes they touch."""
+    low = mapped_nodes(index, q)
     rel = index.edges.where("kind = 'relation'")
     high = top_vectors(q, rel, 1, "edge_id").join(rel.select("edge_id", "src", "dst"), "edge_id").select("qid", F.explode(F.array("src", "dst")).alias("node_key"))
     seeds = {"low": low, "high": high, "hybrid": low.unionByName(high)}[mode].distinct()
     d = both_ways(index.edges.select("src", "dst"))
     for _ in range(hops - 1):
         seeds = written(seeds.unionByName(seeds.join(d, seeds["node_key"] == d["src"]).select("qid", F.col("dst").alias("node_key"))).distinct(), "hop")
-    met = seeds.join(d, seeds["node_key"] == d["src"]).where("dst like 'p:%'").groupBy("qid", F.expr("substring(dst, 3)").alias("chunk_key")).agg(F.countDistinct("src").cast("double").alias("score"))
-    return best(met, k, "score", "chunk_key")
+    return touching(seeds, d, k)
+
+
+def entity_sums(edges: DataFrame, scores: DataFrame, passage: str = "p:") -> DataFrame:
+    """node_key, score of each passage: the sum over the nodes that it is tied to."""
+    return both_ways(edges.select("src", "dst")).where(F.col("dst").startswith(passage)).join(scores, F.col("src") == F.col("node_key")).groupBy(F.col("dst").alias("node_key")).agg(F.sum("score").alias("score"))
 
 
 def _scores_only(index: Index):
@@ -200,11 +264,8 @@ def _scores_only(index: Index):
 
 
 def ppr_passage(index: Index, q: DataFrame, k: int = 5) -> DataFrame:
-    return retrieved_by(search(index, q, _scores_only(index), grow=False, k=k), "passages")
+    return retrieved_by(searched(index, q, _scores_only(index), grow=False, k=k), "passages")
 
 
 def ppr_sum(index: Index, q: DataFrame, k: int = 5) -> DataFrame:
-    return retrieved_by(search(index, q, _scores_only(index), grow=False, k=k), "summed")
-
-
-__all__ = ["influence_of", "map_and_filter"]
+    return retrieved_by(searched(index, q, _scores_only(index), grow=False, k=k), "summed")

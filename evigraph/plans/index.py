@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from dataclasses import dataclass, replace
+from dataclasses import dataclass
 from functools import cached_property
 
 import numpy as np
@@ -74,7 +74,7 @@ class LocalIndex:
         return LocalGraph(len(self.keys) + 1, np.vstack([self.ends, np.column_stack([np.full(len(p), len(self.keys)), p])]))
 
 
-def build(corpus: DataFrame, cfg: Config = Config(), extract_entities=None, extractor=None, synonyms: bool = False) -> Index:
+def build(corpus: DataFrame, cfg: Config = Config(), extract_entities=None, extractor=None, synonyms: bool = True) -> Index:
     """All stages of data preparation, each written once; ``corpus``: doc_key, text."""
     watch = Stopwatch()
     with watch.stage("chunk and encode"):
@@ -95,12 +95,8 @@ def build(corpus: DataFrame, cfg: Config = Config(), extract_entities=None, extr
             from evigraph.operators.synonyms import edges_lsh
 
             named = encode(chosen.select("term").distinct(), "term", cfg.dim).select(kg.entity_key().alias("node_key"), "vec")
-            syn = edges_lsh(named, cfg.phi)
+            syn = written(edges_lsh(written(named, "named"), cfg.phi), "synonyms")
         nodes, edges = kg.assemble(chunks, chosen, relations, syn, cfg.head_words)
         nodes = written(nodes, "nodes")
         edges = written(encode(edges, "fact_text", cfg.dim), "edges")
     return Index(cfg, chunks, words, chosen, nodes, edges, watch)
-
-
-def with_spec(cfg: Config, **parts) -> Config:
-    return replace(cfg, **parts)

@@ -12,16 +12,16 @@ from pyspark.sql import functions as F
 
 from evigraph.functions.encoder import encode
 from evigraph.operators.influence import balance, power, seed_vector
-from evigraph.operators.retrieval import best, build_prompt, cosine, fused_top, top_vectors, word_count
+from evigraph.operators.retrieval import build_prompt, cosine, fused_top, kept_facts, top_vectors, word_count
 from evigraph.operators.steiner import grow_frozen, steiner_tree
 from evigraph.plans.index import Index, LocalIndex
-from evigraph.runtime import written
+from evigraph.runtime import once, token, written
 from evigraph.specs import Config
 
 INSTRUCTION = "Answer the question from the evidence and the passages."
 FOUND = (
     "qid long, facts array<string>, kept array<string>, terminals array<string>, tree array<string>, grown array<string>, tree_nodes int, nodes int, ratio_tree double, "
-    "ratio double, evidence string, passages array<struct<chunk_key:string,score:double>>, summed array<struct<chunk_key:string,score:double>>, top_entities array<string>"
+    "ratio double, candidates int, evidence string, passages array<struct<chunk_key:string,score:double>>, summed array<struct<chunk_key:string,score:double>>, top_entities array<string>"
 )
 
 
@@ -66,9 +66,9 @@ def one(loc: LocalIndex, qid: int, text: str, q: np.ndarray, cfg: Config, judge:
     tree = [e for e in method(full, terminals)] if len(terminals) > 1 else []
     real = [e for e in tree if e < n_real]
     g = cfg.grow
-    # Edges with a passage don't count in the first threshold: the balance factor would let a single one set it.
-    plain = [e for e in real if not loc.passage[loc.ends[e]].any()] or real
-    limit = loc.graph.ratio(plain, cost, s, g.base if g.threshold == "frozen" else g.threshold)
+    # Of a frozen threshold, edges with a passage may be left out: the balance factor would let a single one set it. A moving one counts all.
+    counted = real if g.threshold != "frozen" or g.counted == "all" else [e for e in real if not loc.passage[loc.ends[e]].any()] or real
+    limit = loc.graph.ratio(counted, cost, s, g.base if g.threshold == "frozen" else g.threshold)
     grown = loc.graph.grow(real, terminals, cost, s, g.threshold, g.pick, g.recompute, g.max_steps, limit) if grow and terminals else []
     tree_nodes = {int(x) for e in real for x in loc.ends[e]} | set(terminals)
     nodes = tree_nodes | {int(x) for e in grown for x in loc.ends[e]}
@@ -85,11 +85,20 @@ def one(loc: LocalIndex, qid: int, text: str, q: np.ndarray, cfg: Config, judge:
     return {
         "qid": qid, "facts": [loc.edge_ids[e] for e in facts], "kept": [loc.edge_ids[e] for e in kept], "terminals": [loc.keys[t] for t in terminals],
         "tree": [loc.edge_ids[e] for e in real], "grown": [loc.edge_ids[e] for e in grown], "tree_nodes": len(tree_nodes), "nodes": len(nodes),
-        "ratio_tree": loc.graph.ratio(real, cost, s), "ratio": loc.graph.ratio(real + grown, cost, s), "evidence": serialise(loc, real + grown),
+        "ratio_tree": loc.graph.ratio(real, cost, s), "ratio": loc.graph.ratio(real + grown, cost, s), "candidates": under(loc, real, cost, s, limit), "evidence": serialise(loc, real + grown),
         "passages": named(tops, s), "summed": named(tot, sums), "top_entities": [loc.text[i] for i in order if not loc.passage[i] and s[i] > 0][:10],
     }
 
 
+def under(loc: LocalIndex, tree: list[int], cost: np.ndarray, s: np.ndarray, limit: float) -> int:
+    """Edges outside the tree whose cost over the larger score is under the first threshold: no frozen growth takes more."""
+    top = np.maximum(s[loc.ends[:, 0]], s[loc.ends[:, 1]])
+    with np.errstate(divide="ignore", invalid="ignore"):
+        fits = (top > 0) & (cost / top < limit)
+    fits[tree] = False
+    return int(fits.sum())
+
+
 def search(index: Index, queries: DataFrame, cfg: Config | None = None, judge: bool = True, grow: bool = True, k: int = 5) -> DataFrame:
     """One row a question. The graph is broadcast, its size checked; ``search_frames`` is the way beyond that size."""
     cfg = cfg or index.cfg
@@ -118,9 +127,7 @@ def search_frames(index: Index, queries: DataFrame, cfg: Config | None = None) -
     words = queries.select("qid", F.split(F.lower("text"), r"\s+").alias("qw"))
     facts = mapped.join(rel.select("edge_id", "src", "dst"), "edge_id").join(words, "qid")
     named = F.arrays_overlap("qw", F.split(F.concat_ws(" ", F.expr("substring(src, 3)"), F.expr("substring(dst, 3)")), " "))
-    ok = facts.withColumn("ok", ((F.col("ms") >= cfg.map.floor) | named).cast("int"))
-    any_ok = ok.groupBy("qid").agg(F.max("ok").alias("some"))
-    kept = written(ok.join(any_ok, "qid").where("ok = 1 or (some = 0 and rk = 1)").select("qid", "edge_id", "ms", "rk"), "kept")
+    kept = written(kept_facts(facts, cfg.map.floor, named).select("qid", "edge_id", "ms", "rk"), "kept")
     seeds = written(seed_vector(kept, index.edges, cfg.influence.seed_norm), "seeds")
     scores = written(balance(power(index.edges, seeds, cfg.influence.damping, None, cfg.influence.tol, cfg.influence.flow), cfg.influence.balance), "scores")
     near = scores.select("qid", F.col("node_key").alias("src"))
@@ -129,13 +136,20 @@ def search_frames(index: Index, queries: DataFrame, cfg: Config | None = None) -
     costs = written(costs, "costs")
     terminals = seeds.select("qid", "node_key")
     tree = written(steiner_tree(costs, terminals), "tree")
-    plain = tree.where(~F.contains("edge_id", F.lit("|p:")))
+    plain = tree.where(~F.contains("edge_id", F.lit("|p:"))) if cfg.grow.counted == "entities" else tree
     return {"mapped": mapped, "kept": kept, "seeds": seeds, "scores": scores, "costs": costs, "tree": tree, "grown": grow_frozen(tree, terminals, costs, scores, plain, cfg.grow.base)}
 
 
 VARIANTS = ("full", "fused_only", "llm_entities", "graph_only", "tree_only", "no_filter")
 
 
+def searched(index: Index, queries: DataFrame, cfg: Config | None = None, judge: bool = True, grow: bool = True, k: int = 5) -> DataFrame:
+    """``search``, written once for the same index, questions and settings, as several systems and measures read it."""
+    cfg = cfg or index.cfg
+    key = ("search", token(index), token(queries), cfg, judge, grow, k)
+    return once(queries.sparkSession, key, lambda: written(search(index, queries, cfg, judge, grow, k), "found"))
+
+
 def ask(index: Index, queries: DataFrame, cfg: Config | None = None, variant: str = "full") -> DataFrame:
     """qid, text, evidence, chunk_keys, prompt, answer, tok_in, tok_out, nodes, tree_nodes, n_edges.
 
@@ -145,20 +159,21 @@ def ask(index: Index, queries: DataFrame, cfg: Config | None = None, variant: st
     cfg = cfg or index.cfg
     if variant not in VARIANTS:
         raise ValueError(f"unknown variant {variant}")
-    q = written(with_vectors(queries.select("qid", "text"), cfg.dim), "questions")
-    out = q.select("qid", "text")
-    if variant != "fused_only":
-        found = search(index, q, cfg, judge=variant != "no_filter", grow=variant != "tree_only", k=cfg.fuse.k)
-        out = out.join(found.select("qid", "evidence", "nodes", "tree_nodes", (F.size("tree") + F.size("grown")).alias("n_edges"), "passages", "top_entities"), "qid", "left")
-    else:
-        out = out.select("qid", "text", F.lit("").alias("evidence"), F.lit(0).alias("nodes"), F.lit(0).alias("tree_nodes"), F.lit(0).alias("n_edges"), F.lit(None).cast("array<struct<chunk_key:string,score:double>>").alias("passages"), F.array().cast("array<string>").alias("top_entities"))
-    if variant != "graph_only":
-        top = fused_top(q, index.chunks, index.words, cfg.fuse).select("qid", "chunk_key", "rk")
-    else:
-        top = out.select("qid", F.posexplode("passages").alias("rk", "p")).select("qid", "p.chunk_key", (F.col("rk") + 1).alias("rk"))
-    text = top.join(index.chunks.select("chunk_key", F.array_join("tokens", " ").alias("t")), "chunk_key")
+    q = queries if "qvec" in queries.columns else once(queries.sparkSession, ("vectors", token(queries), cfg.dim), lambda: written(with_vectors(queries.select("qid", "text"), cfg.dim), "questions"))
+    if variant == "fused_only":
+        return answered(index, q.select("qid", "text"), fused_top(q, index.chunks, index.words, cfg.fuse))
+    found = searched(index, q, cfg, judge=variant != "no_filter", grow=variant != "tree_only", k=cfg.fuse.k)
+    rows = q.select("qid", "text").join(found.select("qid", "evidence", "nodes", "tree_nodes", (F.size("tree") + F.size("grown")).alias("n_edges"), "top_entities"), "qid", "left")
+    return answered(index, rows, retrieved_by(found, "passages") if variant == "graph_only" else fused_top(q, index.chunks, index.words, cfg.fuse))
+
+
+def answered(index: Index, rows: DataFrame, top: DataFrame) -> DataFrame:
+    """Prompt and answer of each question (qid, text and, of a search, evidence, sizes and entities) from its passages (qid, chunk_key, rk)."""
+    empty = {"evidence": F.lit(""), "nodes": F.lit(0), "tree_nodes": F.lit(0), "n_edges": F.lit(0), "top_entities": F.array().cast("array<string>")}
+    rows = rows.withColumns({c: v for c, v in empty.items() if c not in rows.columns})
+    text = top.select("qid", "chunk_key", "rk").join(index.chunks.select("chunk_key", F.array_join("tokens", " ").alias("t")), "chunk_key")
     held = text.groupBy("qid").agg(F.array_sort(F.collect_list(F.struct("rk", "chunk_key", "t"))).alias("c"))
-    rows = out.join(held, "qid", "left").withColumns({"chunk_keys": F.transform("c", lambda x: x["chunk_key"]), "texts": F.transform("c", lambda x: x["t"])})
+    rows = rows.join(held, "qid", "left").withColumns({"chunk_keys": F.transform("c", lambda x: x["chunk_key"]), "texts": F.transform("c", lambda x: x["t"])})
     rows = rows.withColumn("prompt", build_prompt(F.col("text"), F.col("evidence"), F.col("texts"), INSTRUCTION)).withColumn("answer", extractive(F.col("text"), F.col("top_entities"), F.col("texts")))
     return rows.select("qid", "text", "evidence", "chunk_keys", "prompt", "answer", word_count(F.col("prompt")).alias("tok_in"), word_count(F.col("answer")).alias("tok_out"), "nodes", "tree_nodes", "n_edges")
 
@@ -174,10 +189,3 @@ def extractive(question, entities, texts):
 def retrieved_by(found: DataFrame, column: str) -> DataFrame:
     """qid, chunk_key, score, rk of the passages that a search ranked: ``passages`` (their own score) or ``summed`` (their entities')."""
     return found.select("qid", F.posexplode(column).alias("i", "p")).select("qid", "p.chunk_key", "p.score", (F.col("i") + 1).alias("rk"))
-
-
-def configured(cfg: Config, **parts) -> Config:
-    return replace(cfg, **parts)
-
-
-__all__ = ["ask", "best", "configured", "one", "retrieved_by", "search", "search_frames", "with_vectors"]

@@ -2,15 +2,16 @@
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame, Window
+import numpy as np
+from pyspark.sql import DataFrame, Row, Window
 from pyspark.sql import functions as F
 
 from evigraph.operators import entities as ents
 from evigraph.operators import measures as me
 from evigraph.operators import textprep
 from evigraph.operators.influence import power, seeds_of
-from evigraph.operators.kg import both_ways
-from evigraph.operators.retrieval import best, top_vectors
+from evigraph.operators.kg import both_ways, entity_key, passage_edges
+from evigraph.operators.retrieval import best, candidate_labels, fused_top, kept_facts, top_vectors
 from evigraph.plans import baselines as ba
 from evigraph.plans import index as ix
 from evigraph.plans import search as se
@@ -84,13 +85,14 @@ def _named(spark, d):
 
 @query(LOW_SQL + " SELECT DISTINCT qid, 'e:' || term AS node_key FROM qw WHERE term IN (SELECT term FROM chosen)")
 def b_keyword(spark, d):
-    return _named(spark, d).join(_chosen(spark, d).select("term").distinct(), "term", "left_semi").select("qid", F.concat(F.lit("e:"), "term").alias("node_key"))
+    nodes = _chosen(spark, d).select("term").distinct().select(entity_key().alias("node_key"), F.lit("entity").alias("kind"), F.col("term").alias("text"))
+    return ba.keyword_nodes(nodes, corpora.table(spark, d, "benchmark").select(F.col("item_id").alias("qid"), "text")).distinct()
 
 
 @query(LOW_SQL + ", m AS (SELECT qid, chunk_key, count(DISTINCT term) AS score FROM qw JOIN chosen USING (term) GROUP BY qid, chunk_key), r AS (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY score DESC, chunk_key) AS rk FROM m) SELECT qid, chunk_key, CAST(score AS DOUBLE) AS score, rk::INTEGER AS rk FROM r WHERE rk <= 5")
 def b_neighbourhood_low(spark, d):
-    met = _named(spark, d).join(_chosen(spark, d).select("term", "chunk_key"), "term").groupBy("qid", "chunk_key").agg(F.countDistinct("term").cast("double").alias("score"))
-    return best(met, 5, "score", "chunk_key").select("qid", "chunk_key", "score", "rk")
+    seeds = _named(spark, d).select("qid", entity_key().alias("node_key"))
+    return ba.touching(seeds, both_ways(passage_edges(_chosen(spark, d)).select("src", "dst")), 5).select("qid", "chunk_key", "score", "rk")
 
 
 @query("WITH " + star_sql(False) + ", v AS (SELECT d.a AS node, l.k AS label, count(*) AS n FROM d JOIN (SELECT DISTINCT a AS k FROM d) l ON l.k = d.b GROUP BY ALL), w AS (SELECT node, label, row_number() OVER (PARTITION BY node ORDER BY n DESC, label) AS r FROM v) SELECT node AS node_key, label FROM w WHERE r = 1")
@@ -103,13 +105,12 @@ def b_community_round(spark, d):
 def b_ppr_sum_star(spark, d):
     """A passage's score as the sum over its entities; nations stand for passages."""
     e = corpora.star_edges(spark, d)
-    s = power(e, star_seeds(spark), sweeps=12)
-    return both_ways(e.select("src", "dst")).where("dst like 'n:%'").join(s, F.col("src") == F.col("node_key")).groupBy("dst").agg(F.round(F.sum("score"), 6).alias("score")).withColumnRenamed("dst", "node_key")
+    return ba.entity_sums(e, power(e, star_seeds(spark), sweeps=12), "n:").select("node_key", F.round("score", 6).alias("score"))
 
 
 @query()
 def b_tree(spark, d):
-    return se.search(index_of(spark, d), questions_of(spark, d), grow=False).select("qid", "tree_nodes", F.size("tree").alias("tree_edges"), F.round("ratio_tree", 6).alias("ratio"))
+    return se.searched(index_of(spark, d), questions_of(spark, d), grow=False).select("qid", "tree_nodes", F.size("tree").alias("tree_edges"), F.round("ratio_tree", 6).alias("ratio"))
 
 
 # ---- measures ----
@@ -197,15 +198,47 @@ def e_hit_rate(spark, d):
 
 @query()
 def e_graph_and_subgraph_sizes(spark, d):
-    r = se.search(index_of(spark, d), questions_of(spark, d))
+    r = se.searched(index_of(spark, d), questions_of(spark, d))
     return r.agg(F.avg("tree_nodes").alias("tree_nodes"), F.avg(F.size("tree")).alias("tree_edges"), F.avg("nodes").alias("evidence_nodes"), F.avg(F.size("tree") + F.size("grown")).alias("evidence_edges"))
 
 
+@query()
+def e_growth_steps(spark, d):
+    """Edges added against the edges that a frozen threshold could admit."""
+    r = se.searched(index_of(spark, d), questions_of(spark, d))
+    return r.agg(F.round(F.avg(F.size("grown")), 3).alias("added"), F.round(F.avg("candidates"), 3).alias("candidates"), F.max((F.size("grown") > F.col("candidates")).cast("int")).alias("beyond"))
+
+
+@query()
+def e_cost_vs_optimum(spark, d):
+    """Tree costs over the least cost, over regions (tied to one root), nations and suppliers with five suppliers as terminals; trees are never over 2."""
+    from evigraph.functions.graphs import LocalGraph
+
+    rows = star_costs(spark, d).where("src not like 'c:%'").select("src", "dst", "cost").collect()  # suppliers: one edge each
+    rows += [Row(src="w:", dst=x, cost=0.7) for x in sorted({r.dst for r in rows if r.dst.startswith("r:")})]
+    names = sorted({x for r in rows for x in (r.src, r.dst)})
+    no = {x: i for i, x in enumerate(names)}
+    g, cost = LocalGraph(len(names), np.array([[no[r.src], no[r.dst]] for r in rows])), np.array([r.cost for r in rows])
+    ends = [no[x] for x in [x for x in names if x.startswith("s:")][:5]]
+    best_cost = g.steiner_exact(cost, ends)
+    made = {"voronoi": g.steiner_voronoi, "closure": g.steiner_closure, "chain": g.path_chain}
+    return spark.createDataFrame([(k, float(cost[f(cost, ends)].sum()), best_cost) for k, f in made.items()], "method string, cost double, optimum double").withColumn("ratio", F.round(F.col("cost") / F.col("optimum"), 6))
+
+
 @query()
 def e_stage_seconds(spark, d):
-    watch = index_of(spark, d).watch
-    with watch.stage("map, score, tree, growth"):
-        se.search(index_of(spark, d), questions_of(spark, d)).write.format("noop").mode("overwrite").save()
+    """Seconds of index stages and, for all questions, of filtering, search, fused retrieval and answers."""
+    watch, index, q = index_of(spark, d).watch, index_of(spark, d), questions_of(spark, d)
+    rel = index.edges.where("kind = 'relation'")
+    parts = {
+        "map and filter": lambda: kept_facts(top_vectors(q, rel, index.cfg.map.k_facts, "edge_id"), index.cfg.map.floor),
+        "score, tree, growth": lambda: se.search(index, q),
+        "fused retrieval": lambda: fused_top(q, index.chunks, index.words, index.cfg.fuse),
+        "answer": lambda: se.ask(index, q),
+    }
+    for name, run in parts.items():
+        with watch.stage(name):
+            run().write.format("noop").mode("overwrite").save()
     return spark.createDataFrame(sorted(watch.seconds.items()), "stage string, seconds double")
 
 
@@ -257,61 +290,129 @@ def w_fact_ppr(spark, d):
     return best(s, 5, "score", "node_key", digits=9).select("qid", "node_key", F.round("score", 7).alias("score"), "rk")
 
 
-SYSTEMS = {"dense": ba.dense, "bm25": ba.sparse, "ppr_passage": ba.ppr_passage, "ppr_sum": ba.ppr_sum, "neighbourhood": ba.neighbourhood, "communities": ba.community_reports, "summary_tree": ba.summary_tree, "twin_tree": ba.twin_tree, "expert_mix": ba.expert_mix}
+SYSTEMS = {
+    "dense": ba.dense, "bm25": ba.sparse, "ppr_passage": ba.ppr_passage, "ppr_sum": ba.ppr_sum, "neighbourhood": ba.neighbourhood, "communities": ba.community_reports,
+    "summary_tree": ba.summary_tree, "twin_tree": ba.twin_tree, "prize_subgraph": ba.prize_passages, "expert_mix": ba.expert_mix,
+}
 
 
-def evidence_hits(index, q, gold) -> DataFrame:
-    """Hit rate of the method: its fused passages and those of its subgraph, in that order."""
-    ans = se.ask(index, q)
-    return me.hit_rate(ans.select("qid", F.posexplode("chunk_keys").alias("i", "chunk_key")).withColumn("rk", F.col("i") + 1), gold, 5)
+def answers_of(index, q, system: str) -> DataFrame:
+    """Answers of a system: ``method`` and its ablations, ``none`` (no context), ``compressed`` (half of the dense passages' words) or one of SYSTEMS."""
+    if system == "method" or system in se.VARIANTS:
+        return se.ask(index, q, variant="full" if system == "method" else system)
+    if system == "none":
+        return se.answered(index, q.select("qid", "text"), ba.dense(index, q).where("false"))
+    if system == "compressed":
+        got = se.answered(index, q.select("qid", "text"), ba.dense(index, q)).join(ba.compressed(index, q).select("qid", "kept"), "qid", "left")
+        prompt = se.build_prompt(F.col("text"), F.lit(""), F.array(F.coalesce("kept", F.lit(""))), se.INSTRUCTION)
+        return got.withColumn("prompt", prompt).withColumn("tok_in", se.word_count(F.col("prompt"))).drop("kept")
+    return se.answered(index, q.select("qid", "text"), SYSTEMS[system](index, q))
 
 
-@query()
-def w_compare(spark, d):
-    """W1 and W11: hit rate and mean reciprocal rank of planted passages, by system."""
-    index, q, gold = index_of(spark, d), questions_of(spark, d), written(_gold(spark, d), "gold")
-    out = evidence_hits(index, q, gold).withColumn("system", F.lit("method"))
-    for n, f in SYSTEMS.items():
-        out = out.unionByName(me.hit_rate(f(index, q), gold, 5).withColumn("system", F.lit(n)))
-    return out.select("system", F.round("hit_rate", 6).alias("hit_rate"), F.round("mrr", 6).alias("mrr"), "questions")
+def scored(index, q, gold: DataFrame, need: DataFrame, systems) -> DataFrame:
+    """One row a system: hit rate of documents (gold: qid, doc_key), graded accuracy and common-subsequence share against ``want``, coverage of ``parts``
+    (need: qid, want, parts), faithfulness to the prompt, words in and out, subgraph sizes."""
+    out = None
+    for name in systems:
+        a = written(answers_of(index, q, name), "answers")
+        hits = me.hit_rate(a.select("qid", F.posexplode("chunk_keys").alias("i", "chunk_key")).withColumn("rk", F.col("i") + 1), gold, 5).select("hit_rate", "mrr")
+        b = a.join(need, "qid")
+        cells = {
+            "accuracy": F.avg(me.graded(F.col("answer"), F.col("want"))), "lcs": F.avg(me.lcs_ratio(F.col("answer"), F.col("want"))), "coverage": F.avg(me.coverage(F.col("parts"), F.concat_ws(" ", "answer", "evidence"))),
+            "faithfulness": F.avg(me.faithfulness(F.col("answer"), F.col("prompt"))), "tok_in": F.avg("tok_in"), "tok_out": F.avg("tok_out"), "tree_nodes": F.avg("tree_nodes"), "nodes": F.avg("nodes"),
+        }
+        # Each side has one row.
+        row = b.agg(F.count("*").alias("questions"), *[F.round(c, 4).alias(n) for n, c in cells.items()]).join(hits.select(F.round("hit_rate", 6).alias("hit_rate"), F.round("mrr", 6).alias("mrr")))
+        row = row.withColumn("system", F.lit(name))
+        out = row if out is None else out.unionByName(row)
+    return out
 
 
-@query()
-def w_compare_reason(spark, d):
-    """W2 and W11: whether the turn that answers a question is among the passages, by system."""
-    index, qs = _reason_index(spark, d), corpora.reasoning_questions(spark, d)
-    q = once(spark, ("reason questions", d), lambda: written(se.with_vectors(qs.select("qid", "text"), 64), "questions"))
-    gold = written(qs.select("qid", F.explode("evidence").alias("doc_key")), "gold")
-    out = evidence_hits(index, q, gold).withColumn("system", F.lit("method"))
-    for n in ("dense", "bm25", "ppr_passage", "ppr_sum", "neighbourhood"):
-        out = out.unionByName(me.hit_rate(SYSTEMS[n](index, q), gold, 5).withColumn("system", F.lit(n)))
-    return out.select("system", F.round("hit_rate", 6).alias("hit_rate"), F.round("mrr", 6).alias("mrr"), "questions")
+ALL = ("method", "none", "dense", "compressed", "bm25", *[n for n in SYSTEMS if n not in ("dense", "bm25")], "tree_only")
 
 
-@query()
-def w_sensitivity(spark, d):
-    """W8: hits of the method's passages by largest n-gram; each cell builds its own index."""
-    gold, out = written(_gold(spark, d), "gold"), None
-    for n in (1, 3, 5):
-        cfg = Config(entity=EntitySpec(max_n=n))
-        index = once(spark, ("grid", n, d), lambda c=cfg: ix.build(corpora.documents(spark, d), c))
-        found = ba.ppr_passage(index, questions_of(spark, d))
-        row = me.hit_rate(found, gold, 5).select(F.lit(n).alias("max_n"), F.round("hit_rate", 6).alias("hit_rate"), F.round("mrr", 6).alias("mrr"))
-        out = row if out is None else out.unionByName(row)
-    return out
+def _facts(spark, d):
+    """W1: benchmark items over documents; the passages of their documents are the evidence, an item's own words the wanted answer."""
+    need = corpora.table(spark, d, "benchmark").select(F.col("item_id").alias("qid"), F.col("text").alias("want"), F.array("text").alias("parts"))
+    return index_of(spark, d), questions_of(spark, d), once(spark, ("gold", d), lambda: written(_gold(spark, d), "gold")), need
+
+
+def _vectors(spark, d, name, rows):
+    return once(spark, (name, d), lambda: written(se.with_vectors(rows.select("qid", "text"), 64), "questions"))
+
+
+def _reasons(spark, d):
+    """W2: first user turn of a conversation; the next assistant turn is the wanted answer and its document the evidence."""
+    qs = corpora.reasoning_questions(spark, d)
+    need = qs.select("qid", F.col("gold").alias("want"), me.claims(F.col("gold")).alias("parts"))
+    return _reason_index(spark, d), _vectors(spark, d, "reason questions", qs), qs.select("qid", F.explode("evidence").alias("doc_key")), need
+
+
+def _summaries(spark, d):
+    """W3: for each source the two commonest entities are asked about; its five commonest entities are to be covered, by its documents."""
+    index = index_of(spark, d)
+    src = corpora.table(spark, d, "documents").where("source is not null").select(F.col("doc_id").cast("string").alias("doc_key"), "source")
+    e = index.entities.join(index.chunks.select("chunk_key", "doc_key"), "chunk_key").join(src, "doc_key").groupBy("source", "term").agg(F.count("*").alias("n"))
+    r = best(e, 5, "n", "term", by="source").groupBy("source").agg(F.array_sort(F.collect_list(F.struct("rk", "term"))).alias("x"))
+    qid = F.crc32(F.col("source").cast("binary")).alias("qid")
+    text = F.concat_ws(" and ", F.try_element_at(F.col("x.term"), F.lit(1)), F.try_element_at(F.col("x.term"), F.lit(2))).alias("text")
+    q = once(spark, ("summary", d), lambda: written(r.select(qid, text, F.col("x.term").alias("parts"), F.concat_ws(" ", "x.term").alias("want")), "summary"))
+    return index, _vectors(spark, d, "summary questions", q), src.select(qid, "doc_key"), q.select("qid", "want", "parts")
+
+
+def _creations(spark, d):
+    """W4: the last turn of each conversation is asked for; it is wanted itself, and claims are held against the prompt."""
+    w = Window.partitionBy("conv_id").orderBy(F.desc("turn"))
+    last = corpora.table(spark, d, "conversations").withColumn("r", F.row_number().over(w)).where("r = 1").select(F.col("conv_id").alias("qid"), "text", F.concat_ws("-", "conv_id", "turn").alias("doc_key"))
+    return _reason_index(spark, d), _vectors(spark, d, "create questions", last), last.select("qid", "doc_key"), last.select("qid", F.col("text").alias("want"), me.claims(F.col("text")).alias("parts"))
+
+
+def _low(spark, d):
+    """W7: the language with fewest documents, as its own corpus, asked by the benchmark items."""
+    few = corpora.table(spark, d, "documents").where("lang is not null").groupBy("lang").agg(F.count("*").alias("n")).agg(F.min_by("lang", F.struct("n", "lang")).alias("lang"))
+    docs = corpora.table(spark, d, "documents").join(F.broadcast(few), "lang").select(F.col("doc_id").cast("string").alias("doc_key"), "text")
+    index = once(spark, ("low", d), lambda: ix.build(docs))
+    _, q, gold, need = _facts(spark, d)
+    return index, q, gold.join(docs.select("doc_key"), "doc_key", "left_semi").select("qid", "doc_key"), need
+
+
+WORK = {"facts": _facts, "reason": _reasons, "summary": _summaries, "create": _creations}
+
+
+def _table(load, systems):
+    return lambda spark, d: scored(*load(spark, d), systems)
+
+
+query(name="w_compare")(_table(_facts, ALL))
+query(name="w_compare_reason")(_table(_reasons, ALL))
+query(name="w_compare_summary")(_table(_summaries, ALL))
+query(name="w_compare_create")(_table(_creations, ALL))
+query(name="w_compare_low_resource")(_table(_low, ("method", "dense", "ppr_passage", "ppr_sum")))
+ABLATED = tuple(v for v in se.VARIANTS if v != "llm_entities")
+for _n in ("reason", "summary", "create"):
+    query(name=f"w_ablation_{_n}")(_table(WORK[_n], ABLATED))
 
 
 @query()
 def w_ablation(spark, d):
-    """W10: prompt and answer words, subgraph sizes and hits by variant."""
-    index, gold, q = index_of(spark, d), written(_gold(spark, d), "gold"), corpora.fact_questions(spark, d)
-    out = None
-    for v in se.VARIANTS:
-        i = once(spark, ("model entities", d), lambda: ix.build(corpora.documents(spark, d), extract_entities=ents.extract_with_model)) if v == "llm_entities" else index
-        a = written(se.ask(i, q, variant="full" if v == "llm_entities" else v), "answers")
-        hits = me.hit_rate(a.select("qid", F.posexplode("chunk_keys").alias("i", "chunk_key")).withColumn("rk", F.col("i") + 1), gold, 5)
-        row = a.agg(F.round(F.avg("tok_in"), 3).alias("tok_in"), F.round(F.avg("tok_out"), 3).alias("tok_out"), F.round(F.avg("nodes"), 3).alias("nodes"), F.round(F.avg("tree_nodes"), 3).alias("tree_nodes"))
-        row = row.join(hits.select("hit_rate", "mrr")).withColumn("variant", F.lit(v))
+    """W10 on W1: all variants, that with a model's entities over an index of its own."""
+    index, q, gold, need = _facts(spark, d)
+    model = once(spark, ("model entities", d), lambda: ix.build(corpora.documents(spark, d), extract_entities=ents.extract_with_model))
+    own = scored(model, q, gold, need, ("full",)).withColumn("system", F.lit("llm_entities"))
+    return scored(index, q, gold, need, ABLATED).unionByName(own).withColumnRenamed("system", "variant")
+
+
+@query()
+def w_sensitivity(spark, d):
+    """W8: hits by largest n-gram and by entity threshold (on the scale of a chunk's largest score), for items whose id is divisible by 50; each cell
+    builds its own index."""
+    _, q, gold, _ = _facts(spark, d)
+    q, gold, out = written(q.where("qid % 50 = 0"), "questions"), written(gold.where("qid % 50 = 0"), "gold"), None
+    for n, tau in sorted({(b, 0.5) for b in (1, 3, 5, 7)} | {(3, t) for t in (0.1, 0.3, 0.5, 0.7)}):
+        cfg = Config(entity=EntitySpec(max_n=n, tau=tau, mode="chunk_max"))
+        index = once(spark, ("grid", n, tau, d), lambda c=cfg: ix.build(corpora.documents(spark, d), c, synonyms=False))
+        row = me.hit_rate(ba.ppr_passage(index, q), gold, 5).select(F.lit(n).alias("max_n"), F.lit(tau).alias("tau"), F.round("hit_rate", 6).alias("hit_rate"), F.round("mrr", 6).alias("mrr"))
+        row = row.join(index.entities.agg(F.countDistinct("term").alias("entities")))  # one row each
         out = row if out is None else out.unionByName(row)
     return out
 
@@ -325,65 +426,71 @@ def _reason_index(spark, d):
     return once(spark, ("conversations", d), lambda: ix.build(corpora.conversations(spark, d)))
 
 
-@query()
-def w_reason_method(spark, d):
-    """W2: first user turn of a conversation; the next assistant turn is gold."""
-    q = corpora.reasoning_questions(spark, d)
-    a = se.ask(_reason_index(spark, d), q).join(q.select("qid", "gold"), "qid")
-    return a.agg(F.round(F.avg(me.lcs_ratio(F.col("answer"), F.col("gold"))), 6).alias("lcs"), F.round(F.avg(me.graded(F.col("answer"), F.col("gold"))), 6).alias("accuracy"), F.count("*").alias("questions"))
+query(name="w_reason_method")(_table(_reasons, ("method",)))
+query(name="w_summary_method")(_table(_summaries, ("method",)))
+query(name="w_create_method")(_table(_creations, ("method",)))
 
 
-@query()
-def w_summary_method(spark, d):
-    """W3: for each source the two commonest entities are asked about; evidence is its commonest facts."""
-    index = index_of(spark, d)
-    src = corpora.table(spark, d, "documents").select(F.col("doc_id").cast("string").alias("doc_key"), "source")
-    e = index.entities.join(index.chunks.select("chunk_key", "doc_key"), "chunk_key").join(src, "doc_key").groupBy("source", "term").agg(F.count("*").alias("n"))
-    r = best(e, 5, "n", "term", by="source")
-    q = r.groupBy("source").agg(F.array_sort(F.collect_list(F.struct("rk", "term"))).alias("x")).select(F.crc32(F.col("source").cast("binary")).alias("qid"), F.concat_ws(" and ", F.try_element_at(F.col("x.term"), F.lit(1)), F.try_element_at(F.col("x.term"), F.lit(2))).alias("text"), F.col("x.term").alias("evidence"))
-    q = written(q, "summary")
-    a = se.ask(index, q).join(q.select("qid", F.col("evidence").alias("need")), "qid")
-    return a.agg(F.round(F.avg(me.coverage(F.col("need"), F.concat_ws(" ", "answer", "evidence"))), 6).alias("coverage"), F.count("*").alias("questions"))
+def _classes(spark, d, label: str):
+    corpus, tests = corpora.class_texts(spark, d, label)
+    index = once(spark, ("classes", label, d), lambda: ix.build(corpus.select("doc_key", "text")))
+    return index, corpus.select("doc_key", "label"), once(spark, ("tests", label, d), lambda: written(se.with_vectors(tests.select("qid", "text", "gold"), 64), "tests"))
 
 
-@query()
-def w_create_method(spark, d):
-    """W4: the last turn of each conversation is asked for; claims of the answer against the context."""
-    w = Window.partitionBy("conv_id").orderBy(F.desc("turn"))
-    last = corpora.table(spark, d, "conversations").withColumn("r", F.row_number().over(w)).where("r = 1").select(F.col("conv_id").alias("qid"), "text")
-    a = se.ask(_reason_index(spark, d), last)
-    return a.agg(F.round(F.avg(me.faithfulness(F.col("answer"), F.col("prompt"))), 6).alias("faithfulness"), F.count("*").alias("questions"))
+def labelled(found: DataFrame, corpus: DataFrame, q: DataFrame) -> DataFrame:
+    """qid, pred, gold, labels: candidate labels of the retrieved chunks, and of these the best chunk's."""
+    named = found.select("qid", "chunk_key", "rk").withColumn("doc_key", F.substring_index("chunk_key", ":", 1)).join(corpus, "doc_key").select("qid", "chunk_key", "rk", "label")
+    pred = named.groupBy("qid").agg(F.min_by("label", "rk").alias("pred"))
+    labels = candidate_labels(found.select("qid", "chunk_key").join(named.select("chunk_key").distinct(), "chunk_key", "left_semi"), named.select("chunk_key", "label").distinct())
+    return q.select("qid", "gold").join(pred, "qid", "left").join(labels, "qid", "left")
 
 
-def classified(spark, d, label: str, k: int = 3) -> DataFrame:
-    """qid, pred, gold, labels: nearest labelled text by the mixture; the prediction is the label of the best chunk."""
-    corpus, tests = corpora.class_texts(spark, d, label)
-    index = once(spark, ("classes", label, d), lambda: ix.build(corpus.select("doc_key", "text")))
-    q = written(se.with_vectors(tests.select("qid", "text", "gold"), 64), "tests")
-    top = best(top_vectors(q, index.chunks, k, "chunk_key").select("qid", "chunk_key", "ms"), k, "ms", "chunk_key")
-    named = top.withColumn("doc_key", F.substring_index("chunk_key", ":", 1)).join(corpus.select("doc_key", "label"), "doc_key")
-    pred = named.groupBy("qid").agg(F.min_by("label", "rk").alias("pred"), F.array_sort(F.collect_set("label")).alias("labels"))
-    return q.select("qid", "gold").join(pred, "qid", "left")
+def _rates(p: DataFrame, corpus: DataFrame) -> DataFrame:
+    """One row: accuracy, macro recall, share out of the label set, candidate labels a question."""
+    p = written(p, "preds")
+    out = me.accuracy_exact(p).join(me.macro_recall(p)).join(me.out_of_label_rate(p, corpus)).join(p.agg(F.avg(F.size("labels")).alias("candidates")))
+    return out.select(*[F.round(c, 6).alias(c) for c in out.columns])
+
+
+def classified(spark, d, label: str, k: int = 5) -> DataFrame:
+    """Every text by its k nearest labelled chunks."""
+    index, corpus, q = _classes(spark, d, label)
+    return labelled(top_vectors(q, index.chunks, k, "chunk_key"), corpus, q)
 
 
 def _class_query(label):
+    return lambda spark, d: _rates(classified(spark, d, label), _classes(spark, d, label)[1])
+
+
+for _n, _l in {"narrow": "lang", "wide": "wide", "quality": "quality", "toxic": "toxic"}.items():
+    query(name=f"w_class_{_n}")(_class_query(_l))
+
+
+def _class_table(label):
+    """W5, W6 and W12 by system, through the labels of what each retrieves, for texts whose id is divisible by 50."""
+
     def run(spark, d):
-        p = written(classified(spark, d, label), "preds")
-        rate = me.out_of_label_rate(p, corpora.class_texts(spark, d, label)[0].select("label"))
-        return me.accuracy_exact(p).join(me.macro_recall(p)).join(rate).select(*[F.round(c, 6).alias(c) for c in ("accuracy", "macro_recall", "out_of_label_rate")])
+        index, corpus, q = _classes(spark, d, label)
+        q, out = once(spark, ("fifty", label, d), lambda: written(q.where("qid % 50 = 0"), "tests")), None
+        systems = {"method": lambda i, x: fused_top(x, i.chunks, i.words, i.cfg.fuse).unionByName(se.retrieved_by(se.searched(i, x), "passages").select("qid", "chunk_key", (F.col("rk") + 5).alias("rk")), allowMissingColumns=True), **SYSTEMS}
+        for name in systems:
+            p = labelled(systems[name](index, q).select("qid", "chunk_key", "rk"), corpus, q)
+            row = _rates(p, corpus).withColumn("system", F.lit(name))
+            out = row if out is None else out.unionByName(row)
+        free = q.select("qid", "gold", F.substring_index("text", " ", -1).alias("pred"), F.array().cast("array<string>").alias("labels"))
+        return out.unionByName(_rates(free, corpus).withColumn("system", F.lit("none")))
 
     return run
 
 
-query(name="w_class_narrow")(_class_query("lang"))
-query(name="w_class_wide")(_class_query("wide"))
+query(name="w_compare_class_narrow")(_class_table("lang"))
+query(name="w_compare_class_wide")(_class_table("wide"))
 
 
 @query()
 def w_outlabel(spark, d):
     """W12: out-of-label share of the candidate-label answer and of free naming (the last word of the answer's passage)."""
-    p = written(classified(spark, d, "lang"), "preds")
-    labels = corpora.class_texts(spark, d, "lang")[0].select("label")
+    p, labels = written(classified(spark, d, "lang"), "preds"), _classes(spark, d, "lang")[1]
     free = corpora.class_texts(spark, d, "lang")[1].select("qid", F.substring_index("text", " ", -1).alias("pred"))
     return me.out_of_label_rate(p, labels).withColumn("system", F.lit("candidate labels")).unionByName(me.out_of_label_rate(free, labels).withColumn("system", F.lit("no retrieval")))
 

@@ -155,10 +155,7 @@ def p_select_literal(spark, d):
     "WITH " + score_sql(2, 2) + ", m AS (SELECT *, er / nullif(max(er) OVER (PARTITION BY chunk_key), 0) AS v FROM scores WHERE df <= greatest(2, 0.2 * n_chunks)) SELECT chunk_key, count(*) AS kept FROM m WHERE round(v, 9) > 0.5 GROUP BY chunk_key"
 )
 def p_select_chunk_max(spark, d):
-    s = ents.score_chunks(textprep.chunk(docs_of(spark, d)), EntitySpec(max_n=2))
-    s = s.where(F.col("df") <= F.greatest(F.lit(2.0), 0.2 * F.col("n_chunks")))
-    v = F.col("er") / F.nullif(F.max("er").over(Window.partitionBy("chunk_key")), F.lit(0.0))
-    return s.withColumn("v", F.round(v, 9)).where("v > 0.5").groupBy("chunk_key").agg(F.count("*").alias("kept"))
+    return _selected(spark, d, max_n=2, mode="chunk_max", tau=0.5, cap=None).groupBy("chunk_key").agg(F.count("*").alias("kept"))
 
 
 @query("WITH " + select_sql() + PICK + "chosen")
@@ -240,6 +237,25 @@ def p_index_model_entities(spark, d):
     return kg.graph_stats(index.chunks, index.nodes, index.edges)
 
 
+@query()
+def p_index_stats(spark, d):
+    """Sizes of the index that searches use, with its synonym edges."""
+    i = index_of(spark, d)
+    return kg.graph_stats(i.chunks, i.nodes, i.edges)
+
+
+@query()
+def p_synonym_recall(spark, d):
+    """Share of the exact pairs that the banded search finds, at two thresholds."""
+    v, out = vectors(spark, d), None
+    for phi in (0.35, 0.8):
+        exact = synonyms.pairs_exact(v.withColumnRenamed("embedding", "vec"), phi, "vec_id").select("u", "v")
+        found = synonyms.edges_lsh(v.withColumnRenamed("embedding", "vec"), phi, "vec_id").select(F.col("src").alias("u"), F.col("dst").alias("v"), F.lit(1).alias("hit"))
+        row = exact.join(found, ["u", "v"], "left").agg(F.lit(phi).alias("phi"), F.count("*").alias("pairs"), F.round(F.avg(F.coalesce("hit", F.lit(0))), 3).alias("recall"))
+        out = row if out is None else out.unionByName(row)
+    return out
+
+
 @query()
 def p_index_roundtrip(spark, d):
     from evigraph.runtime import scratch
@@ -261,18 +277,18 @@ def questions_of(spark, d) -> DataFrame:
 
 # ---- graph retrieval ----
 
-#: Stand-in for facts and questions where a text encoder has no SQL twin: embeddings under 10 are questions, the others facts.
-QV = "q AS (SELECT vec_id AS qid, embedding AS qv FROM embeddings WHERE vec_id < 10), f AS (SELECT vec_id AS edge_id, embedding AS v, label FROM embeddings WHERE vec_id >= 10), s AS (SELECT qid, edge_id, label, round(list_cosine_similarity(qv::DOUBLE[], v::DOUBLE[]), 4) AS ms FROM q, f), r AS (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY ms DESC, edge_id) AS rk FROM s)"
+#: Stand-in for facts and questions where a text encoder has no SQL twin: embeddings whose id is divisible by 50 are questions, all others facts of each.
+QV = "q AS (SELECT vec_id AS qid, embedding AS qv FROM embeddings WHERE vec_id % 50 = 0), f AS (SELECT vec_id AS edge_id, embedding AS v, label FROM embeddings), s AS (SELECT qid, edge_id, label, round(list_cosine_similarity(qv::DOUBLE[], v::DOUBLE[]), 4) AS ms FROM q JOIN f ON qid <> edge_id), r AS (SELECT *, row_number() OVER (PARTITION BY qid ORDER BY ms DESC, edge_id) AS rk FROM s)"
 
 
 def _qv(spark, d):
     v = vectors(spark, d)
-    return v.where("vec_id < 10").select(F.col("vec_id").alias("qid"), F.col("embedding").alias("qvec")), v.where("vec_id >= 10").select(F.col("vec_id").alias("edge_id"), F.col("embedding").alias("vec"), "label")
+    return v.where("vec_id % 50 = 0").select(F.col("vec_id").alias("qid"), F.col("embedding").alias("qvec")), v.select(F.col("vec_id").alias("edge_id"), F.col("embedding").alias("vec"), "label")
 
 
 def _cos_rows(spark, d):
     q, f = _qv(spark, d)
-    return f.join(F.broadcast(q)).select("qid", "edge_id", "label", F.round(retrieval.cosine(F.col("qvec"), F.col("vec")), 4).alias("ms"))
+    return f.join(q, F.col("qid") != F.col("edge_id")).select("qid", "edge_id", "label", F.round(retrieval.cosine(F.col("qvec"), F.col("vec")), 4).alias("ms"))
 
 
 @query(f"WITH {QV} SELECT qid, edge_id, ms, rk::INTEGER AS rk FROM r WHERE rk <= 5")
@@ -283,15 +299,13 @@ def g_topk_facts(spark, d):
 @query(f"WITH {QV} SELECT qid, count(*) AS n, min(ms) AS low, max(ms) AS high FROM r WHERE rk <= 20 GROUP BY qid")
 def g_topk_vectors(spark, d):
     q, f = _qv(spark, d)
-    top = retrieval.top_vectors(q, f, 20, "edge_id")
+    top = retrieval.best(retrieval.top_vectors(q, f, 21, "edge_id").drop("rk").where("qid <> edge_id"), 20, "ms", "edge_id", digits=4)
     return top.groupBy("qid").agg(F.count("*").alias("n"), F.round(F.min("ms"), 4).alias("low"), F.round(F.max("ms"), 4).alias("high"))
 
 
 @query(f"WITH {QV}, k AS (SELECT * FROM r WHERE rk <= 5), o AS (SELECT *, ms >= 0.25 AS ok FROM k), a AS (SELECT qid, bool_or(ok) AS anyok FROM o GROUP BY qid) SELECT o.qid, edge_id, ms FROM o JOIN a ON o.qid = a.qid WHERE ok OR (NOT anyok AND rk = 1)")
 def g_filter_overlap(spark, d):
-    top = retrieval.best(_cos_rows(spark, d), 5, "ms", "edge_id", digits=4).withColumn("ok", F.col("ms") >= 0.25)
-    some = top.groupBy("qid").agg(F.bool_or("ok").alias("some"))
-    return top.join(some, "qid").where("ok or (not some and rk = 1)").select("qid", "edge_id", "ms")
+    return retrieval.kept_facts(retrieval.best(_cos_rows(spark, d), 5, "ms", "edge_id", digits=4), 0.25).select("qid", "edge_id", "ms")
 
 
 @query(f"WITH {QV}, k AS (SELECT DISTINCT qid, label FROM r WHERE rk <= 5), n AS (SELECT qid, count(*) AS n FROM k GROUP BY qid) SELECT k.qid, 'l:' || label AS node_key, round(1.0 / n, 6) AS p FROM k JOIN n ON k.qid = n.qid")
@@ -430,8 +444,8 @@ def _search(**parts):
     def run(spark, d):
         index = index_of(spark, d)
         cfg = index.cfg
-        cfg = se.configured(cfg, grow=se.replace(cfg.grow, **parts.get("grow", {})), tree=se.replace(cfg.tree, **parts.get("tree", {})), influence=se.replace(cfg.influence, **parts.get("influence", {})))
-        r = se.search(index, questions_of(spark, d), cfg, judge=parts.get("judge", True), grow=parts.get("growing", True))
+        cfg = se.replace(cfg, grow=se.replace(cfg.grow, **parts.get("grow", {})), tree=se.replace(cfg.tree, **parts.get("tree", {})), influence=se.replace(cfg.influence, **parts.get("influence", {})))
+        r = se.searched(index, questions_of(spark, d), cfg, judge=parts.get("judge", True), grow=parts.get("growing", True))
         return r.select("qid", "tree_nodes", F.size("tree").alias("tree_edges"), "nodes", F.size("grown").alias("grown_edges"), F.round("ratio_tree", 6).alias("ratio_tree"), F.round("ratio", 6).alias("ratio"))
 
     return run
@@ -441,7 +455,7 @@ for _name, _parts in {
     "g_evidence_subgraph": {},
     "g_steiner_closure": {"tree": {"method": "closure"}, "growing": False},
     "g_path_chain": {"tree": {"method": "chain"}, "growing": False},
-    "g_grow_sum": {"grow": {"threshold": "sum", "max_steps": 300}},
+    "g_grow_sum": {"grow": {"threshold": "sum"}},
     "g_grow_mean": {"grow": {"threshold": "mean"}},
     "udf_grow": {"grow": {"threshold": "mean", "pick": "node", "recompute": "before"}},
     "g_grow_pooled": {"grow": {"threshold": "pooled", "pick": "node"}},
@@ -455,13 +469,13 @@ for _name, _parts in {
 
 @query()
 def g_serialize(spark, d):
-    return se.search(index_of(spark, d), questions_of(spark, d)).select("qid", "evidence")
+    return se.searched(index_of(spark, d), questions_of(spark, d)).select("qid", "evidence")
 
 
 @query()
 def g_search_by_joins(spark, d):
-    """The join form of the search for three questions: tree and growth sizes."""
-    f = se.search_frames(index_of(spark, d), questions_of(spark, d).orderBy("qid").limit(3))
+    """The join form of the search, for questions whose id is divisible by 50: tree and growth sizes."""
+    f = se.search_frames(index_of(spark, d), questions_of(spark, d).where("qid % 50 = 0"))
     t = f["tree"].groupBy("qid").agg(F.count("*").alias("tree_edges"))
     return t.join(f["grown"].groupBy("qid").agg(F.count("*").alias("grown_edges")), "qid", "left")
 

@@ -380,7 +380,7 @@ def udaf_vec_mean(spark, d):
 def udf_matrix_topk(spark, d):
     """Exact top-k in Arrow batches: each task keeps its own best, one small window ends it."""
     e = table(spark, d, "embeddings")
-    q = {r["vec_id"]: r["embedding"] for r in e.where("vec_id < 10").collect()}
+    q = {r["vec_id"]: r["embedding"] for r in e.where("vec_id % 50 = 0").collect()}
     ids, mat = sorted(q), np.array([q[i] for i in sorted(q)])
     mat = mat / np.linalg.norm(mat, axis=1, keepdims=True)
 
@@ -392,10 +392,11 @@ def udf_matrix_topk(spark, d):
             s = np.round(mat @ (m / np.linalg.norm(m, axis=1, keepdims=True)).T, 4)
             keys = b.column(0).to_numpy()
             for i, qid in enumerate(ids):
-                top = np.lexsort((keys, -s[i]))[:3]
+                top = np.lexsort((keys, -s[i]))[:4]
+                top = top[keys[top] != qid][:3]
                 yield pa.RecordBatch.from_arrays([pa.array([qid] * len(top), pa.int64()), pa.array(keys[top], pa.int64()), pa.array(s[i][top])], names=["qid", "edge_id", "ms"])
 
-    found = e.where("vec_id >= 10").select("vec_id", "embedding").mapInArrow(run, "qid long, edge_id long, ms double")
+    found = e.select("vec_id", "embedding").mapInArrow(run, "qid long, edge_id long, ms double")
     return retrieval.best(found, 3, "ms", "edge_id", digits=4).drop("rk")
 
 

@@ -12,9 +12,11 @@ _MEMO: dict[tuple, object] = {}
 
 
 def scratch(spark: SparkSession, name: str) -> str:
-    """A new folder under spark.checkpoint.dir; where none is set (tests), a temporary one."""
+    """A new folder under spark.checkpoint.dir; only a session on one machine (tests) may have none, and gets a temporary one."""
     base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()
     if not base:
+        if not spark.sparkContext.master.startswith("local[") and spark.sparkContext.master != "local":
+            raise ValueError("set spark.checkpoint.dir to a folder that the driver and all executors share")
         base = tempfile.mkdtemp(prefix="evigraph-")
         spark.sparkContext.setCheckpointDir(base)
     return f"{base.rstrip('/')}/{name}-{uuid.uuid4().hex}"
@@ -33,3 +35,8 @@ def once(spark: SparkSession, key: tuple, build: Callable[[], object]) -> object
     if full not in _MEMO:
         _MEMO[full] = build()
     return _MEMO[full]
+
+
+def token(thing) -> str:
+    """A name of an object that no other ever has, for keys of ``once``."""
+    return thing.__dict__.setdefault("_token", uuid.uuid4().hex)

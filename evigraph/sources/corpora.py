@@ -62,8 +62,11 @@ def reasoning_questions(spark: SparkSession, sf_dir: str) -> DataFrame:
 def class_texts(spark: SparkSession, sf_dir: str, label: str = "lang") -> tuple[DataFrame, DataFrame]:
     """W5, W6: (corpus with one text a label, test texts with their label)."""
     docs = table(spark, sf_dir, "documents").where("text is not null")
-    name = F.col("lang") if label == "lang" else F.concat_ws("/", "lang", "source")
-    rows = docs.select("doc_id", "text", name.alias("label"))
+    if label in ("quality", "toxic"):
+        docs = docs.join(table(spark, sf_dir, "labels").where(f"{label} is not null").select("doc_id", F.col(label).cast("string").alias("name")), "doc_id")
+    else:
+        docs = docs.withColumn("name", F.col("lang") if label == "lang" else F.concat_ws("/", "lang", "source"))
+    rows = docs.select("doc_id", "text", F.col("name").alias("label"))
     first = rows.groupBy("label").agg(F.min("doc_id").alias("doc_id"))
     corpus = rows.join(first.select("doc_id"), "doc_id", "left_semi").select(F.col("doc_id").cast("string").alias("doc_key"), "text", "label")
     tests = rows.join(first.select("doc_id"), "doc_id", "left_anti").select(

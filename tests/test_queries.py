@@ -11,7 +11,7 @@ from evigraph.queries import core
 
 ORACLES = {k: s for m in core.MODULES for k, s in m.ORACLES.items()}
 QUERIES = {k: f for m in core.MODULES for k, f in m.QUERIES.items()}
-SOME = "p_chunks p_doc_freq p_entity_score p_select_rank_cap p_relations_adjacent p_edge_union g_topk_facts g_ppr_push g_voronoi h_bm25 h_fuse_raw b_keyword b_community_round e_macro_recall e_hit_rate w_fact_ppr w_grid_entities src_html_text join_asof_events join_interval agg_cube_lang_source win_rank_family sql_recursive_reach udtf_chunk stream_df_counts stream_late".split()
+SOME = "p_chunks p_doc_freq p_entity_score p_select_chunk_max g_topk_vectors g_filter_overlap b_neighbourhood_low b_ppr_sum_star udf_matrix_topk p_select_rank_cap p_relations_adjacent p_edge_union g_topk_facts g_ppr_push g_voronoi h_bm25 h_fuse_raw b_keyword b_community_round e_macro_recall e_hit_rate w_fact_ppr w_grid_entities src_html_text join_asof_events join_interval agg_cube_lang_source win_rank_family sql_recursive_reach udtf_chunk stream_df_counts stream_late".split()
 
 
 def plain(v):
@@ -39,11 +39,24 @@ def test_query_matches_sql(spark, con, sf, name):
     assert sorted(tuple(plain(r[c]) for c in cols) for r in df.collect()) == want
 
 
-@pytest.mark.parametrize("name", ["g_evidence_subgraph", "b_dense", "w_class_narrow", "p_synonym_lsh"])
+@pytest.mark.parametrize("name", ["g_evidence_subgraph", "g_grow_sum", "b_dense", "b_twin_tree", "b_communities_global", "b_expert_mix", "w_class_narrow", "p_synonym_lsh"])
 def test_query_runs(spark, sf, name):
     assert QUERIES[name](spark, sf).count() > 0
 
 
+def test_synonyms_are_found(spark, sf):
+    rows = QUERIES["p_synonym_recall"](spark, sf).collect()
+    assert all(r.recall is None or r.recall >= 0.95 for r in rows) and any(r.pairs for r in rows)
+    assert QUERIES["p_index_stats"](spark, sf).first().synonyms > 0
+
+
+def test_growth_and_trees_keep_their_bounds(spark, sf):
+    steps = QUERIES["e_growth_steps"](spark, sf).first()
+    assert steps.beyond == 0 and 0 < steps.added <= steps.candidates
+    rows = {r.method: r.ratio for r in QUERIES["e_cost_vs_optimum"](spark, sf).collect()}
+    assert 1 <= rows["voronoi"] <= 2 and 1 <= rows["closure"] <= 2 and rows["chain"] >= 1
+
+
 def test_ablations_move_as_reported(spark, sf):
     rows = {r.variant: r for r in QUERIES["w_ablation"](spark, sf).collect()}
     assert rows["graph_only"].tok_in != rows["full"].tok_in
@@ -52,6 +65,12 @@ def test_ablations_move_as_reported(spark, sf):
     assert rows["fused_only"].nodes == 0 and rows["fused_only"].tok_in < rows["full"].tok_in
 
 
+def test_comparison_tables(spark, sf):
+    rows = {r.system: r for r in QUERIES["w_compare_reason"](spark, sf).collect()}
+    assert len(rows) == 14 and rows["none"].tok_in < rows["compressed"].tok_in < rows["dense"].tok_in
+    assert rows["method"].hit_rate >= rows["none"].hit_rate == 0 and rows["method"].lcs > 0
+
+
 def test_nothing_imports_the_training_data_package():
     root = Path(__file__).resolve().parent.parent / "evigraph"
     for p in root.rglob("*.py"):
