@@ -135,12 +135,12 @@ def _roots(nodes: DataFrame, keyed: DataFrame, most: int, chars: int) -> DataFra
     met = saved(banded.hint("merge").join(shared, "b"), "members", light=True)
     wanted = nodes.join(met.select("node").distinct(), "node", "left_semi").select("node", "id", "key")
     texts = saved(keyed.join(wanted, ["key", "id"]).groupBy("key", "id", "node").agg(F.first("t").alias("t")).select("node", "t"), "texts")
-    links = saved(_verified(blocks.pairs(met), texts), "links", light=True)
+    links = saved(_verified(blocks.pairs(met), texts), "links")
     dealt = saved(blocks.parted(met, texts, most, chars), "dealt", light=True)
-    crowd = saved(blocks.within(dealt, texts, weighted, THRESHOLD), "crowd", light=True)
+    crowd = saved(blocks.within(dealt, texts, weighted, THRESHOLD), "crowd")
     roots = saved(components(links.unionByName(crowd), "a", "b"), "roots", light=True)
     if not dealt.where("parts > 1").isEmpty():
-        rest = saved(blocks.across(dealt, roots, texts, weighted, THRESHOLD), "rest", light=True)
+        rest = saved(blocks.across(dealt, roots, texts, weighted, THRESHOLD), "rest")
         roots = saved(joined_on(roots, rest), "roots", light=True)
     forget(met, texts, links, dealt, crowd)
     return roots

@@ -204,12 +204,12 @@ def _roots(docs: DataFrame, most: int, chars: int) -> DataFrame:
     texts = saved(_texts_of(docs, members.select(F.col("node").alias("h")).distinct()).select(F.col("h").alias("node"), F.col("line").alias("t")), "line_texts")
     left, right = texts.select(F.col("node").alias("a"), F.col("t").alias("s")), texts.select(F.col("node").alias("b"), "t")
     links = blocks.pairs(members).join(left, "a").join(right, "b").select("a", "b", "s", "t").mapInArrow(_verify, "a long, b long")
-    links = saved(links, "line_links", light=True)
+    links = saved(links, "line_links")
     dealt = saved(blocks.parted(members, texts, most, chars), "line_parts", light=True)
-    crowd = saved(blocks.within(dealt, texts, bag, THRESHOLD), "line_crowd", light=True)
+    crowd = saved(blocks.within(dealt, texts, bag, THRESHOLD), "line_crowd")
     roots = saved(components(links.unionByName(crowd), "a", "b"), "line_roots", light=True)
     if not dealt.where("parts > 1").isEmpty():
-        rest = saved(blocks.across(dealt, roots, texts, bag, THRESHOLD), "line_rest", light=True)
+        rest = saved(blocks.across(dealt, roots, texts, bag, THRESHOLD), "line_rest")
         roots = saved(joined_on(roots, rest), "line_roots", light=True)
     forget(met, members, texts, links, dealt, crowd)
     return roots.withColumnRenamed("node", "h")
