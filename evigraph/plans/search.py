@@ -179,11 +179,11 @@ def answered(index: Index, rows: DataFrame, top: DataFrame) -> DataFrame:
 
 
 def extractive(question, entities, texts):
-    """Offline generator: the most influential entities that the question doesn't name, then the head of the first passage."""
+    """Offline generator: the most influential entities that the question doesn't name, a line each, then the head of the first passage."""
     asked = F.split(F.lower(question), " ")
     new = F.slice(F.filter(F.coalesce(entities, F.array().cast("array<string>")), lambda e: ~F.array_contains(asked, e)), 1, 3)
     head = F.array_join(F.slice(F.split(F.coalesce(F.try_element_at(texts, F.lit(1)), F.lit("")), " "), 1, 40), " ")
-    return F.trim(F.concat_ws(" ", F.array_join(new, " "), head))
+    return F.trim(F.concat_ws("\n", F.array_join(new, "\n"), head))
 
 
 def retrieved_by(found: DataFrame, column: str) -> DataFrame:

@@ -404,10 +404,9 @@ def w_ablation(spark, d):
 
 @query()
 def w_sensitivity(spark, d):
-    """W8: hits by largest n-gram and by entity threshold (on the scale of a chunk's largest score), for items whose id is divisible by 50; each cell
-    builds its own index."""
+    """W8: hits by largest n-gram and by entity threshold (on the scale of a chunk's largest score); each cell builds its own index."""
     _, q, gold, _ = _facts(spark, d)
-    q, gold, out = written(q.where("qid % 50 = 0"), "questions"), written(gold.where("qid % 50 = 0"), "gold"), None
+    out = None
     for n, tau in sorted({(b, 0.5) for b in (1, 3, 5, 7)} | {(3, t) for t in (0.1, 0.3, 0.5, 0.7)}):
         cfg = Config(entity=EntitySpec(max_n=n, tau=tau, mode="chunk_max"))
         index = once(spark, ("grid", n, tau, d), lambda c=cfg: ix.build(corpora.documents(spark, d), c, synonyms=False))
