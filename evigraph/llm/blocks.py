@@ -48,10 +48,10 @@ class Block:
         self.bags = [(e, np.ones(len(w), np.int64)) if p else (e, w) for (e, w), p in zip(bags, self.plain)]  # a set's scale doesn't count
         self.size = np.array([len(e) for e, _ in bags])
         self.end = np.cumsum(self.size)
-        self.item = np.unique(np.concatenate([e for e, _ in bags]), return_inverse=True)[1]
+        self.item = np.unique(np.concatenate([e for e, _ in bags]), return_inverse=True)[1].astype(np.int32)
         self.value, kind = np.unique(np.concatenate([w for _, w in self.bags]), return_inverse=True)
         self.kind = kind + 1
-        self.mark = np.zeros(int(self.item.max()) + 1, np.int64)
+        self.mark = np.zeros(int(self.item.max()) + 1, np.int32)
 
     def against(self, x: int, y: np.ndarray) -> np.ndarray:
         """Similarity of set x with each of the sets y."""
@@ -70,9 +70,13 @@ class Block:
 
     def _shared(self, x: int, y: np.ndarray) -> np.ndarray:
         own = self.item[self.end[x] - self.size[x] : self.end[x]]
-        pick, at = self._items(y)
         self.mark[own] = 1
-        both = np.add.reduceat(self.mark[self.item[pick]], at)
+        begin, lo, hi = self.end - self.size, int(y.min()), int(y.max())
+        if 2 * int(self.size[y].sum()) > self.end[hi] - begin[lo]:  # nearly all of a run: no need to pick
+            both = np.add.reduceat(self.mark[self.item[begin[lo] : self.end[hi]]], begin[lo : hi + 1] - begin[lo])[y - lo]
+        else:
+            pick, at = self._items(y)
+            both = np.add.reduceat(self.mark[self.item[pick]], at)
         self.mark[own] = 0
         return both / (self.size[x] + self.size[y] - both)
 
