@@ -17,7 +17,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-SMALL, MEMBERS, CHARS, KINDS = 16, 2048, 1 << 22, 8
+SMALL, MEMBERS, CHARS = 16, 2048, 1 << 22
+BOUND = 1e-9  # slack for rounding where bounds decide
 Bag = tuple[np.ndarray, np.ndarray]
 
 
@@ -49,9 +50,10 @@ class Block:
         self.size = np.array([len(e) for e, _ in bags])
         self.end = np.cumsum(self.size)
         self.item = np.unique(np.concatenate([e for e, _ in bags]), return_inverse=True)[1].astype(np.int32)
-        self.value, kind = np.unique(np.concatenate([w for _, w in self.bags]), return_inverse=True)
-        self.kind = kind + 1
+        self.weight = np.concatenate([w for _, w in self.bags]).astype(float)
+        self.share = np.concatenate([w / w.sum() for _, w in self.bags])
         self.mark = np.zeros(int(self.item.max()) + 1, np.int32)
+        self.mass = np.zeros(len(self.mark))
 
     def against(self, x: int, y: np.ndarray) -> np.ndarray:
         """Similarity of set x with each of the sets y."""
@@ -62,6 +64,35 @@ class Block:
             out[~plain] = self._weighted(x, y[~plain])
         return out
 
+    def near(self, x: int, y: np.ndarray, threshold: float) -> np.ndarray:
+        """Whether the similarity of set x with each of the sets y is at the threshold.
+
+        With p and q the shares of items, the similarity lies between sum(min(p, q)) / sum(max(p, q)) and sum(min(p, q)), as
+        max(p_e / p_d, q_e / q_d) is at least each of the two and at most max(p_e, q_e) / min(p_d, q_d). Only weighted sets that
+        the bounds leave open are worked out.
+        """
+        out, plain = np.zeros(len(y), bool), self.plain[y] & self.plain[x]
+        if plain.any():
+            out[plain] = self._shared(x, y[plain]) >= threshold
+        rest = np.flatnonzero(~plain)
+        if len(rest):
+            low = self._least(x, y[rest])
+            sure = low / (2 - low) >= threshold + BOUND
+            out[rest[sure]] = True
+            rest = rest[~sure & (low >= threshold - BOUND)]
+        if len(rest):
+            out[rest] = self._weighted(x, y[rest]) >= threshold
+        return out
+
+    def _least(self, x: int, y: np.ndarray) -> np.ndarray:
+        """Sum of the lesser shares of x and each of y."""
+        own = slice(self.end[x] - self.size[x], self.end[x])
+        self.mass[self.item[own]] = self.share[own]
+        pick, at = self._items(y)
+        both = np.add.reduceat(np.minimum(self.mass[self.item[pick]], self.share[pick]), at)
+        self.mass[self.item[own]] = 0
+        return both
+
     def _items(self, y: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
         """Where the items of sets y lie, and where each set begins among them."""
         size = self.size[y]
@@ -81,24 +112,19 @@ class Block:
         return both / (self.size[x] + self.size[y] - both)
 
     def _weighted(self, x: int, y: np.ndarray) -> np.ndarray:
-        """Only how many items have each pair of weights counts, so with few weights the sum runs over pairs of weights."""
-        if len(self.value) > KINDS:
-            return np.array([similarity(self.bags[x], self.bags[k]) for k in y])
-        own, n, w = slice(self.end[x] - self.size[x], self.end[x]), len(y), len(self.value) + 1
-        pick = self._items(y)[0]
-        self.mark[self.item[own]] = self.kind[own]
-        code = (np.repeat(np.arange(n), self.size[y]) * w + self.mark[self.item[pick]]) * w + self.kind[pick]
-        self.mark[self.item[own]] = 0
-        h = np.bincount(code, minlength=n * w * w).reshape(n, w, w).astype(float)
-        h[:, :, 0] = np.bincount(self.kind[own], minlength=w) - h[:, :, 1:].sum(axis=2)
-        h[:, 0, 0] = 0
-        v = np.concatenate([[0], self.value]).astype(float)
-        out = np.zeros(n)
-        for a in range(1, w):
-            for b in range(1, w):
-                total = (h * np.maximum(v[:, None] / v[a], v[None, :] / v[b])).sum(axis=(1, 2))
-                out += np.divide(h[:, a, b], total, out=np.zeros(n), where=total > 0)
-        return out
+        """The sum of `similarity` for all of y at once: items of each set in the order of x's weight over its own."""
+        own = slice(self.end[x] - self.size[x], self.end[x])
+        pick, at = self._items(y)
+        self.mass[self.item[own]] = self.weight[own]
+        p, q = self.mass[self.item[pick]], self.weight[pick]
+        self.mass[self.item[own]] = 0
+        ratio, size = p / q, self.size[y]
+        order = np.lexsort((ratio, np.repeat(np.arange(len(y)), size)))
+        p, q, ratio = p[order], q[order], ratio[order]
+        p_to, q_to = np.cumsum(p), np.cumsum(q)
+        above = self.weight[own].sum() - p_to + np.repeat(p_to[at] - p[at], size)
+        below = q_to - np.repeat(q_to[at] - q[at], size)
+        return np.add.reduceat(np.divide(p, above + ratio * below, out=np.zeros(len(p)), where=p > 0), at)
 
 
 def tied(bags: list[Bag], label: np.ndarray, threshold: float, part: np.ndarray | None = None) -> list[tuple[int, int]]:
@@ -112,7 +138,7 @@ def tied(bags: list[Bag], label: np.ndarray, threshold: float, part: np.ndarray
         if not len(y):
             continue
         block = block or Block(bags)
-        for k in y[block.against(x, y) >= threshold].tolist():
+        for k in y[block.near(x, y, threshold)].tolist():
             if label[k] != label[x]:
                 out.append((x, k))
                 label[label == label[k]] = label[x]

@@ -281,7 +281,11 @@ def test_blocks_compute_similarity(top):
     bags.append((bags[0][0], bags[0][1] * 3))
     block, y = blocks.Block(bags), np.arange(26)
     for x in range(26):
-        assert np.allclose(block.against(x, y), [blocks.similarity(bags[x], b) for b in bags])
+        exact = np.array([blocks.similarity(bags[x], b) for b in bags])
+        assert np.allclose(block.against(x, y), exact)
+        for t in (0.1, 0.3, 0.5, 0.8):
+            clear = abs(exact - t) > 1e-6
+            assert (block.near(x, y, t) == (exact >= t))[clear].all()
 
 
 @pytest.mark.parametrize("most", [3, 7, 100])
