@@ -11,10 +11,11 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from evigraph.functions.encoder import encode
-from evigraph.operators.influence import balance, power, seed_vector
-from evigraph.operators.retrieval import build_prompt, cosine, fused_top, kept_facts, top_vectors, word_count
-from evigraph.operators.steiner import grow_frozen, steiner_tree
-from evigraph.plans.index import Index, LocalIndex
+from evigraph.operators.influence import balance, power, seed_vector, uniform
+from evigraph.operators.kg import pseudo_edges
+from evigraph.operators.retrieval import best, build_prompt, cosine, fused_top, kept_facts, top_vectors, word_count
+from evigraph.operators.steiner import grow_frozen, steiner_tree, subgraph_ratio
+from evigraph.plans.index import LOCAL_EDGES, Index, LocalIndex
 from evigraph.runtime import once, token, written
 from evigraph.specs import Config
 
@@ -59,7 +60,7 @@ def one(loc: LocalIndex, qid: int, text: str, q: np.ndarray, cfg: Config, judge:
     facts, kept = map_and_filter(loc, text or "", q, cfg, judge)
     terminals = sorted({int(x) for e in kept for x in loc.ends[e]})
     s = influence_of(loc, terminals, cfg) if terminals else np.zeros(len(loc.keys))
-    cost = (1 - (loc.vecs @ q).astype(float)) / 2 if len(loc.vecs) else np.zeros(0)
+    cost = np.round((1 - (loc.vecs @ q).astype(float)) / 2, 6) if len(loc.vecs) else np.zeros(0)  # facts of the same words tie, whatever their order
     n_real = len(loc.edge_ids)
     full = np.concatenate([cost, np.full(len(loc.linked.ends) - n_real, cfg.tree.pseudo)])
     method = {"voronoi": loc.linked.steiner_voronoi, "closure": loc.linked.steiner_closure, "chain": loc.linked.path_chain, "none": lambda *_: []}[cfg.tree.method]
@@ -99,9 +100,14 @@ def under(loc: LocalIndex, tree: list[int], cost: np.ndarray, s: np.ndarray, lim
     return int(fits.sum())
 
 
-def search(index: Index, queries: DataFrame, cfg: Config | None = None, judge: bool = True, grow: bool = True, k: int = 5) -> DataFrame:
-    """One row a question. The graph is broadcast, its size checked; ``search_frames`` is the way beyond that size."""
+def search(index: Index, queries: DataFrame, cfg: Config | None = None, judge: bool = True, grow: bool = True, k: int = 5, local: bool | None = None) -> DataFrame:
+    """One row a question. A graph of at most LOCAL_EDGES edges is broadcast, a larger one searched by joins; ``local`` sets the way.
+
+    Both give the same rows but for the order of ``grown`` (by price, or by step) and the choice among edges of equal cost.
+    """
     cfg = cfg or index.cfg
+    if not (index.n_edges <= LOCAL_EDGES if local is None else local):
+        return joined(index, queries, cfg, judge, grow, k)
     shared = queries.sparkSession.sparkContext.broadcast(index.local)
     want = len(index.local.keys)
 
@@ -115,29 +121,80 @@ def search(index: Index, queries: DataFrame, cfg: Config | None = None, judge: b
     return queries.select("qid", "text", "qvec").repartition(n, "qid").mapInPandas(run, FOUND)
 
 
-def search_frames(index: Index, queries: DataFrame, cfg: Config | None = None) -> dict[str, DataFrame]:
-    """The same by joins, for graphs of any size: mapped facts, scores, costs, tree, growth. Nothing of the graph reaches the driver.
+def search_frames(index: Index, queries: DataFrame, cfg: Config | None = None, judge: bool = True, grow: bool = True) -> dict[str, DataFrame]:
+    """The search by joins, for graphs of any size: mapped facts, scores, costs, tree, growth. Nothing of the graph reaches the driver.
 
-    Costs are computed only for edges with a scored end. Terminals of different connected parts stay in different trees here (the broadcast
-    search ties them through the pseudo node, whose edges never appear in a result).
+    Costs are computed only for edges with a scored end, and their passages are tied to the pseudo node. It knows Voronoi trees (or none) and
+    frozen growth by edges; other settings raise ValueError.
     """
     cfg = cfg or index.cfg
+    if cfg.tree.method not in ("voronoi", "none") or (grow and (cfg.grow.threshold != "frozen" or cfg.grow.pick != "edge" or cfg.grow.max_steps is not None)):
+        raise ValueError("the search by joins has Voronoi trees and frozen growth by edges only")
     rel = index.edges.where("kind = 'relation'")
-    mapped = top_vectors(queries, rel, cfg.map.k_facts, "edge_id")
-    words = queries.select("qid", F.split(F.lower("text"), r"\s+").alias("qw"))
-    facts = mapped.join(rel.select("edge_id", "src", "dst"), "edge_id").join(words, "qid")
-    named = F.arrays_overlap("qw", F.split(F.concat_ws(" ", F.expr("substring(src, 3)"), F.expr("substring(dst, 3)")), " "))
-    kept = written(kept_facts(facts, cfg.map.floor, named).select("qid", "edge_id", "ms", "rk"), "kept")
-    seeds = written(seed_vector(kept, index.edges, cfg.influence.seed_norm), "seeds")
-    scores = written(balance(power(index.edges, seeds, cfg.influence.damping, None, cfg.influence.tol, cfg.influence.flow), cfg.influence.balance), "scores")
+    mapped = written(top_vectors(queries, rel, cfg.map.k_facts, "edge_id"), "mapped")
+    kept = mapped
+    if judge:
+        words = queries.select("qid", F.split(F.lower("text"), r"\s+").alias("qw"))
+        facts = mapped.join(rel.select("edge_id", "src", "dst"), "edge_id").join(words, "qid")
+        named = F.arrays_overlap("qw", F.split(F.concat_ws(" ", F.expr("substring(src, 3)"), F.expr("substring(dst, 3)")), " "))
+        kept = written(kept_facts(facts, cfg.map.floor, F.coalesce(named, F.lit(False))).select("qid", "edge_id", "ms", "rk"), "kept")
+    i = cfg.influence
+    seeds = written(seed_vector(kept, index.edges, i.seed_norm), "seeds")
+    raw = uniform(index.edges, index.nodes, seeds, i.damping) if i.off_edge == "uniform" else power(index.edges, seeds, i.damping, None, i.tol, i.flow)
+    scores = written(balance(raw, i.balance), "scores")
     near = scores.select("qid", F.col("node_key").alias("src"))
-    touched = near.distinct().join(index.edges.select("edge_id", "src", "dst", "vec"), "src").unionByName(near.distinct().withColumnRenamed("src", "dst").join(index.edges.select("edge_id", "src", "dst", "vec"), "dst").select("src", "qid", "edge_id", "dst", "vec"))
-    costs = touched.dropDuplicates(["qid", "edge_id"]).join(queries.select("qid", "qvec"), "qid").select("qid", "edge_id", "src", "dst", ((1 - cosine(F.col("vec"), F.col("qvec"))) / 2).alias("cost"))
-    costs = written(costs, "costs")
+    ends = index.edges.select("edge_id", "src", "dst", "vec")
+    touched = near.join(ends, "src").unionByName(near.withColumnRenamed("src", "dst").join(ends, "dst"))
+    cost = F.round((1 - cosine(F.col("vec"), F.col("qvec"))) / 2, 6).alias("cost")
+    costs = written(touched.dropDuplicates(["qid", "edge_id"]).join(queries.select("qid", "qvec"), "qid").select("qid", "edge_id", "src", "dst", cost), "costs")
     terminals = seeds.select("qid", "node_key")
-    tree = written(steiner_tree(costs, terminals), "tree")
-    plain = tree.where(~F.contains("edge_id", F.lit("|p:"))) if cfg.grow.counted == "entities" else tree
-    return {"mapped": mapped, "kept": kept, "seeds": seeds, "scores": scores, "costs": costs, "tree": tree, "grown": grow_frozen(tree, terminals, costs, scores, plain, cfg.grow.base)}
+    held = costs.select("qid", F.explode(F.array("src", "dst")).alias("node_key")).where("node_key like 'p:%'").distinct()
+    tied = costs.unionByName(held.join(pseudo_edges(index.nodes).select("edge_id", "src", "dst"), held["node_key"] == F.col("dst")).select("qid", "edge_id", "src", "dst", F.lit(cfg.tree.pseudo).alias("cost")))
+    none = costs.select("qid", "edge_id").where("false")
+    tree = written(steiner_tree(tied, terminals).join(costs.select("qid", "edge_id"), ["qid", "edge_id"], "left_semi"), "tree") if cfg.tree.method == "voronoi" else none
+    plain = tree
+    if cfg.grow.counted == "entities":  # edges without a passage, but all of a tree that has no such
+        inner = tree.join(costs.select("qid", "edge_id", "src", "dst"), ["qid", "edge_id"]).withColumn("inner", F.expr("src not like 'p:%' and dst not like 'p:%'"))
+        some = inner.groupBy("qid").agg(F.bool_or("inner").alias("some"))
+        plain = inner.join(some, "qid").where("inner or not some").select("qid", "edge_id")
+    grown = grow_frozen(tree, terminals, costs, scores, plain, cfg.grow.base) if grow else none.withColumn("step", F.lit(0))
+    return {"mapped": mapped, "kept": kept, "seeds": seeds, "scores": scores, "costs": costs, "tree": tree, "counted": plain, "grown": grown}
+
+
+def joined(index: Index, queries: DataFrame, cfg: Config, judge: bool = True, grow: bool = True, k: int = 5) -> DataFrame:
+    """The rows of ``search`` from ``search_frames``. A row holds one question's facts, tree, growth and best passages, as its prompt does."""
+    f = search_frames(index, queries, cfg, judge, grow)
+    listed = lambda df, c, *by: df.groupBy("qid").agg(F.array_sort(F.collect_list(F.struct(*by, c))).alias("x"))
+    names = lambda df, c, out, *by: listed(df, c, *by).select("qid", F.col(f"x.{c}").alias(out))
+    grown = written(f["grown"], "grown")
+    edges = written(f["tree"].select("qid", "edge_id", F.lit(-1).alias("step")).unionByName(grown.select("qid", "edge_id", "step")), "subgraph")
+    ends = edges.join(f["costs"].select("qid", "edge_id", "src", "dst"), ["qid", "edge_id"])
+    inside = lambda e: e.select("qid", F.explode(F.array("src", "dst")).alias("node_key")).unionByName(f["seeds"].select("qid", "node_key")).distinct().groupBy("qid").agg(F.count("*").cast("int").alias("n"))
+    text = index.nodes.select("node_key", "text")
+    said = ends.join(index.edges.select("edge_id", "relation"), "edge_id").join(text.select(F.col("node_key").alias("src"), F.col("text").alias("ta")), "src").join(text.select(F.col("node_key").alias("dst"), F.col("text").alias("tb")), "dst")
+    said = said.select("qid", "step", "edge_id", F.concat("ta", F.lit(" -["), "relation", F.lit("]- "), "tb").alias("line"))
+    evidence = listed(said, "line", "step", "edge_id").select("qid", F.array_join("x.line", "; ").alias("evidence"))
+    s = f["scores"].where("score > 0")
+    top = lambda df, out: listed(best(df, k, "score", "node_key", digits=9), "node_key", "rk", "score").select("qid", F.transform("x", lambda r: F.struct(F.substring(r["node_key"], 3, 2**30).alias("chunk_key"), r["score"].alias("score"))).alias(out))
+    links = index.edges.where("(src like 'p:%') <> (dst like 'p:%')").select(F.expr("if(src like 'p:%', src, dst)").alias("p"), F.expr("if(src like 'p:%', dst, src)").alias("node_key"))
+    sums = s.join(links, "node_key").groupBy("qid", "p").agg(F.sum("score").alias("score")).withColumnRenamed("p", "node_key")
+    lead = best(s.where("node_key not like 'p:%'"), 10, "score", "node_key", digits=9).join(text, "node_key")
+    limit = subgraph_ratio(f["counted"], f["costs"], f["scores"], cfg.grow.base).withColumnRenamed("ratio", "r")
+    side = lambda c: s.select("qid", F.col("node_key").alias(c), F.col("score").alias(f"s{c}"))
+    priced = f["costs"].join(f["tree"], ["qid", "edge_id"], "left_anti").join(side("src"), ["qid", "src"], "left").join(side("dst"), ["qid", "dst"], "left").join(limit, "qid")
+    under = priced.where("cost / greatest(ssrc, sdst) < r").groupBy("qid").agg(F.count("*").cast("int").alias("candidates"))
+    ratio = lambda e, out: subgraph_ratio(e.select("qid", "edge_id"), f["costs"], f["scores"]).withColumnRenamed("ratio", out)
+    parts = [
+        names(f["mapped"], "edge_id", "facts", "rk"), names(f["kept"], "edge_id", "kept", "rk"), names(f["seeds"], "node_key", "terminals"), names(f["tree"], "edge_id", "tree"),
+        names(grown, "edge_id", "grown", "step"), inside(ends.where("step < 0")).withColumnRenamed("n", "tree_nodes"), inside(ends).withColumnRenamed("n", "nodes"), ratio(f["tree"], "ratio_tree"),
+        ratio(edges, "ratio"), under, evidence, top(s.where("node_key like 'p:%'"), "passages"), top(sums, "summed"), names(lead, "text", "top_entities", "rk"),
+    ]
+    out = queries.select("qid")
+    for part in parts:
+        out = out.join(part, "qid", "left")
+    kinds = {x.name: x.dataType for x in index.edges.sparkSession.createDataFrame([], FOUND).schema}
+    empty = {n: F.lit("") if n == "evidence" else F.lit(0) if n not in ("passages", "summed") and kinds[n].typeName() != "array" else F.array() for n in kinds}
+    return out.select(*[F.coalesce(F.col(n), empty[n].cast(kinds[n])).cast(kinds[n]).alias(n) for n in kinds])
 
 
 VARIANTS = ("full", "fused_only", "llm_entities", "graph_only", "tree_only", "no_filter")

@@ -7,7 +7,8 @@ from pathlib import Path
 import duckdb
 import pytest
 
-from evigraph.queries import core
+from evigraph.plans import search
+from evigraph.queries import core, method
 
 ORACLES = {k: s for m in core.MODULES for k, s in m.ORACLES.items()}
 QUERIES = {k: f for m in core.MODULES for k, f in m.QUERIES.items()}
@@ -71,6 +72,26 @@ def test_comparison_tables(spark, sf):
     assert rows["method"].hit_rate >= rows["none"].hit_rate == 0 and rows["method"].lcs > 0
 
 
+def test_both_ways_of_searching_agree(spark, sf):
+    """All questions over one index: by a broadcast graph and by joins. Trees are compared by their ends, as parallel edges may tie."""
+    index, q = method.index_of(spark, sf), method.questions_of(spark, sf)
+    ends = lambda ids: sorted(tuple(sorted(e.split("|")[::2])) for e in ids)
+    here, there = ({r.qid: r for r in search.search(index, q, local=way).collect()} for way in (True, False))
+    assert here.keys() == there.keys() and any(r.grown for r in here.values())
+    for k, x in here.items():
+        y = there[k]
+        for c in ("facts", "kept", "terminals", "tree_nodes", "nodes", "candidates", "top_entities"):
+            assert x[c] == y[c], (k, c)
+        assert ends(x.tree) == ends(y.tree) and [p.chunk_key for p in x.passages] == [p.chunk_key for p in y.passages]
+        assert len(x.grown) == len(y.grown) and y.ratio == pytest.approx(x.ratio, rel=1e-3)
+
+
+def test_the_join_search_refuses_other_settings(spark, sf):
+    index, q = method.index_of(spark, sf), method.questions_of(spark, sf)
+    with pytest.raises(ValueError, match="frozen"):
+        search.search(index, q, search.replace(index.cfg, grow=search.replace(index.cfg.grow, threshold="mean")), local=False)
+
+
 def test_nothing_imports_the_training_data_package():
     root = Path(__file__).resolve().parent.parent / "evigraph"
     for p in root.rglob("*.py"):
