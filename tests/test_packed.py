@@ -8,7 +8,7 @@ from evigraph.operators import entities as ents
 from evigraph.operators import kg, packed, retrieval, textprep
 from evigraph.operators.retrieval import bm25, chunk_stats
 from evigraph.specs import ChunkSpec, EntitySpec
-from test_queries import con  # noqa: F401
+from test_queries import QUERIES, con  # noqa: F401
 
 TEXTS = [("1", "a b a b c"), ("1", "a b c c d"), ("2", "a"), ("3", "b c d e f g h a b c d e f g h"), ("4", "a b c d e f g h i j k l"), ("4", "x y"), ("5", ""), ("6", None), ("7", "École école ñ1 ñ1 a b")]
 
@@ -65,3 +65,19 @@ def test_asked_words_alone_are_dealt_out(spark, chunks):
 @pytest.mark.parametrize("name", "p_select_literal p_passage_edges p_graph_stats p_ngrams_5 sql_functions b_bm25".split())
 def test_changed_queries_match_sql(spark, con, sf, name):
     test_queries.test_query_matches_sql(spark, con, sf, name)
+
+
+def test_terms_anywhere_equal_plain_rows(spark, chunks, monkeypatch):
+    """Known terms in all chunks, those of a key with chunks of several sizes counted once; no row for each n-gram is dealt out."""
+    monkeypatch.setattr(packed, "ROWS", 2)
+    counts = textprep.term_counts(textprep.ngrams(chunks, 3))
+    for some in (counts.where("term in ('a', 'a b', 'b c d', 'c c', 'h', 'école ñ1')"), counts, counts.where("n = 2")):
+        want = kg.passage_edges_anywhere(counts, some).groupBy("dst").agg(F.count("*").alias("terms"))
+        got = packed.holding(chunks, some, 3)
+        assert rows(got.withColumn("dst", kg.passage_key()), "dst", "terms") == rows(want, "dst", "terms")
+    monkeypatch.setattr(textprep, "term_counts", lambda *_: pytest.fail("a row for each n-gram"))
+    QUERIES["p_passage_edges_anywhere"](spark, "/root/testdata/sf0.001")
+
+
+def test_terms_anywhere_match_sql(spark, con, sf):  # noqa: F811
+    test_queries.test_query_matches_sql(spark, con, sf, "p_passage_edges_anywhere")
