@@ -19,6 +19,7 @@ from pyspark.sql import functions as F
 
 SMALL, MEMBERS, CHARS = 16, 2048, 1 << 22
 BOUND = 1e-9  # slack for rounding where bounds decide
+SIGNS, FEW = 2048, 128  # bits of a set's table (a power of two), sets whose tables are compared at once
 Bag = tuple[np.ndarray, np.ndarray]
 
 
@@ -41,6 +42,24 @@ def similarity(x: Bag, y: Bag) -> float:
     return float((p[both] / total[both]).sum())
 
 
+def signs(sets: int, owner: np.ndarray, item: np.ndarray) -> np.ndarray:
+    """A bit table of each set, by the numbers or hashes of its items."""
+    table = np.zeros((sets, SIGNS), bool)
+    table[owner, (item & item.dtype.type(SIGNS - 1)).astype(np.int64)] = True
+    return np.packbits(table, axis=1).view(np.uint64)
+
+
+def at_most(x: np.ndarray, y: np.ndarray, n: np.ndarray, m: np.ndarray) -> np.ndarray:
+    """What the plain Jaccard of sets with bit tables x and y, of at most n and m items, can be at most.
+
+    Each bit of x that y lacks is an item of x that y lacks. So at most n - bits are shared, and at least n and the bits that x lacks are in
+    either, which is least favourable where n is as large as it can be; and the same from y's side.
+    """
+    both = np.bitwise_count(x & y).sum(axis=-1, dtype=np.int64)
+    own, other = (np.bitwise_count(z).sum(axis=-1, dtype=np.int64) - both for z in (x, y))
+    return np.minimum((n - own) / (n + other), (m - other) / (m + own))
+
+
 class Block:
     """Weighted sets whose items are numbered together, so that one is held against many by array operations."""
 
@@ -54,6 +73,8 @@ class Block:
         self.share = np.concatenate([w / w.sum() for _, w in self.bags])
         self.mark = np.zeros(int(self.item.max()) + 1, np.int32)
         self.mass = np.zeros(len(self.mark))
+        self.sign = signs(len(bags), np.repeat(np.arange(len(bags)), self.size), self.item)
+        self.most: np.ndarray | None = None
 
     def against(self, x: int, y: np.ndarray) -> np.ndarray:
         """Similarity of set x with each of the sets y."""
@@ -72,8 +93,10 @@ class Block:
         the bounds leave open are worked out.
         """
         out, plain = np.zeros(len(y), bool), self.plain[y] & self.plain[x]
-        if plain.any():
-            out[plain] = self._shared(x, y[plain]) >= threshold
+        own = np.flatnonzero(plain)
+        own = own[self._open(x, y[own], threshold)]
+        if len(own):
+            out[own] = self._shared(x, y[own]) >= threshold
         rest = np.flatnonzero(~plain)
         if len(rest):
             low = self._least(x, y[rest])
@@ -84,6 +107,14 @@ class Block:
             out[rest] = self._weighted(x, y[rest]) >= threshold
         return out
 
+    def _open(self, x: int, y: np.ndarray, threshold: float) -> np.ndarray:
+        """Whether bit tables leave open that plain set x is at the threshold with each of y."""
+        if len(self.size) > FEW:
+            return at_most(self.sign[x], self.sign[y], self.size[x], self.size[y]) >= threshold - BOUND
+        if self.most is None:
+            self.most = at_most(self.sign[:, None], self.sign, self.size[:, None], self.size)
+        return self.most[x, y] >= threshold - BOUND
+
     def _least(self, x: int, y: np.ndarray) -> np.ndarray:
         """Sum of the lesser shares of x and each of y."""
         own = slice(self.end[x] - self.size[x], self.end[x])

@@ -40,11 +40,17 @@ def powers(n: int) -> tuple[np.ndarray, np.ndarray]:
     return _powers(1 << max(16, int(n).bit_length()), _BASE)
 
 
+@functools.cache
+def code_values() -> np.ndarray:
+    """Random value of each code point."""
+    return mix(np.arange(0x110000, dtype=U) + U(0x632BE59BD9B4E019))
+
+
 @functools.cache
 def _tables() -> tuple[np.ndarray, np.ndarray]:
     """Random value and letter-or-digit flag of each code point."""
     n = 0x110000
-    return mix(np.arange(n, dtype=U) + U(0x632BE59BD9B4E019)), np.fromiter((chr(i).isalnum() for i in range(n)), bool, n)
+    return code_values(), np.fromiter((chr(i).isalnum() for i in range(n)), bool, n)
 
 
 def code_points(text: str) -> np.ndarray:
@@ -61,6 +67,20 @@ def spans(pre: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
     return mix((pre[end] - pre[start]) * powers(len(pre))[1][start])
 
 
+def runs(values: np.ndarray, k: int) -> np.ndarray:
+    """The polynomial over each run of k values, moved to position 0: what `spans` mixes, by doubling instead of prefix sums."""
+    n, base = len(values) - k + 1, powers(k)[0]
+    power, size, out, done = values, 1, None, 0
+    while done < k:
+        if k & size:
+            out = power[:n] if out is None else out + power[done : done + n] * base[done]
+            done += size
+        if done < k:
+            power = power[:-size] + power[size:] * base[size]
+            size *= 2
+    return out
+
+
 def slices(text: str):
     """Pieces of at most about SLICE characters that end between words where they can."""
     at = 0
@@ -101,10 +121,8 @@ def shingles(words: np.ndarray, k: int = 5) -> np.ndarray:
 
 def char_shingles(text: str, k: int) -> np.ndarray:
     """One hash for each run of k characters; a shorter text is one shingle."""
-    value, _ = _tables()
+    value = code_values()
     cp = code_points(text)
     if len(cp) <= k:
         return spans(prefix(value[cp]), np.array([0]), np.array([len(cp)])) if len(cp) else np.zeros(0, U)
-    pre = prefix(value[cp])
-    at = np.arange(len(cp) - k + 1)
-    return spans(pre, at, at + k)
+    return mix(runs(value[cp], k))
